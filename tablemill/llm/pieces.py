@@ -10,16 +10,17 @@ whose spaces touch other white space is not cut there but encoded whole.
 from __future__ import annotations
 
 from collections.abc import Callable
+from itertools import chain
 
 import numpy as np
 import pyarrow as pa
 import pyarrow.compute as pc
 
 
-def encode_texts(texts: pa.Array, encode: Callable[[list[str]], list]) -> tuple[np.ndarray, np.ndarray]:
+def encode_texts(texts: pa.Array, encode: Callable[[list[str]], tuple[np.ndarray, np.ndarray]]) -> tuple[np.ndarray, np.ndarray]:
     """All ids, text after text, and the number of ids of each text.
 
-    ``encode`` maps distinct non-empty strings to their ids. Null counts as empty.
+    ``encode`` maps distinct strings to all their ids and the number of each. Null counts as empty.
     """
     texts = pc.fill_null(texts.cast(pa.string()), "")
     parts = pc.split_pattern(texts, " ")
@@ -48,9 +49,7 @@ def encode_texts(texts: pa.Array, encode: Callable[[list[str]], list]) -> tuple[
     code_of[with_space] = np.arange(len(with_space))
     whole_texts = pc.take(texts, pa.array(np.flatnonzero(bad))).to_pylist()
     strings = [" " + pool[i] for i in with_space.tolist()] + [pool[i] for i in heads.tolist()] + whole_texts
-    ids = encode(strings)
-    size = np.fromiter(map(len, ids), np.int64, len(ids))
-    flat = np.concatenate([np.asarray(x, np.int64) for x in ids]) if len(ids) else np.zeros(0, np.int64)
+    flat, size = encode(strings)
     starts = np.cumsum(size) - size
     # One code for each kept piece, in text order.
     codes = np.zeros(len(index), np.int64)
@@ -67,6 +66,12 @@ def encode_texts(texts: pa.Array, encode: Callable[[list[str]], list]) -> tuple[
     return out, running[ends] - running[ends - per_text]
 
 
+def laid_out(lists: list) -> tuple[np.ndarray, np.ndarray]:
+    """Lists of ids as one array and their sizes."""
+    size = np.fromiter(map(len, lists), np.int64, len(lists))
+    return np.fromiter(chain.from_iterable(lists), np.uint16, int(size.sum())), size
+
+
 def gather(flat: np.ndarray, starts: np.ndarray, sizes: np.ndarray) -> np.ndarray:
     """Concatenate ``flat[start:start + size]`` of all rows."""
     total = int(sizes.sum())

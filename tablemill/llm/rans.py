@@ -26,7 +26,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from tablemill.llm.common import columns, drop_path, work_path
-from tablemill.llm.pieces import encode_texts, slices
+from tablemill.llm.pieces import encode_texts, laid_out, slices
 
 SCALE = 20
 LANES = 1024
@@ -191,9 +191,9 @@ def tokenized(docs: DataFrame, cuts: list[int], vocabulary: str, end_id: int | N
             out = []
             for at in range(0, len(strings), 20000):
                 out += [x.ids for x in fast(strings[at : at + 20000], add_special_tokens=False)]
-            return out
+            return laid_out(out)
 
-        part, before, docs, sizes, ids = None, 0, [], [], []
+        part, before, docs, sizes, ids, end = None, 0, [], [], [], np.array([end_id or 0], np.uint16)
 
         def flush():
             every = np.concatenate(ids).astype("<u2")
@@ -219,7 +219,7 @@ def tokenized(docs: DataFrame, cuts: list[int], vocabulary: str, end_id: int | N
                     mine = got[at : at + n]
                     at += n
                     docs.append(doc)
-                    ids.append(mine if end_id is None else np.append(mine, end_id))
+                    ids += [mine] if end_id is None else [mine, end]
                     sizes.append(n + (end_id is not None))
         if docs:
             yield flush()

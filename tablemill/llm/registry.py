@@ -1,11 +1,12 @@
 """Queries of the training-data operators and their oracles."""
 
-from tablemill.llm import line_dedup, rans, simhash
+from tablemill.llm import bpe, line_dedup, rans, simhash
 
 QUERIES = {
     "op1_line_dedup": line_dedup.op1_line_dedup,
     "op7_rans_token_ids": rans.op7_rans_token_ids,
     "op8_simhash_near_dedup": simhash.op8_simhash_near_dedup,
+    "op10_duckdb_bpe": bpe.op10_duckdb_bpe,
 }
 
 ORACLES = {
