@@ -45,6 +45,14 @@ def drop_path(spark: SparkSession, path: str) -> None:
     hadoop.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(hadoop, True)
 
 
+def free_name(df: DataFrame, base: str) -> str:
+    """A column name that ``df`` does not use in any case."""
+    taken = {c.lower() for c in df.columns}
+    while base in taken:
+        base += "_"
+    return base
+
+
 def raw(column: pa.Array) -> pa.Array:
     """A text column as its UTF-8 bytes, without decoding."""
     return column.cast(pa.binary()) if not pa.types.is_binary(column.type) else column

@@ -28,7 +28,7 @@ import xxhash
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from tablemill.llm.common import columns, drop_path, stored, whole, work_path
+from tablemill.llm.common import columns, drop_path, free_name, stored, whole, work_path
 
 BLANK = b" \t\n\x0b\x0c\r"
 MIN_CHARS = 10
@@ -271,17 +271,14 @@ def _gone(hexed: str | None) -> frozenset:
 
 def apply_drops(docs: DataFrame, drops: DataFrame, fn, returns: str, text: str = "text", doc_id: str = "doc_id", min_chars: int = MIN_CHARS) -> DataFrame:
     """Join the digests to drop to their documents; ``fn(batch, lines, kept)`` makes the arrays to return."""
-    names = {"_gone_id", "_gone"}
-    clash = names & set(docs.columns)
-    if clash:
-        raise ValueError(f"columns {sorted(clash)} are reserved")
-    both = docs.join(drops.select(F.col("doc_id").alias("_gone_id"), F.col("gone").alias("_gone")), F.col(doc_id).cast("long") == F.col("_gone_id"), "left").drop("_gone_id")
+    owner, gone = free_name(docs, "_gone_id"), free_name(docs, "_gone")
+    both = docs.join(drops.select(F.col("doc_id").alias(owner), F.col("gone").alias(gone)), F.col(doc_id).cast("long") == F.col(owner), "left").drop(owner)
 
     def run(batches):
         for b in batches:
             for at in range(0, b.num_rows, 2000):
                 part = b.slice(at, 2000)
-                pairs = [split_text(t, _gone(g), min_chars) for t, g in zip(whole(part.column(part.schema.get_field_index(text))), part.column(part.schema.get_field_index("_gone")).to_pylist())]
+                pairs = [split_text(t, _gone(g), min_chars) for t, g in zip(whole(part.column(part.schema.get_field_index(text))), part.column(part.schema.get_field_index(gone)).to_pylist())]
                 yield fn(part, [p[0] for p in pairs], [p[1] for p in pairs])
 
     return both.mapInArrow(run, returns)

@@ -1,9 +1,11 @@
 """Queries of the training-data operators and their oracles."""
 
-from tablemill.llm import bpe, line_dedup, rans, simhash
+from tablemill.llm import bpe, language, line_dedup, rans, simhash, wordpiece
 
 QUERIES = {
     "op1_line_dedup": line_dedup.op1_line_dedup,
+    "op5_wordpiece_counts": wordpiece.op5_wordpiece_counts,
+    "op6_language_id": language.op6_language_id,
     "op7_rans_token_ids": rans.op7_rans_token_ids,
     "op8_simhash_near_dedup": simhash.op8_simhash_near_dedup,
     "op10_duckdb_bpe": bpe.op10_duckdb_bpe,

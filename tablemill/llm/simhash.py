@@ -31,7 +31,7 @@ import xxhash
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from tablemill.llm.common import columns, stored, whole
+from tablemill.llm.common import columns, free_name, stored, whole
 
 BITS = 2
 SHINGLE = 3
@@ -261,8 +261,9 @@ def groups(docs: DataFrame, text: str = "text", doc_id: str = "doc_id") -> DataF
 
 def near_dedup(docs: DataFrame, text: str = "text", doc_id: str = "doc_id") -> DataFrame:
     """One document of each group stays: the smallest id. Other columns pass through."""
-    leaves = groups(docs, text, doc_id).where("component_id < doc_id").select(F.col("doc_id").alias("_leaves")).distinct()
-    return docs.join(leaves, F.col(doc_id).cast("long") == F.col("_leaves"), "left_anti")
+    name = free_name(docs, "_leaves")
+    leaves = groups(docs, text, doc_id).where("component_id < doc_id").select(F.col("doc_id").alias(name)).distinct()
+    return docs.join(leaves, F.col(doc_id).cast("long") == F.col(name), "left_anti")
 
 
 def op8_simhash_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
