@@ -1,9 +1,11 @@
 """Queries of the training-data operators and their oracles."""
 
-from tablemill.llm import bpe, language, line_dedup, rans, simhash, wordpiece
+from tablemill.llm import bpe, language, licenses, line_dedup, rans, simhash, telephony, wordpiece
 
 QUERIES = {
     "op1_line_dedup": line_dedup.op1_line_dedup,
+    "op3_license_scan": licenses.op3_license_scan,
+    "op4_telephony_media": telephony.op4_telephony_media,
     "op5_wordpiece_counts": wordpiece.op5_wordpiece_counts,
     "op6_language_id": language.op6_language_id,
     "op7_rans_token_ids": rans.op7_rans_token_ids,
