@@ -1,6 +1,6 @@
 """All registered queries of the library proper."""
 
-from tablemill.plans import corpus
+from tablemill.plans import basics, corpus, tables
 from tablemill.plans.registry import ORACLES, QUERIES
 
-__all__ = ["ORACLES", "QUERIES", "corpus"]
+__all__ = ["ORACLES", "QUERIES", "basics", "corpus", "tables"]
