@@ -1,6 +1,6 @@
 """All registered queries of the library proper."""
 
-from tablemill.plans import basics, corpus, encoder, tables
+from tablemill.plans import basics, corpus, encoder, evaluation, tables
 from tablemill.plans.registry import ORACLES, QUERIES
 
-__all__ = ["ORACLES", "QUERIES", "basics", "corpus", "encoder", "tables"]
+__all__ = ["ORACLES", "QUERIES", "basics", "corpus", "encoder", "evaluation", "tables"]
