@@ -1,6 +1,6 @@
 """All registered queries of the library proper."""
 
-from tablemill.plans import basics, corpus, encoder, evaluation, factory, tables
+from tablemill.plans import agent, basics, corpus, encoder, evaluation, factory, streams, tables
 from tablemill.plans.registry import ORACLES, QUERIES
 
-__all__ = ["ORACLES", "QUERIES", "basics", "corpus", "encoder", "evaluation", "factory", "tables"]
+__all__ = ["ORACLES", "QUERIES", "agent", "basics", "corpus", "encoder", "evaluation", "factory", "streams", "tables"]
