@@ -17,6 +17,7 @@ labelled row exists, every text is ``und``. Ties go to the alphabetically first.
 
 from __future__ import annotations
 
+from collections.abc import Iterator
 from itertools import combinations
 
 import numpy as np
@@ -27,7 +28,7 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 from tablemill.llm.common import columns, sums
-from tablemill.llm.pieces import slices
+from tablemill.llm.pieces import gather, slices
 
 # Families of language codes.
 FAMILIES = {
@@ -44,15 +45,15 @@ FAMILY_OF = {lang: family for family, langs in FAMILIES.items() for lang in lang
 
 BINS = 1 << 13
 ORDERS = (1, 2, 3, 4)
-PER_LANGUAGE = 600
+PER_LANGUAGE = 400
 UNDETERMINED = "und"
 
 
 # --- features --------------------------------------------------------------
 
 
-def word_bins(words: pa.Array) -> tuple[np.ndarray, np.ndarray]:
-    """Hashed bins of the features of each distinct word, word after word, and their number.
+def word_features(words: pa.Array) -> Iterator[tuple[np.ndarray, np.ndarray]]:
+    """Order by order, the hashed bins of the distinct words' features and the words they belong to, ascending.
 
     Words are lower-cased; bytes of any script count, but a word without a letter has no features.
     """
@@ -60,35 +61,28 @@ def word_bins(words: pa.Array) -> tuple[np.ndarray, np.ndarray]:
     size = pc.binary_length(low).to_numpy(zero_copy_only=False).astype(np.int64)
     lettered = pc.match_substring_regex(low, r"\pL").to_numpy(zero_copy_only=False)
     flat = np.frombuffer(b"".join(b"\x00" + w + b"\x00" for w in low.cast(pa.binary()).to_pylist()), np.uint8).astype(np.uint64)
-    ends = np.cumsum(size + 2)
-    owner = np.repeat(np.arange(len(size)), size + 2)
-    bins, owners = [], []
+    owner = np.repeat(np.arange(len(size), dtype=np.int32), size + 2)
+    first = np.cumsum(size + 2) - size - 2
     whole = np.zeros(len(size), np.uint64)
     for n in ORDERS:
         if len(flat) < n:
             continue
         h = np.full(len(flat) - n + 1, n, np.uint64)
         for i in range(n):
-            h = (h ^ flat[i : len(flat) - n + 1 + i]) * np.uint64(0x100000001B3)
+            h ^= flat[i : len(flat) - n + 1 + i]
+            h *= np.uint64(0x100000001B3)
             h ^= h >> np.uint64(29)
         keep = owner[: len(h)] == owner[n - 1 :]
         keep &= lettered[owner[: len(h)]]
         if n == 1:
             keep &= flat[: len(h)] != 0
-        bins.append((h[keep] >> np.uint64(7)) % np.uint64(BINS))
-        owners.append(owner[: len(h)][keep])
+        yield ((h[keep] >> np.uint64(7)) % np.uint64(BINS)).astype(np.int32), owner[: len(h)][keep]
         if n == 4:
-            total = np.zeros(len(flat) + 1, np.uint64)
-            total[1 : len(h) + 1] = np.cumsum(h)
-            total[len(h) + 1 :] = total[len(h)]
-            stop = np.clip(ends - 3, ends - size - 2, len(h))
-            whole = total[np.maximum(stop, ends - size - 2)] - total[ends - size - 2]
-    named = np.flatnonzero(lettered)
-    bins.append(((whole[named] + size[named].astype(np.uint64)) * np.uint64(0x9E3779B97F4A7C15) >> np.uint64(17)) % np.uint64(BINS))
-    owners.append(named)
-    every, of = np.concatenate(bins).astype(np.int64), np.concatenate(owners)
-    order = np.argsort(of, kind="stable")
-    return every[order], np.bincount(of, minlength=len(size))
+            total = np.concatenate([np.zeros(1, np.uint64), np.cumsum(h), np.full(3, h.sum() if len(h) else 0, np.uint64)])
+            stop = np.maximum(first + size - 1, first)
+            whole = total[stop] - total[first]
+    named = np.flatnonzero(lettered).astype(np.int32)
+    yield (((whole[named] + size[named].astype(np.uint64)) * np.uint64(0x9E3779B97F4A7C15) >> np.uint64(17)) % np.uint64(BINS)).astype(np.int32), named
 
 
 def texts_words(texts: pa.Array) -> tuple[pa.Array, np.ndarray, np.ndarray]:
@@ -101,14 +95,14 @@ def texts_words(texts: pa.Array) -> tuple[pa.Array, np.ndarray, np.ndarray]:
 def text_vectors(texts: pa.Array) -> np.ndarray:
     """Dense relative frequencies; for the bounded training sample only."""
     pool, index, counts = texts_words(texts)
-    bins, sizes = word_bins(pool)
-    starts = np.cumsum(sizes) - sizes
     out = np.zeros((len(texts), BINS), np.float32)
     ends = np.cumsum(counts)
-    for i in range(len(texts)):
-        uniq, times = np.unique(index[ends[i] - counts[i] : ends[i]], return_counts=True)
-        for w, t in zip(uniq.tolist(), times.tolist()):
-            np.add.at(out[i], bins[starts[w] : starts[w] + sizes[w]], t)
+    used = [np.unique(index[e - n : e], return_counts=True) for e, n in zip(ends.tolist(), counts.tolist())]
+    for bins, owner in word_features(pool):
+        size = np.bincount(owner, minlength=len(pool))
+        start = np.cumsum(size) - size
+        for i, (word, times) in enumerate(used):
+            out[i] += np.bincount(gather(bins, start[word], size[word]), weights=np.repeat(times, size[word]), minlength=BINS)
     return out / np.maximum(out.sum(1, keepdims=True), 1)
 
 
@@ -119,9 +113,10 @@ def linear_machine(x: np.ndarray, y: np.ndarray, c: float = 40.0, steps: int = 3
     """Linear support vector machine (squared hinge, y in -1 and 1) by accelerated full gradients."""
     n, d = x.shape
     weight = np.where(y > 0, 0.5 / max(1, (y > 0).sum()), 0.5 / max(1, (y < 0).sum()))
-    w, b = np.zeros(d), 0.0
+    weight, y = weight.astype(x.dtype), y.astype(x.dtype)
+    w, b = np.zeros(d, x.dtype), 0.0
     vw, vb = w.copy(), b
-    rate = 1.0 / (1.0 + 2 * c * (1 + (weight[:, None] * x * x).sum()))
+    rate = float(1.0 / (1.0 + 2 * c * (1 + float(weight @ np.einsum("ij,ij->i", x, x)))))
     for t in range(1, steps + 1):
         slack = np.maximum(0, 1 - y * (x @ vw + vb)) * weight * y
         nw = vw - rate * (vw - 2 * c * (x.T @ slack))
@@ -129,7 +124,7 @@ def linear_machine(x: np.ndarray, y: np.ndarray, c: float = 40.0, steps: int = 3
         k = (t - 1) / (t + 2)
         vw, vb = nw + k * (nw - w), nb + k * (nb - b)
         w, b = nw, nb
-    return w, b
+    return w.astype(np.float64), float(b)
 
 
 class Model:
@@ -143,8 +138,11 @@ class Model:
         pool, index, counts = texts_words(texts)
         if not len(pool):
             return np.zeros((len(texts), len(self.machines))), np.zeros(len(texts))
-        bins, sizes = word_bins(pool)
-        per_word = sums(self.weights[bins], sizes) if len(bins) else np.zeros((len(pool), len(self.machines)))
+        per_word, sizes = np.zeros((len(pool), len(self.machines))), np.zeros(len(pool), np.int64)
+        for bins, owner in word_features(pool):
+            sizes += np.bincount(owner, minlength=len(pool))
+            for i in range(len(self.machines)):
+                per_word[:, i] += np.bincount(owner, weights=self.weights[bins, i], minlength=len(pool))
         total = sums(per_word[index], counts)
         n = sums(sizes[index], counts)
         return total / np.maximum(n, 1)[:, None] + self.bias, n
@@ -188,12 +186,14 @@ def fit_vectors(x: np.ndarray, labels: list[str]) -> Model:
         families.setdefault(FAMILY_OF.get(lang, f"only-{lang}"), []).append(lang)
     of = np.array([FAMILY_OF.get(lang, f"only-{lang}") for lang in labels], object)
     lang = np.array(labels, object)
-    scale = 1 / np.sqrt(np.maximum(x.mean(0), 1e-6)) if len(x) else np.ones(BINS)  # frequent n-grams weigh less
+    scale = (1 / np.sqrt(np.maximum(x.mean(0), 1e-6))).astype(np.float32) if len(x) else np.ones(BINS)  # frequent n-grams weigh less
     machines, weights, bias = [], [], []
     for scope, names, value in [("", sorted(families), of), *((f, families[f], lang) for f in sorted(families))]:
         for a, b in combinations(names, 2):
             rows = np.flatnonzero((value == a) | (value == b))
-            w, c = linear_machine(x[rows] * scale, np.where(value[rows] == a, 1.0, -1.0))
+            part = x[rows]
+            part *= scale
+            w, c = linear_machine(part, np.where(value[rows] == a, 1.0, -1.0))
             machines.append((scope, a, b))
             weights.append(w * scale)
             bias.append(c)
@@ -222,7 +222,7 @@ def fit(rows: DataFrame, text: str = "text", lang: str = "lang", per_language: i
 
     got = sample.select("lang", "text").mapInArrow(vectors, "lang string, vector binary").collect()
     got.sort(key=lambda r: (r.lang, bytes(r.vector)))
-    x = np.stack([np.frombuffer(r.vector, "<f2") for r in got]).astype(np.float64) if got else np.zeros((0, BINS))
+    x = np.stack([np.frombuffer(r.vector, "<f2") for r in got]).astype(np.float32) if got else np.zeros((0, BINS))
     return fit_vectors(x, [r.lang for r in got])
 
 
@@ -235,7 +235,7 @@ def predicted(docs: DataFrame, model: Model, text: str = "text") -> DataFrame:
 
     def run(batches):
         for b in batches:
-            for part in slices(b, at):
+            for part in slices(b, at, 4 << 20):
                 langs, score = model.predict(part.column(at))
                 yield pa.RecordBatch.from_arrays([*part.columns, pa.array(langs, pa.string()), pa.array(score)], names=names)
 
@@ -252,7 +252,7 @@ def accepted(docs: DataFrame, model: Model, least: float = 0.0, text: str = "tex
 
     def run(batches):
         for b in batches:
-            for part in slices(b, at):
+            for part in slices(b, at, 4 << 20):
                 langs, score = model.predict(part.column(at))
                 yield part.filter(pa.array([x != UNDETERMINED and y >= least for x, y in zip(langs, score.tolist())], pa.bool_()))
 
