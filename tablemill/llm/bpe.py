@@ -26,7 +26,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from tablemill.llm.common import columns
-from tablemill.llm.pieces import encode_texts, gather, slices
+from tablemill.llm.pieces import begins, encode_texts, gather, slices
 
 TURNS = 64
 CHUNK = 20000
@@ -107,9 +107,9 @@ class Coder:
             ids = gather(flat, ends[:-1][~ended], size)
         return out
 
-    def encode(self, strings: list[str]) -> tuple[np.ndarray, np.ndarray]:
+    def encode(self, spaced: pa.Array, others: list[str]) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
         """Ids of each distinct string: its pre-tokens, each merged separately."""
-        parts = [self.cut(s) for s in strings]
+        parts = [self.cut(" " + s) for s in spaced.to_pylist()] + [self.cut(s) for s in others]
         new = {w for p in parts for w in p if w not in self.known}
         if len(self.known) + len(new) > CACHE:
             self.known = {}
@@ -131,7 +131,8 @@ class Coder:
             at = end
         known = self.known
         each = [b"".join([known[w] for w in p]) for p in parts]
-        return np.frombuffer(b"".join(each), "<u2"), np.fromiter(map(len, each), np.int64, len(each)) // 2
+        sizes = np.fromiter(map(len, each), np.int64, len(each)) // 2
+        return np.frombuffer(b"".join(each), "<u2"), begins(sizes), sizes
 
     def decode(self, ids: np.ndarray, sizes: np.ndarray) -> list[bytes]:
         """The bytes of each document's ids."""

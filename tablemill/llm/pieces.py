@@ -17,52 +17,51 @@ import pyarrow as pa
 import pyarrow.compute as pc
 
 
-def encode_texts(texts: pa.Array, encode: Callable[[list[str]], tuple[np.ndarray, np.ndarray]]) -> tuple[np.ndarray, np.ndarray]:
+Encode = Callable[[pa.Array, list[str]], tuple[np.ndarray, np.ndarray, np.ndarray]]
+
+
+def encode_texts(texts: pa.Array, encode: Encode) -> tuple[np.ndarray, np.ndarray]:
     """All ids, text after text, and the number of ids of each text.
 
-    ``encode`` maps distinct strings to all their ids and the number of each. Null counts as empty.
+    ``encode(pieces, others)`` gets distinct pieces, each to be encoded with a space
+    before it, and further strings; it returns an array of ids and, for all of them
+    in this order, where their ids begin and how many they are. Null counts as empty.
     """
     texts = pc.fill_null(texts.cast(pa.string()), "")
+    n = len(texts)
+    if not n:
+        return np.zeros(0, np.uint16), np.zeros(0, np.int64)
     parts = pc.split_pattern(texts, " ")
     offsets = parts.offsets.to_numpy().astype(np.int64)
     offsets -= offsets[0]
     coded = parts.flatten().dictionary_encode()
-    index, pool = coded.indices.to_numpy(zero_copy_only=False).astype(np.int64), coded.dictionary.to_pylist()
-    n = len(texts)
-    if not n:
-        return np.zeros(0, np.int64), np.zeros(0, np.int64)
+    index, pool = coded.indices.to_numpy(zero_copy_only=False), coded.dictionary
     # A piece that is empty or begins or ends with white space touches a space; only a text of one piece has none.
-    odd = np.fromiter((not p or p[0].isspace() or p[-1].isspace() for p in pool), bool, len(pool))
-    counts = np.diff(offsets)
-    bad = np.add.reduceat(odd[index], offsets[:-1]) > 0
+    odd = pc.or_(pc.equal(pool, ""), pc.not_equal(pool, pc.utf8_trim_whitespace(pool))).to_numpy(zero_copy_only=False)
+    counts, first = np.diff(offsets), offsets[:-1]
+    bad = np.add.reduceat(odd[index], first) > 0
     bad |= counts == 1
-    # Code numbers: piece with its space, then first pieces without, then whole texts.
-    first = offsets[:-1]
-    heads, head_code = np.unique(index[first[~bad]], return_inverse=True)
-    used = np.zeros(len(pool), bool)
-    inner = np.ones(len(index), bool)
+    inner = ~np.repeat(bad, counts)
     inner[first] = False
-    inner &= ~np.repeat(bad, counts)
+    used = np.zeros(len(pool), bool)
     used[index[inner]] = True
-    with_space = np.flatnonzero(used)
-    code_of = np.zeros(len(pool), np.int64)
-    code_of[with_space] = np.arange(len(with_space))
-    whole_texts = pc.take(texts, pa.array(np.flatnonzero(bad))).to_pylist()
-    strings = [" " + pool[i] for i in with_space.tolist()] + [pool[i] for i in heads.tolist()] + whole_texts
-    flat, size = encode(strings)
-    starts = np.cumsum(size) - size
+    spaced = np.flatnonzero(used)
+    heads, head_code = np.unique(index[first[~bad]], return_inverse=True)
+    others = pool.take(pa.array(heads)).to_pylist() + texts.take(pa.array(np.flatnonzero(bad))).to_pylist()
+    flat, start, size = encode(pool.take(pa.array(spaced)), others)
     # One code for each kept piece, in text order.
-    codes = np.zeros(len(index), np.int64)
-    codes[inner] = code_of[index[inner]]
-    codes[first[~bad]] = len(with_space) + head_code
-    codes[first[bad]] = len(with_space) + len(heads) + np.arange(int(bad.sum()))
-    kept = inner.copy()
-    kept[first] = True
-    codes = codes[kept]
-    out = gather(flat, starts[codes], size[codes])
+    code_of = np.zeros(len(pool), np.int32)
+    code_of[spaced] = np.arange(len(spaced))
+    codes = code_of[index]
+    codes[first[~bad]] = len(spaced) + head_code
+    codes[first[bad]] = len(spaced) + len(heads) + np.arange(int(bad.sum()))
+    inner[first] = True
+    codes = codes[inner]
+    per_piece = size[codes]
+    out = gather(flat, start[codes], per_piece)
     per_text = np.where(bad, 1, counts)
     ends = np.cumsum(per_text)
-    running = np.concatenate([[0], np.cumsum(size[codes])])
+    running = np.concatenate([[0], np.cumsum(per_piece)])
     return out, running[ends] - running[ends - per_text]
 
 
@@ -82,6 +81,10 @@ def gather(flat: np.ndarray, starts: np.ndarray, sizes: np.ndarray) -> np.ndarra
     return flat[at]
 
 
+def begins(sizes: np.ndarray) -> np.ndarray:
+    return np.cumsum(sizes) - sizes
+
+
 def slices(batch: pa.RecordBatch, column: int, budget: int = 8 << 20, rows: int = 4000):
     """Cut a batch so that the texts of a slice stay near ``budget`` bytes (one long text may exceed it)."""
     size = pc.fill_null(pc.binary_length(batch.column(column)), 0).to_numpy(zero_copy_only=False).cumsum()

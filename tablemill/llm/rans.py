@@ -22,19 +22,21 @@ import zlib
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from tablemill.llm.common import columns, drop_path, work_path
-from tablemill.llm.pieces import encode_texts, laid_out, slices
+from tablemill.llm.pieces import begins, encode_texts, gather, laid_out, slices
 
 SCALE = 20
-LANES = 1024
+LANES = 2048
 BLOCK = 1 << 20
 EVERY = 256
 MAGIC = b"RANS0001"
 LOW = np.uint64(1 << 31)
 END_ID = 2
+SPACE = "\u0120"  # the stand-in for a space in byte-level vocabularies
 
 
 class Table:
@@ -182,17 +184,7 @@ def tokenized(docs: DataFrame, cuts: list[int], vocabulary: str, end_id: int | N
         import os
 
         os.environ["TOKENIZERS_PARALLELISM"] = "false"
-        from tokenizers import Tokenizer
-
-        tok = Tokenizer.from_file(vocabulary)
-        fast = getattr(tok, "encode_batch_fast", tok.encode_batch)
-
-        def encode_all(strings):
-            out = []
-            for at in range(0, len(strings), 20000):
-                out += [x.ids for x in fast(strings[at : at + 20000], add_special_tokens=False)]
-            return laid_out(out)
-
+        encode_all = worker_encoder(vocabulary)
         part, before, docs, sizes, ids, end = None, 0, [], [], [], np.array([end_id or 0], np.uint16)
 
         def flush():
@@ -228,6 +220,82 @@ def tokenized(docs: DataFrame, cuts: list[int], vocabulary: str, end_id: int | N
     return dealt.sortWithinPartitions("part", "doc_id", "text").mapInArrow(run, "part int, before long, n long, docs binary, sizes binary, ids binary, counts binary")
 
 
+class PieceEncoder:
+    """Ids of distinct pieces through the tokenizer, remembered for up to ``limit`` of them.
+
+    A piece is cut once more between a letter or digit and the punctuation that
+    ends it, where pre-tokenisation always cuts, so words meet again whatever
+    follows them. What is new goes through the tokenizer in long rows: every
+    piece opens with the only space it has, so an id that opens with a space
+    begins the next one.
+    """
+
+    def __init__(self, tok, limit: int = 1_500_000):
+        self.fast, self.limit = getattr(tok, "encode_batch_fast", tok.encode_batch), limit
+        self.opens = np.zeros(1 << 16, bool)
+        for token, number in tok.get_vocab().items():
+            self.opens[number] = token[0] == SPACE
+        self.known = pa.array([], pa.string())
+        self.ids, self.start, self.size = np.zeros(0, np.uint16), np.zeros(0, np.int64), np.zeros(0, np.int64)
+
+    def stems(self, new: pa.Array) -> tuple[np.ndarray, np.ndarray]:
+        rows = pc.binary_join(pa.ListArray.from_arrays(pa.array(np.append(np.arange(0, len(new), 100), len(new)), pa.int32()), pc.binary_join_element_wise("", new, " ")), "").to_pylist()
+        ids, _ = laid_out([x.ids for x in self.fast(rows, add_special_tokens=False)])
+        at = np.flatnonzero(self.opens[ids])
+        if len(at) != len(new):
+            raise ValueError("the vocabulary does not keep a leading space with its word")
+        return ids, np.diff(np.append(at, len(ids)))
+
+    def __call__(self, spaced: pa.Array, others: list[str]) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        stem = pc.utf8_rtrim(spaced, characters=",.!?;:")
+        whole = pc.invert(pc.match_substring_regex(stem, r"[\pL\pN]$"))
+        stem = pc.if_else(whole, spaced, stem)
+        stem, tail = stem.dictionary_encode(), self.tails(spaced, stem).dictionary_encode()
+        found = pc.index_in(stem.dictionary, value_set=self.known)
+        new = stem.dictionary.filter(found.is_null())
+        ids, size = self.stems(new) if len(new) else (self.ids[:0], self.size[:0])
+        rest, rest_size = laid_out([x.ids for x in self.fast(tail.dictionary.to_pylist() + others, add_special_tokens=False)])
+        flat = np.concatenate([self.ids, ids, rest])
+        start = np.concatenate([self.start, len(self.ids) + begins(size), len(self.ids) + len(ids) + begins(rest_size)])
+        sizes = np.concatenate([self.size, size, rest_size])
+        place = pc.fill_null(found, -1).to_numpy(zero_copy_only=False).astype(np.int64)
+        place[place < 0] = len(self.known) + np.arange(len(new))
+        base = len(self.known) + len(new)
+        pair = np.stack([place[stem.indices.to_numpy(zero_copy_only=False)], base + tail.indices.to_numpy(zero_copy_only=False)], 1)
+        joined = gather(flat, start[pair.ravel()], sizes[pair.ravel()])
+        piece_size = sizes[pair].sum(1)
+        last = base + len(tail.dictionary)
+        other = gather(flat, start[last:], sizes[last:])
+        if len(self.known) + len(new) <= self.limit:
+            self.known = pa.concat_arrays([self.known, new])
+            self.ids, self.start, self.size = np.concatenate([self.ids, ids]), start[:base], sizes[:base]
+        every = np.concatenate([piece_size, sizes[last:]])
+        return np.concatenate([joined, other]), begins(every), every
+
+    @staticmethod
+    def tails(spaced: pa.Array, stem: pa.Array) -> pa.Array:
+        """What follows each stem."""
+        size = pc.binary_length(spaced).to_numpy(zero_copy_only=False).astype(np.int64)
+        cut = pc.binary_length(stem).to_numpy(zero_copy_only=False).astype(np.int64)
+        data = np.frombuffer(b"".join(spaced.cast(pa.binary()).to_pylist()), np.uint8)
+        left = gather(data, begins(size) + cut, size - cut)
+        ends = np.concatenate([[0], np.cumsum(size - cut)]).astype(np.int32)
+        return pa.StringArray.from_buffers(len(spaced), pa.py_buffer(ends), pa.py_buffer(np.ascontiguousarray(left)))
+
+
+def worker_encoder(vocabulary: str) -> PieceEncoder:
+    """The encoder of a vocabulary, kept as long as the Python worker lives, over all tasks it runs."""
+    import sys
+    import types
+
+    from tokenizers import Tokenizer
+
+    kept = sys.modules.setdefault("tablemill_worker_cache", types.ModuleType("tablemill_worker_cache")).__dict__
+    if vocabulary not in kept:
+        kept[vocabulary] = PieceEncoder(Tokenizer.from_file(vocabulary))
+    return kept[vocabulary]
+
+
 class Sizes(list):
     """A list that knows its sum."""
 
