@@ -134,9 +134,9 @@ def agt_dsl(t):
     return A.Dsl.compile(text, lambda name: getattr(t, name))
 
 
-@query("agt_dag", "WITH d AS (SELECT event_type, ts::DATE AS day, avg(value) AS v FROM events GROUP BY 1, 2), f AS (SELECT event_type, avg(v) AS m FROM d GROUP BY 1) SELECT event_type, strftime(day, '%Y-%m-%d') AS day, round(v, 4) AS value, CASE WHEN v > m THEN 'above' ELSE 'below' END AS note FROM d JOIN f USING (event_type)")
+@query("agt_dag", "WITH d AS (SELECT event_type, ts::DATE AS day, avg(value) AS v FROM events GROUP BY 1, 2), f AS (SELECT event_type, avg(v) AS m FROM d GROUP BY 1) SELECT event_type, strftime(day, '%Y-%m-%d') AS day, round(v, 8) AS value, CASE WHEN v > m THEN 'above' ELSE 'below' END AS note FROM d JOIN f USING (event_type)")
 def agt_dag(t):
     """Intent, analysis and note as three steps."""
     daily = lambda: t.events.groupBy("event_type", F.date_format("ts", "yyyy-MM-dd").alias("day")).agg(F.avg("value").alias("v"))
-    steps = {"read": daily, "mean": lambda d: d.groupBy("event_type").agg(F.avg("v").alias("m")), "note": lambda d, m: d.join(F.broadcast(m), "event_type").select("event_type", "day", F.round("v", 4).alias("value"), F.when(F.col("v") > F.col("m"), "above").otherwise("below").alias("note"))}
+    steps = {"read": daily, "mean": lambda d: d.groupBy("event_type").agg(F.avg("v").alias("m")), "note": lambda d, m: d.join(F.broadcast(m), "event_type").select("event_type", "day", F.round("v", 8).alias("value"), F.when(F.col("v") > F.col("m"), "above").otherwise("below").alias("note"))}
     return A.Dag(steps, [("read", "mean"), ("read", "note"), ("mean", "note")]).run()["note"]

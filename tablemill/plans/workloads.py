@@ -395,7 +395,7 @@ def w32(t):
     return runs.join(tabs, "sample_id").select(F.col("sample_id").alias("question_id"), "tables", "status", F.col("n_rows").alias("rows"))
 
 
-@query("w33", "WITH d AS (SELECT event_type, ts::DATE AS day, avg(value) AS v FROM events GROUP BY 1, 2), m AS (SELECT event_type, avg(v) AS m FROM d GROUP BY 1) SELECT strftime(day, '%Y-%m-%d') AS day, event_type AS intent, round(v, 4) AS value, CASE WHEN v > m THEN 'above' ELSE 'below' END AS note FROM d JOIN m USING (event_type)")
+@query("w33", "WITH d AS (SELECT event_type, ts::DATE AS day, avg(value) AS v FROM events GROUP BY 1, 2), m AS (SELECT event_type, avg(v) AS m FROM d GROUP BY 1) SELECT strftime(day, '%Y-%m-%d') AS day, event_type AS intent, round(v, 8) AS value, CASE WHEN v > m THEN 'above' ELSE 'below' END AS note FROM d JOIN m USING (event_type)")
 def w33(t):
     return agent_plans.agt_dag(t).select("day", F.col("event_type").alias("intent"), "value", "note")
 
