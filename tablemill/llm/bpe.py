@@ -110,10 +110,10 @@ class Coder:
     def encode(self, spaced: pa.Array, others: list[str]) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
         """Ids of each distinct string: its pre-tokens, each merged separately."""
         parts = [self.cut(" " + s) for s in spaced.to_pylist()] + [self.cut(s) for s in others]
-        new = {w for p in parts for w in p if w not in self.known}
-        if len(self.known) + len(new) > CACHE:
-            self.known = {}
-            new = {w for p in parts for w in p}
+        kept = self.known
+        new = {w for p in parts for w in p if w not in kept}
+        # Words beyond what is remembered for good live as long as this call.
+        known = kept if len(kept) + len(new) <= CACHE else {}
         # Long words apart from short ones: a recursion takes as many rounds as its longest word.
         todo: list[bytes] = []
         for w in sorted(new, key=len):
@@ -122,15 +122,17 @@ class Coder:
             if rank is None:
                 todo.append(data)
             else:
-                self.known[w] = rank.to_bytes(2, "little")
+                known[w] = rank.to_bytes(2, "little")
         at = 0
         while at < len(todo):
             end = min(len(todo), at + max(1, min(CHUNK, 400_000 // max(1, len(todo[at])))))
             for data, ids in zip(todo[at:end], self.merge(todo[at:end])):
-                self.known[data.decode()] = ids
+                known[data.decode()] = ids
             at = end
-        known = self.known
-        each = [b"".join([known[w] for w in p]) for p in parts]
+        if known is kept:
+            each = [b"".join([kept[w] for w in p]) for p in parts]
+        else:
+            each = [b"".join([kept[w] if w in kept else known[w] for w in p]) for p in parts]
         sizes = np.fromiter(map(len, each), np.int64, len(each)) // 2
         return np.frombuffer(b"".join(each), "<u2"), begins(sizes), sizes
 
@@ -146,6 +148,17 @@ class Coder:
         return out
 
 
+def worker_coder(ranks_path: str, pattern: str) -> Coder:
+    """The coder of a rank file, kept as long as the Python worker lives, over all tasks it runs."""
+    import sys
+    import types
+
+    kept = sys.modules.setdefault("tablemill_worker_cache", types.ModuleType("tablemill_worker_cache")).__dict__
+    if (key := f"ranks {ranks_path} {pattern}") not in kept:
+        kept[key] = Coder(read_ranks(ranks_path), pattern)
+    return kept[key]
+
+
 def encoded(docs: DataFrame, ranks_path: str, pattern: str, text: str = "text", doc_id: str = "doc_id", fn=None, returns: str | None = None) -> DataFrame:
     """(doc_id, ids, decoded): 32-bit little-endian ids of each whole text, and the bytes decoded from them.
 
@@ -157,7 +170,7 @@ def encoded(docs: DataFrame, ranks_path: str, pattern: str, text: str = "text",
     def run(batches):
         coder = None
         for b in batches:
-            coder = coder or Coder(read_ranks(ranks_path), pattern)
+            coder = coder or worker_coder(ranks_path, pattern)
             for part in slices(b, 1):
                 flat, sizes = encode_texts(part.column(1), coder.encode)
                 ends = np.cumsum(sizes)
