@@ -36,27 +36,36 @@ def _seeded(key: str, below: int) -> int:
 
 
 def near_groups(docs: DataFrame, threshold: float = 0.8, bands: int = 32, rows: int = 4, width: int = 5) -> DataFrame:
-    """(doc_id, class_id, n_links): classes of documents whose shingle sets are ``threshold`` alike, by banded MinHash.
+    """(doc_id, class_id): classes of documents whose shingle sets are ``threshold`` alike, by banded MinHash.
 
-    Equal texts meet first, so a group of copies is one row. Every band bucket is
-    verified exactly; classes are the connected components, named by least id.
+    Equal texts meet first, so a group of copies is one row. Each band bucket is
+    compared with its least member; a bucket that is one component by then needs
+    no more, and only buckets that still hold several are compared across them.
+    All links are verified on the exact sets; a class is named by its least id.
     """
     kept = docs.select("doc_id", F.md5(F.coalesce("text", F.lit(""))).alias("fp"), "text")
     classes = kept.groupBy("fp").agg(F.min("doc_id").alias("rep"))
     members = kept.select("doc_id", "fp").join(classes, "fp").select("doc_id", "rep")
-    reps = docs.join(classes.select(F.col("rep").alias("doc_id")), "doc_id", "left_semi").select("doc_id", tokens(F.lower("text")).alias("words"))
+    reps = docs.join(classes.select(F.col("rep").alias("doc_id")), "doc_id", "left_semi").dropDuplicates(["doc_id"]).select("doc_id", tokens(F.lower("text")).alias("words"))
     signed = reps.select("doc_id", shingles(F.col("words"), width).alias("set"), minhash_signature(F.col("words"), bands * rows, width).alias("sig")).select("doc_id", F.transform("set", lambda s: F.xxhash64(s)).alias("set"), "sig").checkpoint()
-    banded = signed.select("doc_id", F.posexplode(F.array(*[F.xxhash64(F.slice("sig", 1 + i * rows, rows)) for i in range(bands)])).alias("band", "h"))
-    a, b = banded.alias("a"), banded.alias("b")
-    pairs = a.join(b, (F.col("a.band") == F.col("b.band")) & (F.col("a.h") == F.col("b.h")) & (F.col("a.doc_id") < F.col("b.doc_id"))).select(F.col("a.doc_id").alias("x"), F.col("b.doc_id").alias("y")).distinct()
     sets = signed.select("doc_id", "set")
-    both = pairs.join(sets.select(F.col("doc_id").alias("x"), F.col("set").alias("xs")), "x").join(sets.select(F.col("doc_id").alias("y"), F.col("set").alias("ys")), "y")
-    common = F.size(F.array_intersect("xs", "ys"))
-    links = both.where(common >= threshold * (F.size("xs") + F.size("ys") - common)).select("x", "y").checkpoint()
+    banded = signed.select("doc_id", F.posexplode(F.array(*[F.xxhash64(F.slice("sig", 1 + i * rows, rows)) for i in range(bands)])).alias("band", "h"))
+
+    def verified(pairs: DataFrame) -> DataFrame:
+        both = pairs.join(sets.select(F.col("doc_id").alias("x"), F.col("set").alias("xs")), "x").join(sets.select(F.col("doc_id").alias("y"), F.col("set").alias("ys")), "y")
+        common = F.size(F.array_intersect("xs", "ys"))
+        return both.where(common >= threshold * (F.size("xs") + F.size("ys") - common)).select("x", "y").checkpoint()
+
+    least = banded.groupBy("band", "h").agg(F.min("doc_id").alias("x"), F.max("doc_id").alias("top")).where("x < top").select("band", "h", "x")
+    links = verified(banded.join(least, ["band", "h"]).where("doc_id > x").select("x", F.col("doc_id").alias("y")).distinct())
     root = components(links)
-    degree = links.select(F.col("x").alias("rep")).unionByName(links.select(F.col("y").alias("rep"))).groupBy("rep").agg(F.count("*").alias("n_links"))
-    named = members.join(root.select(F.col("node").alias("rep"), "root"), "rep", "left").join(degree, "rep", "left")
-    return named.select("doc_id", F.coalesce("root", "rep").alias("class_id"), F.coalesce("n_links", F.lit(0)).cast("long").alias("n_links"))
+    named = banded.join(root.select(F.col("node").alias("doc_id"), "root"), "doc_id", "left").withColumn("root", F.coalesce("root", "doc_id"))
+    mixed = named.groupBy("band", "h").agg(F.min("root").alias("a"), F.max("root").alias("b")).where("a < b").select("band", "h")
+    left = named.join(mixed, ["band", "h"], "left_semi").checkpoint()
+    other = left.select("band", "h", F.col("doc_id").alias("y"), F.col("root").alias("other"))
+    across = left.join(other, ["band", "h"]).where("root < other").select(F.least("doc_id", "y").alias("x"), F.greatest("doc_id", "y").alias("y")).distinct()
+    root = components(links.unionByName(verified(across)))
+    return members.join(root.select(F.col("node").alias("rep"), "root"), "rep", "left").select("doc_id", F.coalesce("root", "rep").alias("class_id"))
 
 
 def components(links: DataFrame) -> DataFrame:

@@ -55,10 +55,8 @@ p AS (SELECT a.doc_id AS x, b.doc_id AS y, count(*) AS k FROM s a JOIN s b ON a.
 l AS (SELECT x, y FROM p JOIN n a ON a.doc_id = x JOIN n b ON b.doc_id = y WHERE k >= 0.8 * (a.n + b.n - k)),
 e AS (SELECT x, y FROM l UNION ALL SELECT y, x FROM l),
 r(node, root) AS (SELECT DISTINCT x, x FROM e UNION SELECT e.y, r.root FROM r JOIN e ON e.x = r.node WHERE r.root < e.y),
-m AS (SELECT node, min(root) AS root FROM r GROUP BY node),
-g AS (SELECT x AS rep, count(*) AS n_links FROM e GROUP BY x)
-SELECT d.doc_id, coalesce(m.root, c.rep) AS class_id, coalesce(g.n_links, 0)::BIGINT AS n_links
-FROM documents d JOIN c ON md5(d.text) = c.fp LEFT JOIN m ON m.node = c.rep LEFT JOIN g ON g.rep = c.rep"""
+m AS (SELECT node, min(root) AS root FROM r GROUP BY node)
+SELECT d.doc_id, coalesce(m.root, c.rep) AS class_id FROM documents d JOIN c ON md5(d.text) = c.fp LEFT JOIN m ON m.node = c.rep"""
 
 
 @query("cpt_near_dup_pairs", NEAR_SQL)
