@@ -70,13 +70,15 @@ def fitted(cells: DataFrame, targets: dict[str, DataFrame], rounds: int = ROUNDS
     """``cells`` (dimensions, n_tokens) with ``share``: their fitted part of all tokens."""
     total = cells.agg(F.sum("n_tokens")).first()[0] or 0
     now = cells.withColumn("share", F.col("n_tokens") / F.lit(float(max(total, 1))))
+    scaled = {}
+    for d in DIMENSIONS:
+        held = targets[d].join(cells.where("n_tokens > 0").select(F.col(d).alias("value")).distinct(), "value", "left_semi")
+        sum_of = held.agg(F.sum("target")).first()[0] or 1.0
+        scaled[d] = stored(held.select(F.col("value").alias(d), (F.col("target") / F.lit(sum_of)).alias("want")), f"scaled-{d}")
     for _ in range(rounds):
         for d in DIMENSIONS:
-            have = now.groupBy(F.col(d).alias("value")).agg(F.sum("share").alias("have"))
-            want = have.join(targets[d].select("value", "target"), "value").where("have > 0")
-            # Targets of the values that occur, scaled to 1.
-            sum_of = want.agg(F.sum("target").alias("all_targets"))
-            scale = want.crossJoin(F.broadcast(sum_of)).select(F.col("value").alias(d), (F.col("target") / F.col("all_targets") / F.col("have")).alias("scale"))
+            have = now.groupBy(d).agg(F.sum("share").alias("have")).where("have > 0")
+            scale = have.join(scaled[d], d).select(d, (F.col("want") / F.col("have")).alias("scale"))
             now = now.join(scale, d, "left").withColumn("share", F.col("share") * F.coalesce("scale", F.lit(0.0))).drop("scale")
         now = stored(now.select(*cells.columns, "share"), "raked")
     return now
