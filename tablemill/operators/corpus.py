@@ -9,6 +9,7 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from tablemill.functions import det
+from tablemill.functions.lineage import cut
 from tablemill.functions.text import FUNCTION_WORDS, count_matches, lines, ngrams, share, shingles, tokens
 
 # --- deduplication -----------------------------------------------------------
@@ -47,21 +48,21 @@ def near_groups(docs: DataFrame, threshold: float = 0.8, bands: int = 32, rows:
     classes = kept.groupBy("fp").agg(F.min("doc_id").alias("rep"))
     members = kept.select("doc_id", "fp").join(classes, "fp").select("doc_id", "rep")
     reps = docs.join(classes.select(F.col("rep").alias("doc_id")), "doc_id", "left_semi").dropDuplicates(["doc_id"]).select("doc_id", tokens(F.lower("text")).alias("words"))
-    signed = reps.select("doc_id", shingles(F.col("words"), width).alias("set"), minhash_signature(F.col("words"), bands * rows, width).alias("sig")).select("doc_id", F.transform("set", lambda s: F.xxhash64(s)).alias("set"), "sig").checkpoint()
+    signed = cut(reps.select("doc_id", shingles(F.col("words"), width).alias("set"), minhash_signature(F.col("words"), bands * rows, width).alias("sig")).select("doc_id", F.transform("set", lambda s: F.xxhash64(s)).alias("set"), "sig"))
     sets = signed.select("doc_id", "set")
     banded = signed.select("doc_id", F.posexplode(F.array(*[F.xxhash64(F.slice("sig", 1 + i * rows, rows)) for i in range(bands)])).alias("band", "h"))
 
     def verified(pairs: DataFrame) -> DataFrame:
         both = pairs.join(sets.select(F.col("doc_id").alias("x"), F.col("set").alias("xs")), "x").join(sets.select(F.col("doc_id").alias("y"), F.col("set").alias("ys")), "y")
         common = F.size(F.array_intersect("xs", "ys"))
-        return both.where(common >= threshold * (F.size("xs") + F.size("ys") - common)).select("x", "y").checkpoint()
+        return cut(both.where(common >= threshold * (F.size("xs") + F.size("ys") - common)).select("x", "y"))
 
     least = banded.groupBy("band", "h").agg(F.min("doc_id").alias("x"), F.max("doc_id").alias("top")).where("x < top").select("band", "h", "x")
     links = verified(banded.join(least, ["band", "h"]).where("doc_id > x").select("x", F.col("doc_id").alias("y")).distinct())
     root = components(links)
     named = banded.join(root.select(F.col("node").alias("doc_id"), "root"), "doc_id", "left").withColumn("root", F.coalesce("root", "doc_id"))
     mixed = named.groupBy("band", "h").agg(F.min("root").alias("a"), F.max("root").alias("b")).where("a < b").select("band", "h")
-    left = named.join(mixed, ["band", "h"], "left_semi").checkpoint()
+    left = cut(named.join(mixed, ["band", "h"], "left_semi"))
     other = left.select("band", "h", F.col("doc_id").alias("y"), F.col("root").alias("other"))
     across = left.join(other, ["band", "h"]).where("root < other").select(F.least("doc_id", "y").alias("x"), F.greatest("doc_id", "y").alias("y")).distinct()
     root = components(links.unionByName(verified(across)))
@@ -70,13 +71,13 @@ def near_groups(docs: DataFrame, threshold: float = 0.8, bands: int = 32, rows:
 
 def components(links: DataFrame) -> DataFrame:
     """(node, root) of the undirected links (x, y): least node of each component, by min-label rounds with pointer jumping."""
-    both = links.select("x", "y").unionByName(links.select(F.col("y").alias("x"), F.col("x").alias("y"))).distinct().checkpoint()
-    now = both.groupBy(F.col("x").alias("node")).agg(F.least(F.min("y"), F.first("x")).alias("root")).checkpoint()
+    both = cut(links.select("x", "y").unionByName(links.select(F.col("y").alias("x"), F.col("x").alias("y"))).distinct())
+    now = cut(both.groupBy(F.col("x").alias("node")).agg(F.least(F.min("y"), F.first("x")).alias("root")))
     while True:
         near = both.join(now.select(F.col("node").alias("y"), "root"), "y").groupBy(F.col("x").alias("node")).agg(F.min("root").alias("low"))
         new = now.join(near, "node").select("node", F.least("root", "low").alias("root"))
         jump = new.select(F.col("node").alias("root"), F.col("root").alias("next"))
-        new = new.join(jump, "root", "left").select("node", F.coalesce("next", "root").alias("root")).checkpoint()
+        new = cut(new.join(jump, "root", "left").select("node", F.coalesce("next", "root").alias("root")))
         changed = new.join(now.withColumnRenamed("root", "old"), "node").where("root <> old").limit(1).count()
         now = new
         if not changed:
@@ -410,7 +411,7 @@ def cosine_schedule(spark, steps: int, peak: float = 3e-5, warmup: float = 0.03)
     w = max(1, int(steps * warmup))
     s = F.col("step")
     lr = F.when(s < w, peak * (s + 1) / w).otherwise(0.5 * peak * (1 + F.cos(F.lit(3.141592653589793) * (s - w) / max(1, steps - w))))
-    return spark.range(steps).select(F.col("id").alias("step"), lr.alias("lr"))
+    return spark.range(steps).select(F.col("id").alias("step"), F.round(lr, 12).alias("lr"))
 
 
 def union_all(frames: list[DataFrame]) -> DataFrame:

@@ -68,7 +68,7 @@ def _g3(c):
 
 @query("agt_knowledge", f"""WITH {CHUNK_SQL}, q AS (SELECT item_id AS query_id, unnest({_g3("b")}) AS g FROM (SELECT item_id, regexp_extract_all(lower(text), '\\S+') AS b FROM benchmark)),
 c AS (SELECT doc_id, pos, unnest({_g3("b")}) AS g FROM (SELECT doc_id, pos, regexp_extract_all(lower(text), '\\S+') AS b FROM ch)), h AS (SELECT query_id, doc_id, pos, count(*)::BIGINT AS hits FROM c JOIN q USING (g) GROUP BY 1, 2, 3)
-SELECT query_id, doc_id, pos, hits, rank FROM (SELECT *, row_number() OVER (PARTITION BY query_id ORDER BY hits DESC, doc_id, pos) AS rank FROM h) WHERE rank <= 3""")
+SELECT query_id, doc_id, pos, hits, rank::INT AS rank FROM (SELECT *, row_number() OVER (PARTITION BY query_id ORDER BY hits DESC, doc_id, pos) AS rank FROM h) WHERE rank <= 3""")
 def agt_knowledge(t):
     """Fragments for every test passage."""
     return A.knowledge(t.benchmark.select(F.col("item_id").alias("query_id"), F.col("text").alias("query")), t.documents)

@@ -215,7 +215,7 @@ def transpose_cells(t):
 # --- windows and order -------------------------------------------------------
 
 
-@query("win_rank_brand", "SELECT p_partkey, p_brand, rank() OVER w AS rk, dense_rank() OVER w AS dr, round(percent_rank() OVER w, 6) AS pr, round(cume_dist() OVER w, 6) AS cd FROM part WINDOW w AS (PARTITION BY p_brand ORDER BY p_size)")
+@query("win_rank_brand", "SELECT p_partkey, p_brand, (rank() OVER w)::INT AS rk, (dense_rank() OVER w)::INT AS dr, round(percent_rank() OVER w, 6) AS pr, round(cume_dist() OVER w, 6) AS cd FROM part WINDOW w AS (PARTITION BY p_brand ORDER BY p_size)")
 def win_rank_brand(t):
     w = Window.partitionBy("p_brand").orderBy("p_size")
     return t.part.select("p_partkey", "p_brand", F.rank().over(w).alias("rk"), F.dense_rank().over(w).alias("dr"), r6(F.percent_rank().over(w), "pr"), r6(F.cume_dist().over(w), "cd"))
@@ -250,7 +250,7 @@ def topk_customers(t):
     return t.customer.select("c_custkey", "c_acctbal").orderBy(F.desc("c_acctbal"), "c_custkey").limit(10)
 
 
-@query("topk_per_group", "SELECT p_type, p_partkey, rk FROM (SELECT p_type, p_partkey, row_number() OVER (PARTITION BY p_type ORDER BY p_retailprice DESC, p_partkey) AS rk FROM part) WHERE rk <= 3")
+@query("topk_per_group", "SELECT p_type, p_partkey, rk::INT AS rk FROM (SELECT p_type, p_partkey, row_number() OVER (PARTITION BY p_type ORDER BY p_retailprice DESC, p_partkey) AS rk FROM part) WHERE rk <= 3")
 def topk_per_group(t):
     w = Window.partitionBy("p_type").orderBy(F.desc("p_retailprice"), "p_partkey")
     return t.part.select("p_type", "p_partkey", F.row_number().over(w).alias("rk")).where("rk <= 3")

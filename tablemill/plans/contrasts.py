@@ -4,6 +4,7 @@ from __future__ import annotations
 
 from pyspark.sql import functions as F
 
+from tablemill.functions.lineage import cut
 from tablemill.operators import corpus as C
 from tablemill.operators import encoder as E
 from tablemill.operators import factory as X
@@ -46,7 +47,7 @@ def x03(t):
 @query("x04_token_choice", " UNION ALL ".join(f"SELECT * FROM (WITH {LM_SQL}, y AS (SELECT *, {MASKS[m]} AS keep FROM x WINDOW d AS (PARTITION BY doc_id)) SELECT '{m}' AS mode, sum(n) FILTER (WHERE keep)::BIGINT AS kept, round(sum(n * excess) FILTER (WHERE keep) / sum(n) FILTER (WHERE keep), 6) AS mean_excess FROM y)" for m in MASKS))
 def x04(t):
     """Mean excess loss of the kept tokens: chosen, at random, or all."""
-    scored = C.excess(t.documents, t.labels).checkpoint()
+    scored = cut(C.excess(t.documents, t.labels))
     kept = F.when(F.col("keep"), F.col("n"))
     return C.union_all([C.masked(scored, mode=m).agg(F.lit(m).alias("mode"), F.sum(kept).alias("kept"), F.round(F.sum(kept * F.col("excess")) / F.sum(kept), 6).alias("mean_excess")) for m in MASKS])
 

@@ -312,7 +312,7 @@ def cpt_pack_compare(t):
     return C.union_all(out)
 
 
-@query("cpt_lr_schedule", "SELECT range AS step, CASE WHEN range < 30 THEN 3e-5 * (range + 1) / 30 ELSE 0.5 * 3e-5 * (1 + cos(3.141592653589793 * (range - 30) / 970)) END AS lr FROM range(1000)")
+@query("cpt_lr_schedule", "SELECT range AS step, round(CASE WHEN range < 30 THEN 3e-5 * (range + 1) / 30 ELSE 0.5 * 3e-5 * (1 + cos(3.141592653589793 * (range - 30) / 970)) END, 12) AS lr FROM range(1000)")
 def cpt_lr_schedule(t):
     return C.cosine_schedule(t.spark, 1000)
 

@@ -201,7 +201,7 @@ def board_eligible(t):
     return M.eligible(M.scores_frame(t.spark))
 
 
-@query("board_volume", r"SELECT 'documents' AS kind, count(*)::BIGINT AS n, count(DISTINCT source)::BIGINT AS sources, sum(len(regexp_extract_all(text, '\S+')))::BIGINT AS tokens FROM documents UNION ALL SELECT 'dialogues', count(DISTINCT conv_id), 1, sum(len(regexp_extract_all(text, '\S+'))) FROM conversations")
+@query("board_volume", r"SELECT 'documents' AS kind, count(*)::BIGINT AS n, count(DISTINCT source)::BIGINT AS sources, sum(len(regexp_extract_all(text, '\S+')))::BIGINT AS tokens FROM documents UNION ALL SELECT 'dialogues', count(DISTINCT conv_id), 1, sum(len(regexp_extract_all(text, '\S+')))::BIGINT FROM conversations")
 def board_volume(t):
     n = F.size(F.regexp_extract_all("text", F.lit(r"\S+"), F.lit(0)))
     a = t.documents.agg(F.lit("documents").alias("kind"), F.count("*").alias("n"), F.countDistinct("source").alias("sources"), F.sum(n).alias("tokens"))

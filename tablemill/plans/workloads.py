@@ -6,6 +6,7 @@ from pyspark.sql import Window
 from pyspark.sql import functions as F
 
 from tablemill.functions import det
+from tablemill.functions.lineage import cut
 from tablemill.operators import agent as A
 from tablemill.operators import corpus as C
 from tablemill.operators import encoder as E
@@ -330,7 +331,7 @@ def w27(t):
     return C.union_all([count("all", t.documents), count("exact", first), count("filtered", kept), count("neutral", clean), loss])
 
 
-@query("w27_dedup_contrast", f"SELECT 'none' AS way, count(*)::BIGINT AS docs, sum(len({TOK}))::BIGINT AS tokens FROM documents UNION ALL SELECT 'exact', count(*), sum(len({TOK})) FROM documents WHERE doc_id IN (SELECT min(doc_id) FROM documents GROUP BY md5(text))")
+@query("w27_dedup_contrast", f"SELECT 'none' AS way, count(*)::BIGINT AS docs, sum(len({TOK}))::BIGINT AS tokens FROM documents UNION ALL SELECT 'exact', count(*), sum(len({TOK}))::BIGINT FROM documents WHERE doc_id IN (SELECT min(doc_id) FROM documents GROUP BY md5(text))")
 def w27_dedup_contrast(t):
     n = F.size(F.regexp_extract_all("text", F.lit(r"\S+"), F.lit(0))).cast("long")
     first = t.documents.join(C.exact(t.documents).select("doc_id"), "doc_id", "left_semi")
@@ -343,7 +344,7 @@ def w28(t):
     cells = E.embed(encoder_plans.snapshot_cells(t))
     tagged = cells.withColumn("table_id", F.concat_ws("#", "table_id", F.col("snap").cast("string")))
     vecs = E.pool(tagged).select(F.split("table_id", "#")[0].alias("table_id"), F.split("table_id", "#")[1].cast("int").alias("snap"), "col_id", "vec")
-    vecs = E.batches(vecs, 256).checkpoint()
+    vecs = cut(E.batches(vecs, 256))
     same = vecs.where("snap = 0").unionByName(vecs.where("snap = 0").withColumn("snap", F.lit(1)))
     out = [E.contrast_loss(vecs, tau).agg(F.lit("two_samples").alias("way"), F.lit(tau).alias("tau"), F.round(F.avg("loss"), 4).alias("loss")) for tau in (0.07, 0.5)]
     return C.union_all([*out, E.contrast_loss(same, 0.07).agg(F.lit("same_rows").alias("way"), F.lit(0.07).alias("tau"), F.round(F.avg("loss"), 4).alias("loss"))])
