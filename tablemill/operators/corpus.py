@@ -10,7 +10,7 @@ from pyspark.sql import functions as F
 
 from tablemill.functions import det
 from tablemill.functions.lineage import cut
-from tablemill.functions.text import FUNCTION_WORDS, count_matches, lines, ngrams, share, shingles, tokens
+from tablemill.functions.text import FUNCTION_WORDS, count_matches, let, lines, ngrams, share, shingles, tokens
 
 # --- deduplication -----------------------------------------------------------
 
@@ -94,12 +94,13 @@ def repeated_lines(docs: DataFrame, min_docs: int = 2, min_chars: int = 10) -> D
 
 
 def language_scores(text: Column) -> dict[str, Column]:
-    words = tokens(F.lower(text))
+    """Share of function words of each language; the words are cut once for all of them."""
 
-    def score(known):
+    def score(words, known):
         return share(F.size(F.filter(words, lambda w: w.isin(known))).cast("double"), F.size(words))
 
-    return {lang: score(known) for lang, known in FUNCTION_WORDS.items()}
+    every = let(tokens(F.lower(text)), lambda words: F.array(*[score(words, known) for known in FUNCTION_WORDS.values()]))
+    return {lang: every[i] for i, lang in enumerate(FUNCTION_WORDS)}
 
 
 def basic_tags(docs: DataFrame) -> DataFrame:
@@ -119,8 +120,9 @@ def basic_tags(docs: DataFrame) -> DataFrame:
     )
 
 
-def tag_columns(text: Column, ws: Column, ls: Column) -> dict[str, Column]:
-    """All other tags in groups: length, characters, lines, repetition, language, content, code."""
+def tag_columns(text: Column, ws: Column, ls: Column, wh: Column | None = None) -> dict[str, Column]:
+    """All other tags in groups: length, characters, lines, repetition, language, content, code. ``wh``: hashes of the words."""
+    wh = F.transform(ws, lambda w: F.xxhash64(w)) if wh is None else wh
     n = F.length(text)
 
     def chars(pattern):
@@ -130,14 +132,10 @@ def tag_columns(text: Column, ws: Column, ls: Column) -> dict[str, Column]:
         return F.size(F.filter(ls, cond)) / F.size(ls)
 
     def dup_grams(k):
-        grams = ngrams(ws, k)
-        return share((F.size(grams) - F.size(F.array_distinct(grams))).cast("double"), F.size(grams))
+        return let(hash_grams(wh, k), lambda g: share((F.size(g) - F.size(F.array_distinct(g))).cast("double"), F.size(g)))
 
     def top_gram(k):
-        def best(grams):
-            return F.aggregate(F.array_sort(grams), F.struct(F.lit("").alias("last"), F.lit(0).alias("run"), F.lit(0).alias("best")), _run_length, lambda s: s["best"])
-
-        return F.transform(F.array(ngrams(ws, k)), lambda g: share(best(g).cast("double"), F.size(g)))[0]
+        return let(hash_grams(wh, k), lambda g: share(F.array_max(run_lengths(g)).cast("double"), F.size(g)))
 
     words_len = F.transform(ws, lambda w: F.length(w))
     line_len = F.transform(ls, lambda x: F.length(x))
@@ -164,7 +162,7 @@ def tag_columns(text: Column, ws: Column, ls: Column) -> dict[str, Column]:
         # repetition
         "top2gram_frac": top_gram(2), "top3gram_frac": top_gram(3), "top4gram_frac": top_gram(4), "dup5gram_frac": dup_grams(5), "dup10gram_frac": dup_grams(10),
         "uniq_word_frac": share(F.size(F.array_distinct(ws)).cast("double"), F.size(ws)),
-        "word_entropy": _entropy(ws),
+        "word_entropy": _entropy(wh),
         # language
         "stopword_count": n_stop.cast("long"), "stopword_frac": share(n_stop.cast("double"), F.size(ws)), "lang_margin": ranked[0] - ranked[1],
         # content
@@ -176,17 +174,27 @@ def tag_columns(text: Column, ws: Column, ls: Column) -> dict[str, Column]:
     }
 
 
-def _run_length(s: Column, x: Column) -> Column:
-    run = F.when(x == s["last"], s["run"] + 1).otherwise(1)
-    return F.struct(x.alias("last"), run.alias("run"), F.greatest(s["best"], run).alias("best"))
+def hash_grams(wh: Column, k: int) -> Column:
+    """A hash of each run of k word hashes; none if there are fewer words."""
+    none = F.expr("cast(array() as array<bigint>)")
+    return let(wh, lambda h: F.when(F.size(h) >= k, F.transform(F.sequence(F.lit(1), F.size(h) - (k - 1)), lambda i: F.xxhash64(F.slice(h, i, k)))).otherwise(none))
+
+
+def run_lengths(values: Column) -> Column:
+    """How often each distinct value occurs, by the borders of the sorted array."""
+    none = F.expr("cast(array() as array<int>)")
+
+    def lengths(s):
+        borders = F.filter(F.sequence(F.lit(0), F.size(s) - 1), lambda i: (i == 0) | (F.get(s, i) != F.get(s, i - 1)))
+        return let(borders, lambda b: F.transform(b, lambda p, j: F.coalesce(F.get(b, j + 1), F.size(s)) - p))
+
+    return let(F.sort_array(values), lambda s: F.when(F.size(s) > 0, lengths(s)).otherwise(none))
 
 
-def _entropy(ws: Column) -> Column:
-    """Bits of the word distribution: log2 n - sum(c log2 c) / n over the run lengths of the sorted words."""
-    step = lambda s, x: F.struct(x.alias("last"), F.when(x == s["last"], s["run"] + 1).otherwise(1).alias("run"), F.when(x == s["last"], s["total"]).otherwise(s["total"] + _clog(s["run"])).alias("total"))
-    start = F.struct(F.lit("").alias("last"), F.lit(0).alias("run"), F.lit(0.0).alias("total"))
-    n = F.size(ws)
-    return F.when(n > 0, F.log2(n.cast("double")) - F.aggregate(F.array_sort(ws), start, step, lambda s: s["total"] + _clog(s["run"])) / n)
+def _entropy(wh: Column) -> Column:
+    """Bits of the word distribution: log2 n - sum(c log2 c) / n over the counts of the words."""
+    n = F.size(wh)
+    return F.when(n > 0, F.log2(n.cast("double")) - F.aggregate(run_lengths(wh), F.lit(0.0), lambda a, c: a + _clog(c)) / n)
 
 
 def _clog(c: Column) -> Column:
@@ -194,8 +202,8 @@ def _clog(c: Column) -> Column:
 
 
 def all_tags(docs: DataFrame) -> DataFrame:
-    base = docs.select("doc_id", "text", tokens(F.col("text")).alias("ws"), lines(F.col("text")).alias("ls"))
-    return base.select("doc_id", *[c.alias(k) for k, c in tag_columns(F.col("text"), F.col("ws"), F.col("ls")).items()])
+    base = docs.select("doc_id", "text", tokens(F.col("text")).alias("ws"), lines(F.col("text")).alias("ls")).withColumn("wh", F.transform("ws", lambda w: F.xxhash64(w)))
+    return base.select("doc_id", *[c.alias(k) for k, c in tag_columns(F.col("text"), F.col("ws"), F.col("ls"), F.col("wh")).items()])
 
 
 # --- filters -----------------------------------------------------------------

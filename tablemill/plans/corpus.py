@@ -5,6 +5,7 @@ from __future__ import annotations
 from pyspark.sql import functions as F
 
 from tablemill.functions import det
+from tablemill.functions.lineage import cut
 from tablemill.functions.text import FUNCTION_WORDS, tokens
 from tablemill.operators import corpus as C
 from tablemill.operators import samples as S
@@ -257,8 +258,8 @@ CLEAN_SQL = DECIDE_SQL.replace("WITH b AS", "WITH u AS (SELECT * FROM documents
 def _curated(t):
     """Exact duplicates out, then the policy."""
     first = C.exact(t.documents).select("doc_id")
-    kept = t.documents.join(first, "doc_id", "left_semi")
-    return kept.join(C.decide(kept).where("keep").select("doc_id"), "doc_id", "left_semi")
+    kept = t.documents.select("doc_id", "text").join(C.decide(t.documents).where("keep").select("doc_id"), "doc_id", "left_semi")
+    return kept.join(first, "doc_id", "left_semi")
 
 
 CURATED = f"""documents_all AS (SELECT * FROM documents), kept AS ({DECIDE_SQL.replace('WITH b AS', 'WITH b AS', 1)}),
@@ -269,8 +270,8 @@ cur AS (SELECT d.* FROM documents_all d JOIN kept ON d.doc_id = kept.doc_id WHER
 , y AS (SELECT *, excess >= 0.6 AS keep FROM x)
 SELECT doc_id, sum(n)::BIGINT AS n_tokens, coalesce(sum(n) FILTER (WHERE keep), 0)::BIGINT AS n_kept, round(sum(n * loss_cur) FILTER (WHERE keep) / sum(n) FILTER (WHERE keep), 6) AS loss FROM y GROUP BY doc_id""")
 def cpt_selective_loss(t):
-    """Method I in short: deduplicate, filter, score tokens, mask, average the kept losses."""
-    return C.selective_loss(C.masked(C.excess(_curated(t), t.labels)))
+    """Method I in short: deduplicate, filter, score tokens, mask, average the kept losses. The curated corpus is written once, as three passes read it."""
+    return C.selective_loss(C.masked(C.excess(cut(_curated(t)), t.labels)))
 
 
 @query("cpt_mix_ratio", f"""
