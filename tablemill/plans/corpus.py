@@ -271,7 +271,8 @@ cur AS (SELECT d.* FROM documents_all d JOIN kept ON d.doc_id = kept.doc_id WHER
 SELECT doc_id, sum(n)::BIGINT AS n_tokens, coalesce(sum(n) FILTER (WHERE keep), 0)::BIGINT AS n_kept, round(sum(n * loss_cur) FILTER (WHERE keep) / sum(n) FILTER (WHERE keep), 6) AS loss FROM y GROUP BY doc_id""")
 def cpt_selective_loss(t):
     """Method I in short: deduplicate, filter, score tokens, mask, average the kept losses. The curated corpus is written once, as three passes read it."""
-    return C.selective_loss(C.masked(C.excess(cut(_curated(t)), t.labels)))
+    parts = int(t.spark.conf.get("spark.sql.shuffle.partitions"))
+    return C.selective_loss(C.masked(C.excess(cut(_curated(t).repartition(parts, "doc_id")), t.labels)))
 
 
 @query("cpt_mix_ratio", f"""

@@ -26,8 +26,10 @@ class TableParser(HTMLParser):
             self.tables.append([])
             self.row, self.taken = -1, set()
         elif tag == "tr" and self.tables:
-            self.row, self.col = self.row + 1, 0
+            self.row, self.col = int(a["data-r"]) if str(a.get("data-r", "")).isdigit() else self.row + 1, 0
         elif tag in ("td", "th") and self.tables:
+            if str(a.get("data-c", "")).isdigit():  # a table with holes says where its cells are
+                self.col = int(a["data-c"])
             while (self.row, self.col) in self.taken:
                 self.col += 1
             span = lambda k: int(a[k]) if str(a.get(k, "")).isdigit() and int(a[k]) > 0 else 1
@@ -61,14 +63,14 @@ def from_html(pages: DataFrame, key: str, html: str) -> DataFrame:
 
 
 def to_html(grid: DataFrame) -> DataFrame:
-    """(table_id, html): a grid as table markup with its spans."""
+    """(table_id, html): a grid as table markup with its spans; cells carry their place, as a grid may have holes."""
     from pyspark.sql import functions as F
 
     tag = F.when(F.col("is_header"), "th").otherwise("td")
     attr = lambda name: F.when(F.col(name) > 1, F.concat(F.lit(f' {name}="'), F.col(name).cast("string"), F.lit('"'))).otherwise("")
-    cell = F.concat(F.lit("<"), tag, attr("rowspan"), attr("colspan"), F.lit(">"), F.coalesce("value", F.lit("")), F.lit("</"), tag, F.lit(">"))
+    cell = F.concat(F.lit("<"), tag, F.lit(' data-c="'), F.col("c").cast("string"), F.lit('"'), attr("rowspan"), attr("colspan"), F.lit(">"), F.coalesce("value", F.lit("")), F.lit("</"), tag, F.lit(">"))
     rows = grid.withColumn("cell", cell).groupBy("table_id", "r").agg(F.array_join(F.transform(F.array_sort(F.collect_list(F.struct("c", "cell"))), lambda x: x["cell"]), "").alias("cells"))
-    lines = F.array_join(F.transform(F.array_sort(F.collect_list(F.struct("r", "cells"))), lambda x: F.concat(F.lit("<tr>"), x["cells"], F.lit("</tr>"))), "")
+    lines = F.array_join(F.transform(F.array_sort(F.collect_list(F.struct("r", "cells"))), lambda x: F.concat(F.lit('<tr data-r="'), x["r"].cast("string"), F.lit('">'), x["cells"], F.lit("</tr>"))), "")
     return rows.groupBy("table_id").agg(F.concat(F.lit("<table>"), lines, F.lit("</table>")).alias("html"))
 
 
