@@ -18,6 +18,13 @@ keys a fingerprint link it in linear work.
 Shards return spanning forests, never all pairs; forests are merged by
 alternating star contraction with stored rounds.
 
+The pipeline's stage (``near_dedup``) has another rule: texts whose five-word
+shingle sets have a Jaccard similarity of 0.8 or more are near copies. Their
+fingerprints lie up to 11 bits and more apart, where a vantage-point tree no
+longer parts anything (a shell that wide holds most fingerprints), so candidates
+come from MinHash bands, in such number that fewer than one in ``1 / MISS`` pairs
+at the least similarity is missed, and every link is confirmed on the exact sets.
+
 Defined results: null and empty texts have fingerprint zero and are linked like
 any other; rows with a null document id get a fingerprint but no component and
 always stay; repeated rows are one document.
@@ -25,6 +32,9 @@ always stay; repeated rows are one document.
 
 from __future__ import annotations
 
+from collections.abc import Callable
+from math import ceil, log
+
 import numpy as np
 import pyarrow as pa
 import xxhash
@@ -32,12 +42,16 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from tablemill.llm.common import columns, free_name, stored, whole
+from tablemill.llm.licenses import MISS, permutations, permuted, shingle_hashes
 
 BITS = 2
 SHINGLE = 3
 SAMPLE = 8192
 PER_SHARD = 4000
 LEAF = 384
+NEAR_SHINGLE = 5
+NEAR = 0.8
+BAND_ROWS = 4
 
 
 def text_fingerprint(text: bytes, shingle: int = SHINGLE, seed: int = 42) -> int:
@@ -246,8 +260,13 @@ def star_components(edges: DataFrame) -> DataFrame:
 
 def components(prints: DataFrame, sample: int = SAMPLE, per_shard: int = PER_SHARD) -> DataFrame:
     """doc_id, fp, component_id of fingerprinted documents (a stored table of doc_id, fp)."""
+    return joined(prints, lambda distinct: shard_links(distinct, sample, per_shard))
+
+
+def joined(prints: DataFrame, linked_by: Callable[[DataFrame], DataFrame]) -> DataFrame:
+    """doc_id, fp, component_id, given what links the distinct fingerprints (fp, low, high)."""
     distinct = stored(prints.where("doc_id is not null").groupBy("fp").agg(F.min("doc_id").alias("low"), F.max("doc_id").alias("high")), "distinct-prints")
-    roots = star_components(shard_links(distinct, sample, per_shard))
+    roots = star_components(linked_by(distinct))
     linked = roots.select(F.col("node").alias("fp"), "root").unionByName(roots.select(F.col("root").alias("fp"), "root").distinct())
     of = distinct.join(linked, "fp", "left").where("root is not null or low < high").withColumn("root", F.coalesce("root", "fp"))
     least = of.groupBy("root").agg(F.min("low").alias("component"))
@@ -259,13 +278,99 @@ def groups(docs: DataFrame, text: str = "text", doc_id: str = "doc_id") -> DataF
     return components(stored(fingerprints(docs, text, doc_id), "prints"))
 
 
-def near_dedup(docs: DataFrame, text: str = "text", doc_id: str = "doc_id") -> DataFrame:
-    """One document of each group stays: the smallest id. Other columns pass through."""
+def near_dedup(docs: DataFrame, text: str = "text", doc_id: str = "doc_id", shingle: int = NEAR_SHINGLE, least: float = NEAR) -> DataFrame:
+    """One document of each group of near copies stays: the smallest id. Other columns pass through."""
     name = free_name(docs, "_leaves")
-    leaves = groups(docs, text, doc_id).where("component_id < doc_id").select(F.col("doc_id").alias(name)).distinct()
+    leaves = near_groups(docs, text, doc_id, shingle, least).where("component_id < doc_id").select(F.col("doc_id").alias(name)).distinct()
     return docs.join(leaves, F.col(doc_id).cast("long") == F.col(name), "left_anti")
 
 
+# --- near copies of the pipeline -------------------------------------------
+
+
+def shingle_set(text: str | None, shingle: int = NEAR_SHINGLE) -> np.ndarray:
+    """Sorted hashes of the distinct runs of ``shingle`` words (all words of a shorter text); no word gives none."""
+    keys = np.array([xxhash.xxh64_intdigest(w) for w in (text or "").lower().split()], np.uint64)
+    return np.unique(shingle_hashes(keys, min(shingle, len(keys)))) if len(keys) else keys
+
+
+def band_keys(sets: list[np.ndarray], bands: int, rows: int = BAND_ROWS) -> np.ndarray:
+    """One key a band and set, from ``rows`` minima each; empty sets are not allowed."""
+    flat, starts = np.concatenate(sets), np.cumsum([0, *map(len, sets[:-1])])
+    out = np.empty((len(sets), bands), np.uint64)
+    draws = zip(*permutations(bands * rows))
+    for band in range(bands):
+        key = np.full(len(sets), band, np.uint64)
+        for _ in range(rows):
+            low = np.minimum.reduceat(permuted(flat, *next(draws)), starts)
+            key = permuted(key ^ low, np.uint64(0x9E3779B97F4A7C15), np.uint64(0))
+        out[:, band] = key
+    return out
+
+
+def shingled(docs: DataFrame, text: str, doc_id: str, shingle: int, bands: int = 0) -> DataFrame:
+    """(doc_id, fp, hashes) of every row: fp stands for the set of shingles; hashes are the keys of its bands, or the set itself if ``bands`` is 0."""
+    shape = pa.schema([("doc_id", pa.int64()), ("fp", pa.int64()), ("hashes", pa.list_(pa.int64()))])
+
+    def lists(parts: list[np.ndarray]) -> pa.Array:
+        ends = np.cumsum([0, *map(len, parts)]).astype(np.int32)
+        return pa.ListArray.from_arrays(pa.array(ends), pa.array(np.concatenate([np.zeros(0, np.uint64), *parts]).view(np.int64)))
+
+    def run(batches):
+        for b in batches:
+            for at in range(0, b.num_rows, 200):
+                part = b.slice(at, 200)
+                sets = [shingle_set(t, shingle) for t in part.column(1).to_pylist()]
+                keys = iter(band_keys(some, bands)) if bands and (some := [s for s in sets if len(s)]) else iter(())
+                shown = [next(keys) if len(s) else s for s in sets] if bands else sets
+                fps = np.array([xxhash.xxh64_intdigest(s.tobytes()) if len(s) else 0 for s in sets], np.uint64)
+                yield pa.RecordBatch.from_arrays([part.column(0), pa.array(fps.view(np.int64)), lists(shown)], schema=shape)
+
+    return docs.select(F.col(doc_id).cast("long"), F.col(text).cast("string")).mapInArrow(run, "doc_id long, fp long, hashes array<long>")
+
+
+def near_links(prints: DataFrame, distinct: DataFrame, least: float, sets_of: Callable[[DataFrame], DataFrame]) -> DataFrame:
+    """(a, b): links between sets that are ``least`` alike, enough to hold all components together.
+
+    Each band bucket is compared with its least member first; only a bucket that
+    still holds several components is compared across them. Every link is
+    confirmed on the exact sets, which are made for candidates only.
+    """
+    banded = prints.select("fp", F.explode("hashes").alias("key"))
+    heads = banded.groupBy("key").agg(F.min("fp").alias("a"), F.max("fp").alias("top")).where("a < top").select("key", "a")
+    shared = stored(banded.join(heads, "key").groupBy("key", "a", "fp").agg(F.lit(1).alias("_")).drop("_"), "buckets")
+    pairs = shared.where("a < fp").select("a", F.col("fp").alias("b")).distinct()
+    wanted = distinct.join(shared.select("fp").distinct(), "fp", "left_semi").select(F.col("low").alias("doc_id")).distinct()
+    sets = stored(sets_of(wanted), "near-sets")
+
+    def confirmed(some: DataFrame) -> DataFrame:
+        both = some.join(sets.select(F.col("fp").alias("a"), F.col("hashes").alias("x")), "a").join(sets.select(F.col("fp").alias("b"), F.col("hashes").alias("y")), "b")
+        sizes = F.size("x") + F.size("y")
+        both = both.where(F.least(F.size("x"), F.size("y")) >= F.lit(least) * F.greatest(F.size("x"), F.size("y"))).withColumn("common", F.size(F.array_intersect("x", "y")))
+        return stored(both.where(F.col("common") >= F.lit(least) * (sizes - F.col("common"))).select("a", "b"), "near-links")
+
+    first = confirmed(pairs)
+    roots = star_components(first)
+    named = shared.select("key", "fp").join(roots.select(F.col("node").alias("fp"), "root"), "fp", "left").withColumn("root", F.coalesce("root", "fp"))
+    several = named.groupBy("key").agg(F.min("root").alias("low"), F.max("root").alias("top")).where("low < top").select("key")
+    left = stored(named.join(several, "key"), "near-left")
+    across = left.select("key", F.col("fp").alias("a"), F.col("root").alias("ra")).join(left.select("key", F.col("fp").alias("b"), F.col("root").alias("rb")), "key")
+    return first.unionByName(confirmed(across.where("a < b and ra <> rb").select("a", "b").distinct()))
+
+
+def near_groups(docs: DataFrame, text: str = "text", doc_id: str = "doc_id", shingle: int = NEAR_SHINGLE, least: float = NEAR) -> DataFrame:
+    """doc_id, fp, component_id: components of documents whose shingle sets have a Jaccard similarity of ``least`` or more."""
+    bands = 1 if least >= 1 else ceil(log(MISS) / log(1 - least**BAND_ROWS))
+    prints = stored(shingled(docs, text, doc_id, shingle, bands), "shingles")
+
+    def sets_of(wanted: DataFrame) -> DataFrame:
+        """(fp, hashes) of documents (doc_id), one row a set; a further set under a repeated id does no harm."""
+        rows = docs.select(F.col(doc_id).cast("long").alias("doc_id"), F.col(text).alias("text")).join(wanted, "doc_id", "left_semi")
+        return shingled(rows, "text", "doc_id", shingle).select("fp", "hashes").dropDuplicates(["fp"])
+
+    return joined(prints, lambda distinct: near_links(prints, distinct, least, sets_of))
+
+
 def op8_simhash_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     found = groups(spark.read.parquet(f"{sf_dir}/documents.parquet"))
     return found.select("doc_id", F.lower(F.lpad(F.hex("fp"), 16, "0")).alias("fingerprint"), "component_id")
