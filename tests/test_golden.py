@@ -280,3 +280,14 @@ def test_prompts_and_rows_round_trip(t):
     back = X.parse_receipts(X.receipts(t.orders, t.lineitem))
     assert back.count() == t.lineitem.join(t.orders, F.col("l_orderkey") == F.col("o_orderkey")).count()
     assert X.prompts(X.questions(t.spark)).where(F.col("prompt").contains("{")).count() == 0
+
+
+def test_sql_results_are_taken_whole(spark):
+    """More rows than 200: all are counted, the hash is free of order and sees every row."""
+    orders = spark.read.parquet("/root/testdata/sf0.001/orders.parquet")
+    some = "SELECT o_orderkey, CASE WHEN o_orderkey > 9 THEN o_totalprice / 3.0e0 END FROM orders"
+    statements = [("plain", some), ("turned", f"{some} ORDER BY o_orderkey DESC"), ("less", f"{some} WHERE o_orderkey < (SELECT max(o_orderkey) FROM orders)"), ("other", some.replace("> 9", "> 10"))]
+    got = {r.sample_id: r for r in X.run_sql(spark, statements, {"orders": orders}).collect()}
+    assert got["plain"].n_rows == orders.count() > 200 and got["less"].n_rows == got["plain"].n_rows - 1
+    assert got["plain"].rows_hash == got["turned"].rows_hash
+    assert len({got[k].rows_hash for k in ("plain", "less", "other")}) == 3
