@@ -25,7 +25,7 @@ import xxhash
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from tablemill.llm.common import columns
+from tablemill.llm.common import columns, lean
 from tablemill.llm.language import texts_words
 from tablemill.llm.pieces import slices
 
@@ -176,7 +176,7 @@ def scanned(docs: DataFrame, templates: dict[str, str] | None = None, text: str
                 ids = part.column(0).to_pylist()
                 yield pa.RecordBatch.from_arrays([pa.array([ids[r[0]] for r in rows], pa.int64()), pa.array([library.names[r[1]] for r in rows], pa.string()), pa.array([r[2] for r in rows], pa.float64()), pa.array([r[3] for r in rows], pa.int64())], schema=shape)
 
-    return docs.select(F.col(doc_id).cast("long"), F.col(text)).mapInArrow(run, returns)
+    return docs.select(F.col(doc_id).cast("long"), F.col(text)).mapInArrow(lean(run), returns)
 
 
 def op3_license_scan(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -24,7 +24,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from tablemill.llm.common import columns, sums
+from tablemill.llm.common import columns, lean, sums
 from tablemill.llm.language import texts_words
 from tablemill.llm.pieces import slices
 
@@ -137,7 +137,7 @@ def counted(docs: DataFrame, vocabulary_path: str, text: str = "text", doc_id: s
                 chars = [len(t or "") for t in part.column(1).to_pylist()]
                 yield pa.RecordBatch.from_arrays([part.column(0), pa.array(chars, pa.int64()), pa.array(sums(keep[index].astype(np.int64), counts)), pa.array(sums(per, counts)), pa.array(most, pa.int64())], schema=shape)
 
-    return docs.select(F.col(doc_id).cast("long"), F.col(text)).mapInArrow(run, "doc_id long, n_chars long, n_words long, n_pieces long, max_word_pieces long")
+    return docs.select(F.col(doc_id).cast("long"), F.col(text)).mapInArrow(lean(run), "doc_id long, n_chars long, n_words long, n_pieces long, max_word_pieces long")
 
 
 def op5_wordpiece_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
