@@ -6,9 +6,11 @@ hashed character n-grams inside words (one to four letters with word borders)
 and of whole words, divided by their number; a text's value is therefore a sum
 over its words, and each distinct word of a batch is scored only once.
 
-Training takes a bounded sample: ``per_language`` labelled rows of each
-language, by hash order of their text; learned labels, families and weights are
-a few thousand numbers and travel with the plan.
+Training takes a bounded sample: ``per_language`` labelled texts of each
+language, by hash order, a repeated text once. Each machine is fitted in a task of
+its own from the texts of its two sides (a family's side takes ``per_language``
+texts in all, spread over its languages), so the driver sees weights only: one
+row of ``BINS`` numbers a machine.
 
 Defined results: ``und`` with score 0 for a null text or one without a letter;
 a language without a family in ``FAMILIES`` is a family of its own; if no
@@ -27,7 +29,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from tablemill.llm.common import columns, sums
+from tablemill.llm.common import columns, lean, sums, trim
 from tablemill.llm.pieces import gather, slices
 
 # Families of language codes.
@@ -106,6 +108,20 @@ def text_vectors(texts: pa.Array) -> np.ndarray:
     return out / np.maximum(out.sum(1, keepdims=True), 1)
 
 
+def sparse(x: np.ndarray) -> bytes:
+    """The bins of a vector that are not zero, and their values in half precision."""
+    at = np.flatnonzero(x)
+    return at.astype("<u2").tobytes() + x[at].astype("<f2").tobytes()
+
+
+def dense(rows: list[bytes]) -> np.ndarray:
+    out = np.zeros((len(rows), BINS), np.float32)
+    for i, data in enumerate(rows):
+        n = len(data) // 4
+        out[i, np.frombuffer(data, "<u2", n)] = np.frombuffer(data, "<f2", n, 2 * n)
+    return out
+
+
 # --- machines --------------------------------------------------------------
 
 
@@ -179,51 +195,60 @@ class Model:
         return found.tolist(), score
 
 
-def fit_vectors(x: np.ndarray, labels: list[str]) -> Model:
-    langs = sorted(set(labels))
-    families: dict[str, list[str]] = {}
-    for lang in langs:
-        families.setdefault(FAMILY_OF.get(lang, f"only-{lang}"), []).append(lang)
-    of = np.array([FAMILY_OF.get(lang, f"only-{lang}") for lang in labels], object)
-    lang = np.array(labels, object)
-    scale = (1 / np.sqrt(np.maximum(x.mean(0), 1e-6))).astype(np.float32) if len(x) else np.ones(BINS)  # frequent n-grams weigh less
-    machines, weights, bias = [], [], []
-    for scope, names, value in [("", sorted(families), of), *((f, families[f], lang) for f in sorted(families))]:
-        for a, b in combinations(names, 2):
-            rows = np.flatnonzero((value == a) | (value == b))
-            part = x[rows]
-            part *= scale
-            w, c = linear_machine(part, np.where(value[rows] == a, 1.0, -1.0))
-            machines.append((scope, a, b))
-            weights.append(w * scale)
-            bias.append(c)
-    return Model(machines, families, np.array(weights).T.reshape(BINS, -1), np.array(bias))
+def families_of(langs: list[str]) -> dict[str, list[str]]:
+    out: dict[str, list[str]] = {}
+    for lang in sorted(langs):
+        out.setdefault(FAMILY_OF.get(lang, f"only-{lang}"), []).append(lang)
+    return out
+
+
+def machines_of(families: dict[str, list[str]]) -> list[tuple[str, str, str]]:
+    """(scope, a, b): every pair of families, then every pair of languages of a family."""
+    return [(scope, a, b) for scope, names in [("", sorted(families)), *((f, families[f]) for f in sorted(families))] for a, b in combinations(names, 2)]
 
 
 def fit(rows: DataFrame, text: str = "text", lang: str = "lang", per_language: int = PER_LANGUAGE) -> Model:
-    """Train on labelled rows; at most ``per_language`` of each language, whole texts."""
+    """Train on labelled rows; at most ``per_language`` different texts of each language, whole texts."""
     from pyspark.sql import Window
 
+    spark = rows.sparkSession
     labelled = rows.select(F.col(lang).alias("lang"), F.xxhash64(text).alias("h"), F.col(text).alias("text")).where("lang is not null and text is not null")
-    totals = {r.lang: r.n for r in labelled.groupBy("lang").agg(F.count("*").alias("n")).collect()}
-    # Rows by hash below a bound that keeps somewhat more than asked; the exact number is taken among those.
-    share = F.create_map(*[x for k, n in totals.items() for x in (F.lit(k), F.lit(min(1.0, (1.5 * per_language + 50) / n)))]) if totals else F.lit(None)
+    # Copies share a hash and count once, so no group of copies fills or thins out a language's sample.
+    totals = {r.lang: r.n for r in labelled.groupBy("lang").agg(F.approx_count_distinct("h", 0.02).alias("n")).collect()}
     if not totals:
         return Model([], {}, np.zeros((BINS, 0)), np.zeros(0))
-    near = labelled.where((F.pmod(F.col("h"), F.lit(1 << 30)) / float(1 << 30)) < share[F.col("lang")])
+    families = families_of(list(totals))
+    machines = machines_of(families)
+    # Rows by hash below a bound that keeps somewhat more than asked; the exact number is taken among those.
+    share = F.create_map(*[x for k, n in totals.items() for x in (F.lit(k), F.lit(min(1.0, (1.5 * per_language + 50) / n)))])
+    near = labelled.where((F.pmod(F.col("h"), F.lit(1 << 30)) / float(1 << 30)) < share[F.col("lang")]).groupBy("lang", "h").agg(F.min("text").alias("text"))
     sample = near.withColumn("rank", F.row_number().over(Window.partitionBy("lang").orderBy("h", "text"))).where(F.col("rank") <= per_language)
-    shape = columns("lang string, vector binary")
+    if not machines:
+        return Model([], families, np.zeros((BINS, 0)), np.zeros(0))
+    shape = columns("lang string, rank int, vector binary")
 
     def vectors(batches):
         for b in batches:
-            for part in slices(b, 1, rows=200):
-                made = text_vectors(part.column(1)).astype("<f2")
-                yield pa.RecordBatch.from_arrays([part.column(0), pa.array([v.tobytes() for v in made], pa.binary())], schema=shape)
+            for part in slices(b, 2, 2 << 20, rows=200):
+                yield pa.RecordBatch.from_arrays([part.column(0), part.column(1).cast(pa.int32()), pa.array([sparse(v) for v in text_vectors(part.column(2))], pa.binary())], schema=shape)
+
+    made = sample.select("lang", "rank", "text").mapInArrow(lean(vectors), "lang string, rank int, vector binary")
+    sides = [(i, x, bool(at == 0), -(-per_language // (1 if scope else len(families[side])))) for i, (scope, *both) in enumerate(machines) for at, side in enumerate(both) for x in ([side] if scope else families[side])]
+    dealt = made.join(F.broadcast(spark.createDataFrame(sides, "machine int, lang string, first boolean, most int")), "lang").where("rank <= most").select("machine", "first", "lang", "rank", "vector")
+
+    def train(table: pa.Table) -> pa.Table:
+        table = table.sort_by([("lang", "ascending"), ("rank", "ascending")])
+        x = dense(table.column("vector").to_pylist())
+        scale = (1 / np.sqrt(np.maximum(x.mean(0), 1e-6))).astype(np.float32)  # frequent n-grams weigh less
+        x *= scale
+        w, bias = linear_machine(x, np.where(table.column("first").to_numpy(zero_copy_only=False), 1.0, -1.0))
+        out = pa.table({"machine": pa.array([table.column("machine")[0].as_py()], pa.int32()), "weights": pa.array([(w * scale).astype("<f4").tobytes()], pa.binary()), "bias": [bias]})
+        trim()
+        return out
 
-    got = sample.select("lang", "text").mapInArrow(vectors, "lang string, vector binary").collect()
-    got.sort(key=lambda r: (r.lang, bytes(r.vector)))
-    x = np.stack([np.frombuffer(r.vector, "<f2") for r in got]).astype(np.float32) if got else np.zeros((0, BINS))
-    return fit_vectors(x, [r.lang for r in got])
+    got = {r.machine: r for r in dealt.groupBy("machine").applyInArrow(train, "machine int, weights binary, bias double").collect()}
+    weights = np.array([np.frombuffer(got[i].weights, "<f4") for i in range(len(machines))], np.float32)
+    return Model(machines, families, weights.T.reshape(BINS, -1), np.array([got[i].bias for i in range(len(machines))]))
 
 
 def predicted(docs: DataFrame, model: Model, text: str = "text") -> DataFrame:
@@ -235,11 +260,11 @@ def predicted(docs: DataFrame, model: Model, text: str = "text") -> DataFrame:
 
     def run(batches):
         for b in batches:
-            for part in slices(b, at, 4 << 20):
+            for part in slices(b, at, 1 << 20):
                 langs, score = model.predict(part.column(at))
                 yield pa.RecordBatch.from_arrays([*part.columns, pa.array(langs, pa.string()), pa.array(score)], names=names)
 
-    return docs.mapInArrow(run, schema)
+    return docs.mapInArrow(lean(run), schema)
 
 
 def held_out(doc_id: str = "doc_id"):
@@ -252,11 +277,11 @@ def accepted(docs: DataFrame, model: Model, least: float = 0.0, text: str = "tex
 
     def run(batches):
         for b in batches:
-            for part in slices(b, at, 4 << 20):
+            for part in slices(b, at, 1 << 20):
                 langs, score = model.predict(part.column(at))
                 yield part.filter(pa.array([x != UNDETERMINED and y >= least for x, y in zip(langs, score.tolist())], pa.bool_()))
 
-    return docs.mapInArrow(run, docs.schema)
+    return docs.mapInArrow(lean(run), docs.schema)
 
 
 def op6_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:
