@@ -2,25 +2,36 @@
 
 State of an index (tables in the shared store, all keyed by a 128-bit line digest):
 
-* ``refs``: the exact reference counts, one row per (line, document) with the
-  number of times; the smallest document of a line is its keeper.
+* ``refs``: the exact references, one row per (line, document row); the smallest
+  document of a line is its keeper.
+* ``counts``: the exact reference counts, changes only; a line's count is their sum.
 * ``filters``: one cuckoo filter per shard of the digest space, 16-bit
-  fingerprints in buckets of four. A filter answers "never seen" without
-  touching the exact table; every "maybe" is settled by the exact counts, so
-  filters never decide a result alone.
+  fingerprints in buckets of four, one for each line that has a reference. A
+  filter answers "never seen" without touching the exact tables; every "maybe"
+  is settled by the exact counts, so filters never decide a result alone.
 
-Insertion probes the filters first and joins only the lines that may be known.
+Insertion sends the batch's distinct lines to their shards. What the shard's
+filter has never seen is added to it there and then; only the "maybe" lines join
+the exact counts, and those that prove new (a shared fingerprint) are added after.
 Deletion lowers the counts, and takes a fingerprint out of its filter once the
 last reference is gone, so that deleting a batch restores the state before it.
 
+All tables grow by files of changes; nothing is rewritten before ``compact``. A
+version is one small manifest that names its files and appears by a rename, so a
+run that dies leaves the last version intact, and an index can be opened again.
+The number of shards follows the number of lines: a filter holds about
+``PER_SHARD`` of them, beyond four times that all filters are built anew.
+
 Defined results: a null or empty text is one empty line; rows with a null
-document id are kept whole and hold no reference; a repeated row counts as one
-document; extra columns pass through ``clean`` untouched.
+document id are kept whole and hold no reference; repeated rows of an id are one
+document (counts are of rows); extra columns pass through ``clean`` untouched.
 """
 
 from __future__ import annotations
 
 import hashlib
+import json
+import uuid
 
 import numpy as np
 import pyarrow as pa
@@ -28,13 +39,14 @@ import xxhash
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from tablemill.llm.common import columns, drop_path, free_name, stored, whole, work_path
+from tablemill.llm.common import columns, drop_path, forget, free_name, lean, put_text, stored, texts_in, whole, work_path
 
 BLANK = b" \t\n\x0b\x0c\r"
 MIN_CHARS = 10
 SLOTS = 4
 LOAD = 0.84
-MAX_FILTER_BYTES = 64 << 20
+PER_SHARD = 1_000_000
+BATCHES = 2
 
 
 # --- lines -----------------------------------------------------------------
@@ -67,7 +79,7 @@ def line_rows(docs: DataFrame, min_chars: int = MIN_CHARS, text: str = "text", d
                 yield pa.RecordBatch.from_arrays([pa.array(ks, pa.binary()), pa.array(owners, pa.int64()), pa.array(ns, pa.int32())], schema=shape)
 
     picked = docs.select(F.col(doc_id).cast("long").alias("doc_id"), F.col(text).alias("text")).where("doc_id is not null")
-    return picked.mapInArrow(rows, "k binary, doc_id long, n int")
+    return picked.mapInArrow(lean(rows), "k binary, doc_id long, n int")
 
 
 def _slices(batch: pa.RecordBatch, rows: int = 2000):
@@ -148,15 +160,24 @@ class CuckooFilter:
 
     def remove(self, digests: np.ndarray) -> None:
         """Take out one copy of each digest's fingerprint; they must have been inserted."""
-        for m, a, b in zip(*(x.tolist() for x in (lambda m, a: (m, a, self._other(a, m)))(*self._place(digests)))):
-            for at in (a, b):
-                slot = np.flatnonzero(self.table[at] == m)
-                if len(slot):
-                    self.table[at, slot[0]] = 0
+        mark, first = self._place(digests)
+        left = np.ones(len(mark), bool)
+        for at in (first, self._other(first, mark)):
+            todo = np.flatnonzero(left)
+            while len(todo):  # equal fingerprints of a bucket one after the other
+                _, one = np.unique(at[todo] * np.uint64(65536) + mark[todo], return_index=True)
+                pick = todo[one]
+                held = self.table[at[pick]] == mark[pick][:, None]
+                ok = held.any(1)
+                if not ok.any():
                     break
-            else:
-                if m in self.stash:
-                    self.stash.remove(m)
+                pick = pick[ok]
+                self.table[at[pick], held[ok].argmax(1)] = 0
+                left[pick] = False
+                todo = todo[left[todo]]
+        for m in mark[left].tolist():
+            if m in self.stash:
+                self.stash.remove(m)
 
     def dump(self) -> bytes:
         return np.array([len(self.table), len(self.stash)], "<u4").tobytes() + np.array(self.stash, "<u2").tobytes() + self.table.astype("<u2").tobytes()
@@ -183,78 +204,217 @@ def shard_column(shards: int, k: str = "k") -> Column:
     return F.pmod(word, F.lit(shards)).cast("int")
 
 
-def build_filters(keys: DataFrame, shards: int) -> DataFrame:
-    """(shard, items, filter) of distinct digests; a task holds one shard after another."""
-    shape = columns("shard int, items long, filter binary")
+FILTER_ROWS = "shard int, k binary, items long, filter binary"
+
+
+def update_shard(key, moved: pa.Table, held: pa.Table) -> pa.Table:
+    """A shard's filter after its lines (``sign`` 1: may be new, 2: is new, -1: is gone), and the lines it may have known.
+
+    A filter without room is given up (``items`` -1): its shard is built anew from the exact counts.
+    """
+    now = CuckooFilter.load(held.column("filter")[0].as_py()) if held.num_rows else None
+    items = held.column("items")[0].as_py() if held.num_rows else 0
+    words, sign = digest_words(moved.column("k").to_pylist()), moved.column("sign").to_numpy()
+    maybe = np.zeros(len(words), bool)
+    if now is not None:
+        maybe = now.has(words) & (sign == 1)
+        now.remove(words[sign < 0])
+    new = words[(sign > 0) & ~maybe]
+    items += len(new) - int((sign < 0).sum())
+    now = CuckooFilter.sized(2 * items) if now is None else now
+    data = b""
+    if items > now.table.size * LOAD:
+        items = -1
+    else:
+        now.add(new)
+        data = now.dump()
+    ks = moved.column("k").filter(pa.array(maybe)).to_pylist()
+    n, shard = len(ks), key[0].as_py()
+    return pa.table({"shard": pa.array([shard] * (n + 1), pa.int32()), "k": pa.array([*ks, None], pa.binary()), "items": pa.array([None] * n + [items], pa.int64()), "filter": pa.array([None] * n + [data], pa.binary())})
+
+
+# --- index -----------------------------------------------------------------
+
+LINES = "k binary, doc_id long, n int"
+COUNTS = "k binary, low long, high long, n long"
 
-    def build(batches):
-        have: list[np.ndarray] = []
-        for b in batches:
-            if b.num_rows:
-                have.append(digest_words(b.column(1).to_pylist()))
-        every = np.concatenate(have) if have else np.zeros((0, 2), np.uint64)
-        of = shard_of(every, shards)
-        for s in np.unique(of).tolist():
-            mine = every[of == s]
-            f = CuckooFilter.sized(len(mine))
-            f.add(mine)
-            yield pa.RecordBatch.from_arrays([pa.array([s], pa.int32()), pa.array([len(mine)], pa.int64()), pa.array([f.dump()], pa.binary())], schema=shape)
 
-    return keys.select(shard_column(shards).alias("shard"), "k").repartition(shards, "shard").mapInArrow(build, "shard int, items long, filter binary")
+def shards_for(n_keys: int, per_shard: int = PER_SHARD) -> int:
+    return max(32, -(-n_keys // per_shard))
 
 
-def maybe_known(lines: DataFrame, filters: DataFrame, shards: int, max_bytes: int = MAX_FILTER_BYTES) -> DataFrame:
-    """The rows of ``lines`` whose digest some filter may hold (no row that is held is lost).
+class LineIndex:
+    """Long-lived index over batches under ``path``: ``insert`` and ``delete`` return to any earlier state.
 
-    The filters are sent to all tasks only while their checked size stays within
-    ``max_bytes``; beyond it all lines go on, and the exact join settles them.
+    The newest manifest in ``path/versions`` names the files of each kind with the
+    version they came in. A path that holds an index is opened with all its versions.
     """
-    size = filters.agg(F.sum(F.length("filter"))).first()[0] or 0
-    if size > max_bytes:
-        return lines
-    sent = lines.sparkSession.sparkContext.broadcast({r.shard: bytes(r.filter) for r in filters.select("shard", "filter").collect()})
-    at = lines.columns.index("k")
-
-    def probe(batches):
-        loaded = {s: CuckooFilter.load(x) for s, x in sent.value.items()}
-        for b in batches:
-            words = digest_words(b.column(at).to_pylist())
-            of, hit = shard_of(words, shards), np.zeros(len(words), bool)
-            for s in np.unique(of).tolist():
-                if s in loaded:
-                    mine = of == s
-                    hit[mine] = loaded[s].has(words[mine])
-            yield b.filter(pa.array(hit))
 
-    return lines.mapInArrow(probe, lines.schema)
+    def __init__(self, spark: SparkSession, path: str | None = None, min_chars: int = MIN_CHARS, per_shard: int = PER_SHARD):
+        self.spark, self.min_chars, self.per_shard = spark, min_chars, per_shard
+        self.path = path or work_path(spark, "line-index")
+        found = texts_in(spark, f"{self.path}/versions")
+        self.now = json.loads(found[max(found)]) if found else {"version": 0, "shards": 0, "lines": 0, "refs": [], "gone": [], "counts": [], "filters": [], "twice": []}
+
+    @property
+    def version(self) -> int:
+        return self.now["version"]
+
+    def _write(self, kind: str, rows: DataFrame) -> str:
+        path = f"{self.path}/{kind}-{uuid.uuid4().hex}"
+        rows.write.option("compression", "zstd").parquet(path)
+        return path
+
+    def _commit(self, **added) -> None:
+        new = {**self.now, "version": self.version + 1}
+        for kind, value in added.items():
+            new[kind] = [*new[kind], [new["version"], value]] if isinstance(value, str) else value
+        put_text(self.spark, f"{self.path}/versions/{new['version']:012d}.json", json.dumps(new))
+        self.now = new
+
+    def _all(self, kind: str, schema: str) -> DataFrame:
+        """All files of a kind, with the version ``v`` each row came in."""
+        out = self.spark.createDataFrame([], f"{schema}, v long")
+        for v, path in self.now[kind]:
+            out = out.unionByName(self.spark.read.schema(schema).parquet(path).withColumn("v", F.lit(v).cast("long")))
+        return out
 
+    def refs(self) -> DataFrame:
+        """The references of documents that are still in."""
+        out = self._all("refs", LINES)
+        if self.now["gone"]:
+            gone = self._all("gone", "doc_id long").groupBy(F.col("doc_id").alias("gone_id")).agg(F.max("v").alias("gone_v"))
+            out = out.join(gone, (F.col("doc_id") == F.col("gone_id")) & (F.col("gone_v") > F.col("v")), "left_anti")
+        return out.drop("v")
 
-# --- index -----------------------------------------------------------------
+    def filters(self) -> DataFrame:
+        """(shard, items, filter): the newest of each shard."""
+        newest = F.max_by(F.struct("items", "filter"), "v").alias("f")
+        return self._all("filters", "shard int, items long, filter binary").groupBy("shard").agg(newest).select("shard", "f.items", "f.filter")
+
+    def counted(self, among: DataFrame | None = None, counts: DataFrame | None = None) -> DataFrame:
+        """(k, n): lines with a reference, of all or ``among`` some."""
+        rows = self._all("counts", COUNTS) if counts is None else counts
+        if among is not None:
+            rows = rows.join(among.select("k"), "k", "left_semi")
+        return rows.groupBy("k").agg(F.sum("n").alias("n")).where("n > 0")
+
+    def _moved(self, lines: DataFrame, sign: int, filters: DataFrame, shards: int) -> DataFrame:
+        moves = lines.select("k", F.lit(sign).alias("sign"), shard_column(shards).alias("shard"))
+        return stored(moves.groupBy("shard").cogroup(filters.groupBy("shard")).applyInArrow(update_shard, FILTER_ROWS), "filters-moved")
+
+    def _built(self, rows: list[DataFrame], counts: DataFrame, shards: int) -> DataFrame:
+        """Filters of moved shards, the later list entry first; those without room from ``counts``."""
+        kept, full = None, None
+        for moved in rows:
+            own = moved.where("k is null").select("shard", "items", "filter")
+            kept = own if kept is None else kept.unionByName(own.join(kept.select("shard"), "shard", "left_anti"))
+        full = kept.where("items < 0").select("shard")
+        if not full.take(1):
+            return kept
+        again = self.counted(counts=counts.select(shard_column(shards).alias("shard"), "k", "n").join(full, "shard", "left_semi"))
+        fresh = self._moved(again, 2, self.spark.createDataFrame([], "shard int, items long, filter binary"), shards)
+        return kept.where("items >= 0").unionByName(fresh.where("k is null").select("shard", "items", "filter"))
+
+    def insert(self, docs: DataFrame, text: str = "text", doc_id: str = "doc_id") -> DataFrame:
+        """Add a batch; returns (k) of its lines that were known before."""
+        refs = self._write("refs", line_rows(docs, self.min_chars, text, doc_id))
+        lines = self.spark.read.schema(LINES).parquet(refs)
+        batch = reference_counts(lines)
+        counts = self._write("counts", batch)
+        batch = self.spark.read.schema(COUNTS).parquet(counts)
+        total = self.now["lines"] + batch.count()
+        every = self._all("counts", COUNTS).drop("v").unionByName(batch)
+        if self.now["shards"] and total <= 4 * self.per_shard * self.now["shards"]:
+            shards = self.now["shards"]
+            moved = [self._moved(batch, 1, self.filters(), shards)]
+            maybe = moved[0].where("k is not null").select("k")
+            known = stored(maybe.join(self.counted(maybe), "k", "left_semi"), "known")
+            false = maybe.join(known, "k", "left_anti")
+            if false.take(1):
+                held = moved[0].where("k is null and items >= 0").select("shard", "items", "filter")
+                moved.insert(0, self._moved(false.withColumn("of", shard_column(shards)).join(held.select(F.col("shard").alias("of")), "of", "left_semi"), 2, held, shards))
+        else:  # the first batch, or too many lines for this number of shards: all filters are built from the counts
+            shards = shards_for(total, self.per_shard)
+            maybe = batch.select("k")
+            known = stored(maybe.join(self.counted(maybe), "k", "left_semi") if self.version else maybe.limit(0), "known")
+            moved = [self._moved(self.counted(counts=every), 2, self.spark.createDataFrame([], "shard int, items long, filter binary"), shards)]
+        filters = self._write("filters", self._built(moved, every, shards))
+        twice = self._write("twice", batch.where("low < high").select("k").unionByName(known).distinct())
+        for rows in moved:
+            forget(rows)
+        if shards != self.now["shards"]:
+            self.now = {**self.now, "filters": []}
+        self._commit(refs=refs, counts=counts, filters=filters, twice=twice, shards=shards, lines=total)
+        return known
+
+    def delete(self, doc_ids: DataFrame) -> None:
+        """Take documents out; a line that loses its last reference leaves its filter too."""
+        gone = self._write("gone", doc_ids.select(F.col("doc_id").cast("long")).where("doc_id is not null").distinct())
+        lost = self.refs().join(self.spark.read.schema("doc_id long").parquet(gone), "doc_id", "left_semi").groupBy("k").agg(F.count("*").alias("n"))
+        shards = self.now["shards"] or 1
+        counts = self._write("counts", lost.select("k", F.lit(None).cast("long").alias("low"), F.lit(None).cast("long").alias("high"), (-F.col("n")).alias("n")))
+        change = self.spark.read.schema(COUNTS).parquet(counts)
+        every = self._all("counts", COUNTS).drop("v").unionByName(change)
+        dead = change.select("k").join(self.counted(change, every), "k", "left_anti")
+        moved = self._moved(dead, -1, self.filters().join(dead.select(shard_column(shards).alias("shard")).distinct(), "shard", "left_semi"), shards)
+        filters = self._write("filters", self._built([moved], every, shards))
+        forget(moved)
+        self._commit(gone=gone, counts=counts, filters=filters)
+
+    def repeats(self) -> DataFrame:
+        """(k, keeper, n_refs) of lines now held by two documents and more.
+
+        Only lines that some batch held twice or found known can be such lines.
+        """
+        some = self._all("twice", "k binary").select("k").distinct()
+        return self.refs().join(some, "k", "left_semi").groupBy("k").agg(F.min("doc_id").alias("keeper"), F.max("doc_id").alias("last"), F.count("*").alias("n_refs")).where("keeper < last").drop("last")
+
+    def dropped(self) -> DataFrame:
+        """(doc_id, gone): digests that each document loses, as one string of 32 hexadecimal digits each."""
+        lost = self.refs().join(self.repeats().select("k", "keeper"), "k").where("doc_id > keeper")
+        return lost.groupBy("doc_id").agg(F.array_join(F.collect_set(F.hex("k")), "").alias("gone"))
+
+    def compact(self) -> None:
+        """One file set of each kind instead of all changes; earlier versions go."""
+        old = dict(self.now)
+        refs, counts = self._write("refs", self.refs()), self._write("counts", self._all("counts", COUNTS).groupBy("k").agg(F.min("low").alias("low"), F.max("high").alias("high"), F.sum("n").alias("n")).where("n > 0"))
+        filters, twice = self._write("filters", self.filters()), self._write("twice", self.repeats().select("k"))
+        lines = self.spark.read.schema(COUNTS).parquet(counts).count()
+        for kind in ("refs", "counts", "filters", "twice", "gone"):
+            self.now[kind] = []
+        self._commit(refs=refs, counts=counts, filters=filters, twice=twice, lines=lines)
+        for kind in ("refs", "counts", "filters", "twice", "gone"):
+            for _, path in old[kind]:
+                drop_path(self.spark, path)
+        for v in range(1, self.version):
+            drop_path(self.spark, f"{self.path}/versions/{v:012d}.json")
+
+    def destroy(self) -> None:
+        drop_path(self.spark, self.path)
 
 
 def reference_counts(lines: DataFrame) -> DataFrame:
-    """(k, keeper, last_doc, n_refs): map-side combined, so a line in a third of all documents is no hot key."""
-    return lines.groupBy("k").agg(F.min("doc_id").alias("keeper"), F.max("doc_id").alias("last_doc"), F.count("*").alias("n_refs"))
+    """(k, low, high, n): map-side combined, so a line in a third of all documents is no hot key."""
+    return lines.groupBy("k").agg(F.min("doc_id").alias("low"), F.max("doc_id").alias("high"), F.count("*").alias("n"))
 
 
-def shards_for(n_keys: int, per_shard: int = 200_000) -> int:
-    return max(8, -(-n_keys // per_shard))
+def increment(docs: DataFrame, number: int, of: int, doc_id: str = "doc_id") -> DataFrame:
+    """One of ``of`` parts that together are all documents."""
+    return docs.where(F.pmod(F.xxhash64(doc_id), F.lit(of)) == number) if of > 1 else docs
 
 
-def dropped_lines(docs: DataFrame, min_chars: int = MIN_CHARS, text: str = "text", doc_id: str = "doc_id", max_filter_bytes: int = MAX_FILTER_BYTES) -> DataFrame:
-    """(doc_id, gone): digests that each document loses, as one binary of 16 bytes each.
+def dropped_lines(docs: DataFrame, min_chars: int = MIN_CHARS, text: str = "text", doc_id: str = "doc_id", batches: int = BATCHES, per_shard: int = PER_SHARD) -> DataFrame:
+    """(doc_id, gone): digests that each document loses.
 
-    Exact counts of all lines give the lines of two documents and more; filters
-    of those thin out the lines to be joined; the exact table names the keeper.
+    All documents enter a new index in ``batches`` increments; the result does not depend on how many.
     """
-    lines = stored(line_rows(docs, min_chars, text, doc_id), "lines")
-    shared = stored(reference_counts(lines).where("keeper < last_doc").select("k", "keeper"), "refs")
-    n = shared.count()
-    shards = shards_for(n)
-    filters = stored(build_filters(shared.select("k"), shards), "filters")
-    maybe = maybe_known(lines.select("k", "doc_id"), filters, shards, max_filter_bytes)
-    lost = maybe.join(shared, "k").where("doc_id > keeper")
-    return lost.groupBy("doc_id").agg(F.array_join(F.collect_set(F.hex("k")), "").alias("gone"))
+    index = LineIndex(docs.sparkSession, min_chars=min_chars, per_shard=per_shard)
+    for number in range(batches):
+        forget(index.insert(increment(docs, number, batches, doc_id), text, doc_id))
+    out = stored(index.dropped(), "dropped-lines")
+    index.destroy()
+    return out
 
 
 def split_text(text: bytes, gone: frozenset, min_chars: int) -> tuple[list[bytes], list[bytes]]:
@@ -281,7 +441,7 @@ def apply_drops(docs: DataFrame, drops: DataFrame, fn, returns: str, text: str =
                 pairs = [split_text(t, _gone(g), min_chars) for t, g in zip(whole(part.column(part.schema.get_field_index(text))), part.column(part.schema.get_field_index(gone)).to_pylist())]
                 yield fn(part, [p[0] for p in pairs], [p[1] for p in pairs])
 
-    return both.mapInArrow(run, returns)
+    return both.mapInArrow(lean(run), returns)
 
 
 def digest(docs: DataFrame, min_chars: int = MIN_CHARS) -> DataFrame:
@@ -316,82 +476,6 @@ def clean(docs: DataFrame, min_chars: int = MIN_CHARS, text: str = "text", doc_i
     return apply_drops(docs, dropped_lines(docs, min_chars, text, doc_id), rows, schema, text, doc_id, min_chars)
 
 
-class LineIndex:
-    """Long-lived index over batches: ``insert`` and ``delete`` return to any earlier state.
-
-    Tables live under ``path`` in versions; a version is complete once ``CURRENT``
-    (kept here) points to it, so a run that dies leaves the last one intact.
-    """
-
-    def __init__(self, spark: SparkSession, path: str | None = None, shards: int = 8, min_chars: int = MIN_CHARS):
-        self.spark, self.shards, self.min_chars = spark, shards, min_chars
-        self.path, self.version = path or work_path(spark, "line-index"), 0
-
-    def _at(self, kind: str, version: int | None = None) -> str:
-        return f"{self.path}/{kind}/v{self.version if version is None else version}"
-
-    def refs(self) -> DataFrame:
-        if not self.version:
-            return self.spark.createDataFrame([], "k binary, doc_id long, n int")
-        return self.spark.read.schema("k binary, doc_id long, n int").parquet(self._at("refs"))
-
-    def filters(self) -> DataFrame:
-        if not self.version:
-            return self.spark.createDataFrame([], "shard int, items long, filter binary")
-        return self.spark.read.schema("shard int, items long, filter binary").parquet(self._at("filters"))
-
-    def _next(self, refs: DataFrame, added: DataFrame, removed: DataFrame) -> None:
-        new = self.version + 1
-        refs.write.parquet(self._at("refs", new))
-        shards, old = self.shards, self.filters()
-        moves = added.select("k", F.lit(1).alias("sign")).unionByName(removed.select("k", F.lit(-1).alias("sign"))).withColumn("shard", shard_column(shards))
-        shape = columns("shard int, items long, filter binary")
-
-        def update(key, moved, held):
-            items = held.column("items")[0].as_py() if held.num_rows else 0
-            now = CuckooFilter.load(held.column("filter")[0].as_py()) if held.num_rows else None
-            words, sign = digest_words(moved.column("k").to_pylist()), np.array(moved.column("sign").to_pylist(), np.int64)
-            up, down = words[sign > 0], words[sign < 0]
-            if now is not None and len(down):
-                now.remove(down)
-            total = items + len(up) - len(down)
-            if now is None or total > now.table.size * LOAD:
-                return pa.table({"shard": [key[0].as_py()], "items": [-1], "filter": [b""]}, schema=shape)  # rebuilt from the exact table below
-            now.add(up)
-            return pa.table({"shard": [key[0].as_py()], "items": [total], "filter": [now.dump()]}, schema=shape)
-
-        changed = stored(moves.groupBy("shard").cogroup(old.groupBy("shard")).applyInArrow(update, "shard int, items long, filter binary"), "filters-changed")
-        grown = changed.where("items < 0").select("shard")
-        fresh = self.spark.read.schema("k binary, doc_id long, n int").parquet(self._at("refs", new)).select("k").distinct().withColumn("shard", shard_column(shards)).join(F.broadcast(grown), "shard", "left_semi")
-        build_filters(fresh.select("k"), shards).unionByName(changed.where("items >= 0")).write.parquet(self._at("filters", new))
-        self.version = new
-
-    def insert(self, docs: DataFrame) -> DataFrame:
-        """Add a batch; returns (k, doc_id) of the lines it held that were known before."""
-        lines = stored(line_rows(docs, self.min_chars).groupBy("k", "doc_id").agg(F.max("n").alias("n")), "batch-lines")
-        maybe = maybe_known(lines, self.filters(), self.shards) if self.version else lines.limit(0)
-        known = stored(maybe.select("k").distinct().join(self.refs().select("k").distinct(), "k", "left_semi"), "known")
-        hits = stored(lines.join(known, "k", "left_semi").select("k", "doc_id"), "hits")
-        new_keys = lines.select("k").distinct().join(known, "k", "left_anti")
-        merged = self.refs().unionByName(lines).groupBy("k", "doc_id").agg(F.max("n").alias("n"))
-        self._next(merged, new_keys, lines.select("k").limit(0))
-        return hits
-
-    def delete(self, doc_ids: DataFrame) -> None:
-        """Take documents out; a line that loses its last reference leaves its filter too."""
-        gone = self.refs().join(doc_ids.select("doc_id").distinct(), "doc_id", "left_semi")
-        left = self.refs().join(doc_ids.select("doc_id").distinct(), "doc_id", "left_anti")
-        dead = stored(gone.select("k").distinct().join(left.select("k").distinct(), "k", "left_anti"), "dead")
-        self._next(left, dead.limit(0), dead)
-
-    def repeats(self) -> DataFrame:
-        """(k, keeper, n_docs) of lines now held by two documents and more."""
-        return self.refs().groupBy("k").agg(F.min("doc_id").alias("keeper"), F.count("*").alias("n_docs")).where("n_docs > 1")
-
-    def destroy(self) -> None:
-        drop_path(self.spark, self.path)
-
-
 def op1_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return digest(spark.read.parquet(f"{sf_dir}/documents.parquet"))
 
