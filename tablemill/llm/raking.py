@@ -1,16 +1,19 @@
 """Mixing sources to target weights by iterative proportional fitting.
 
 Tokens are summed by cell (source, language, topic); each round scales the cells
-so that one marginal after the other meets its target. A document's calibrated
-probability is ``min(1, keep * ratio)`` of its cell, where ratio is the fitted
-share over the share it had; the part above 1 stays as a weight, so that sampled
-tokens times weights meet the marginals in expectation. Sampling compares the
-probability with a hash of the seed and the document id: the same documents are
-drawn in any layout of the data.
+so that one marginal after the other meets its target, until ``ROUNDS`` are over or
+no marginal is further than ``tolerance`` from its target. What a document is
+wanted for is ``keep * ratio`` of its cell, where ratio is the fitted share over
+the share it had. Up to 1 that is its calibrated probability. Beyond 1 the whole part
+is a number of certain copies and the rest the probability of one more, so that
+the tokens of ``sampled`` meet the marginals in expectation without a weight to
+carry. Draws compare the probability with a hash of the seed and the document id:
+the same documents are drawn in any layout of the data.
 
 Only cells, not documents, take part in the rounds; each sum is combined before
-it is shuffled, so a source with a third of all rows is one row a task. DataFrame
-functions only.
+it is shuffled, so a source with a third of all rows is one row a task. Up to
+``FEW_CELLS`` cells all rounds run as one task without an exchange; more of them
+are dealt out. DataFrame functions only.
 
 Targets default to shares in proportion to the square root of the tokens (a
 temperature of 2), over the values that occur. A value with a target but no
@@ -22,13 +25,16 @@ without tokens; repeated rows are drawn together.
 
 from __future__ import annotations
 
-from pyspark.sql import Column, DataFrame, SparkSession
+from functools import reduce
+
+from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from tablemill.llm.common import stored
+from tablemill.llm.common import forget, stored
 
 DIMENSIONS = ("source", "lang", "topic")
-ROUNDS = 6
+ROUNDS = 12
+FEW_CELLS = 200_000
 KEEP = 0.8
 SEED = "mix"
 POWER = 0.5
@@ -59,29 +65,50 @@ def described(docs: DataFrame, kind: Column | None = None) -> DataFrame:
 
 
 def default_targets(cells: DataFrame, power: float = POWER) -> dict[str, DataFrame]:
-    out = {}
+    """(value, target) of each dimension: the tokens of each value to a power."""
+    return {d: cells.groupBy(F.col(d).alias("value")).agg(F.pow(F.sum("n_tokens").cast("double"), F.lit(power)).alias("target")).where("target > 0") for d in DIMENSIONS}
+
+
+def wanted(cells: DataFrame, targets: dict[str, DataFrame] | None, power: float = POWER) -> DataFrame:
+    """``cells`` with ``share`` and, for each dimension, ``want_<d>``: the target share of its value (null without one)."""
+    every = Window.partitionBy(F.lit(0))
+    now = cells.withColumn("share", F.col("n_tokens") / F.greatest(F.sum("n_tokens").over(every), F.lit(1)).cast("double"))
     for d in DIMENSIONS:
-        of = cells.groupBy(F.col(d).alias("value")).agg(F.pow(F.sum("n_tokens").cast("double"), F.lit(power)).alias("target"))
-        out[d] = stored(of.where("target > 0"), f"target-{d}")
-    return out
+        mine = Window.partitionBy(d)
+        tokens_of = F.sum("n_tokens").over(mine).cast("double")
+        if targets is None:
+            now = now.withColumn("_target", F.when(tokens_of > 0, F.pow(tokens_of, F.lit(power))))
+        else:
+            now = now.join(targets[d].select(F.col("value").alias(d), F.col("target").alias("_target")), d, "left").withColumn("_target", F.when(tokens_of > 0, F.col("_target")))
+        # A value's target counts once, at one of its cells.
+        first = F.row_number().over(mine.orderBy(*DIMENSIONS)) == 1
+        now = now.withColumn("_once", F.when(first, F.col("_target"))).withColumn(f"want_{d}", F.col("_target") / F.sum("_once").over(every)).drop("_target", "_once")
+    return now
+
 
+def gap(cells: DataFrame) -> float:
+    """The largest distance between a marginal's fitted share and its target share."""
+    far = [F.max(F.abs(F.col(f"have_{d}") - F.coalesce(f"want_{d}", F.lit(0.0)))) for d in DIMENSIONS]
+    have = cells.withColumns({f"have_{d}": F.sum("share").over(Window.partitionBy(d)) for d in DIMENSIONS})
+    return have.agg(reduce(F.greatest, far).alias("gap")).first().gap or 0.0
 
-def fitted(cells: DataFrame, targets: dict[str, DataFrame], rounds: int = ROUNDS) -> DataFrame:
+
+def fitted(cells: DataFrame, targets: dict[str, DataFrame] | None = None, rounds: int = ROUNDS, tolerance: float | None = None) -> DataFrame:
     """``cells`` (dimensions, n_tokens) with ``share``: their fitted part of all tokens."""
-    total = cells.agg(F.sum("n_tokens")).first()[0] or 0
-    now = cells.withColumn("share", F.col("n_tokens") / F.lit(float(max(total, 1))))
-    scaled = {}
-    for d in DIMENSIONS:
-        held = targets[d].join(cells.where("n_tokens > 0").select(F.col(d).alias("value")).distinct(), "value", "left_semi")
-        sum_of = held.agg(F.sum("target")).first()[0] or 1.0
-        scaled[d] = stored(held.select(F.col("value").alias(d), (F.col("target") / F.lit(sum_of)).alias("want")), f"scaled-{d}")
-    for _ in range(rounds):
+    few = cells.limit(FEW_CELLS + 1).count() <= FEW_CELLS
+    cells = cells.select(*DIMENSIONS, "n_tokens")
+    # A single partition meets the demand of every window below, so none of them shuffles.
+    now = wanted(cells.coalesce(1) if few else cells, targets)
+    for number in range(1, rounds + 1):
         for d in DIMENSIONS:
-            have = now.groupBy(d).agg(F.sum("share").alias("have")).where("have > 0")
-            scale = have.join(scaled[d], d).select(d, (F.col("want") / F.col("have")).alias("scale"))
-            now = now.join(scale, d, "left").withColumn("share", F.col("share") * F.coalesce("scale", F.lit(0.0))).drop("scale")
-        now = stored(now.select(*cells.columns, "share"), "raked")
-    return now
+            have = F.sum("share").over(Window.partitionBy(d))
+            now = now.withColumn("share", F.when(have > 0, F.col("share") * (F.coalesce(f"want_{d}", F.lit(0.0)) / have)).otherwise(0.0))
+        if number % 6 == 0 or number == rounds:
+            now = stored(now, "raked")
+            if tolerance is not None and gap(now) <= tolerance:
+                break
+            now = now.coalesce(1) if few and number < rounds else now
+    return now.select(*DIMENSIONS, "n_tokens", "share")
 
 
 def hash_unit(*parts: Column) -> Column:
@@ -93,7 +120,8 @@ def ratios(rows: DataFrame, targets: dict[str, DataFrame] | None = None, rounds:
     """Cells with ``ratio``: the fitted share over the share they had (null without tokens)."""
     cells = stored(rows.groupBy(*DIMENSIONS).agg(F.sum("n_tokens").alias("n_tokens")), "cells")
     total = cells.agg(F.sum("n_tokens")).first()[0] or 0
-    fit = fitted(cells, targets or default_targets(cells), rounds)
+    fit = fitted(cells, targets, rounds)
+    forget(cells)
     return fit.withColumn("ratio", F.when(F.col("n_tokens") > 0, F.col("share") / (F.col("n_tokens") / F.lit(float(max(total, 1)))))).select(*DIMENSIONS, "share", "ratio")
 
 
@@ -106,7 +134,7 @@ def mixed(rows: DataFrame, targets: dict[str, DataFrame] | None = None, keep: fl
 
 
 def sampled(docs: DataFrame, targets: dict[str, DataFrame] | None = None, keep: float = KEEP, seed: str = SEED, rounds: int = ROUNDS) -> DataFrame:
-    """The sampled documents, with their columns as they were."""
+    """The sampled documents, with their columns as they were; a document wanted more than once comes as often as it is wanted."""
     cells = ratios(described(docs), targets, rounds)
     # The cells' columns get names that no document has; the draw needs nothing but the cell.
     names = {c: f"_cell_{c}" for c in (*DIMENSIONS, "ratio")}
@@ -115,8 +143,10 @@ def sampled(docs: DataFrame, targets: dict[str, DataFrame] | None = None, keep:
         names = {c: f"{n}_" for c, n in names.items()}
     cells = cells.select(*[F.col(c).alias(n) for c, n in names.items()])
     here = (F.coalesce(docs["source"], F.lit("")) == F.col(names["source"])) & (F.coalesce(docs["lang"], F.lit("")) == F.col(names["lang"])) & (topic(docs["text"]) == F.col(names["topic"]))
-    draw = hash_unit(F.lit(seed), F.coalesce(docs["doc_id"].cast("string"), F.lit(""))) < F.least(F.lit(1.0), F.lit(keep) * F.coalesce(F.col(names["ratio"]), F.lit(1.0)))
-    return docs.join(cells, here).where(draw).select(*[docs[f"`{c}`"] for c in docs.columns])
+    want = F.lit(keep) * F.coalesce(F.col(names["ratio"]), F.lit(1.0))
+    draw = hash_unit(F.lit(seed), F.coalesce(docs["doc_id"].cast("string"), F.lit(""))) < want - F.floor(want)
+    times = (F.floor(want) + draw.cast("int")).cast("int")
+    return docs.join(cells, here).where(times > 0).select(*[docs[f"`{c}`"] for c in docs.columns], F.explode(F.sequence(F.lit(1), times)).alias(names["ratio"])).drop(names["ratio"])
 
 
 def op9_raked_mix(spark: SparkSession, sf_dir: str) -> DataFrame:
