@@ -23,16 +23,17 @@ import zlib
 import numpy as np
 import pyarrow as pa
 import pyarrow.compute as pc
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from tablemill.llm.common import columns, drop_path, work_path
+from tablemill.llm.common import columns, drop_path, lean, work_path
 from tablemill.llm.pieces import begins, encode_texts, gather, laid_out, slices
 
 SCALE = 20
 LANES = 2048
 BLOCK = 1 << 20
 EVERY = 256
+RANGES = 1 << 15
 MAGIC = b"RANS0001"
 LOW = np.uint64(1 << 31)
 END_ID = 2
@@ -161,23 +162,11 @@ def unpack(data: bytes, table: Table) -> tuple[np.ndarray, np.ndarray, np.ndarra
 # --- on Spark --------------------------------------------------------------
 
 
-def bounds(docs: DataFrame, parts: int, doc_id: str = "doc_id") -> list[int]:
-    """At most ``parts - 1`` ascending cut points of the ids, from a sketch over all of them."""
-    if parts < 2:
-        return []
-    got = docs.agg(F.percentile_approx(F.col(doc_id), [i / parts for i in range(1, parts)], 10000)).first()[0]
-    return sorted(set(got or []))
+def tokenized(docs: DataFrame, ranges: int, vocabulary: str, end_id: int | None, block: int) -> DataFrame:
+    """Plain blocks: a range of documents is one task, sorted, so it knows the ids before each of its blocks.
 
-
-def bucket(cuts: list[int], doc_id: str = "doc_id"):
-    """0-based range of an id; binary search in a literal array would be a scan, so the cuts become a map-free expression."""
-    if not cuts:
-        return F.lit(0)
-    return F.when(F.col(doc_id).isNull(), 0).otherwise(F.size(F.filter(F.array(*map(F.lit, cuts)), lambda c: c < F.col(doc_id))))
-
-
-def tokenized(docs: DataFrame, cuts: list[int], vocabulary: str, end_id: int | None, block: int) -> DataFrame:
-    """Plain blocks: a range of documents is one task, sorted, so it knows the ids before each of its blocks."""
+    A task streams its range block by block, so its memory does not grow with the range.
+    """
     shape = columns("part int, before long, n long, docs binary, sizes binary, ids binary, counts binary")
 
     def run(batches):
@@ -216,8 +205,8 @@ def tokenized(docs: DataFrame, cuts: list[int], vocabulary: str, end_id: int | N
         if docs:
             yield flush()
 
-    dealt = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text", bucket(cuts).cast("int").alias("part")).repartitionById(len(cuts) + 1, F.col("part"))
-    return dealt.sortWithinPartitions("part", "doc_id", "text").mapInArrow(run, "part int, before long, n long, docs binary, sizes binary, ids binary, counts binary")
+    dealt = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").repartitionByRange(ranges, "doc_id").sortWithinPartitions("doc_id", "text")
+    return dealt.withColumn("part", F.spark_partition_id()).mapInArrow(lean(run), "part int, before long, n long, docs binary, sizes binary, ids binary, counts binary")
 
 
 class PieceEncoder:
@@ -314,21 +303,20 @@ def write(docs: DataFrame, path: str, vocabulary: str, end_id: int | None = END_
     """Encode ``docs`` into the files ``path/blocks`` and ``path/table``.
 
     Two passes: plain blocks by ranges of document id, with the counts of all
-    their ids; then every plain block becomes a coded one, without a shuffle.
-    The driver keeps one number for each range and each id of the vocabulary.
+    their ids; then every plain block becomes a coded one, without a shuffle. What
+    precedes a range is a table of at most ``RANGES`` rows that Spark sends along;
+    the driver keeps one number for each id of the vocabulary.
     """
     spark = docs.sparkSession
     size = docs.agg(F.sum(F.octet_length("text"))).first()[0] or 0
-    cuts = bounds(docs, max(spark.sparkContext.defaultParallelism, -(-size // part_bytes)))
-    plain = tokenized(docs, cuts, vocabulary, end_id, block)
+    ranges = max(spark.sparkContext.defaultParallelism, min(RANGES, -(-size // part_bytes)))
+    plain = tokenized(docs, ranges, vocabulary, end_id, block)
     plain.write.option("compression", "zstd").parquet(f"{path}/plain")
     plain = spark.read.schema(plain.schema).parquet(f"{path}/plain")
     table = Table.of_counts(count_ids(plain))
-    before, offsets = 0, {}
-    for r in plain.groupBy("part").agg(F.sum("n").alias("n")).orderBy("part").collect():
-        offsets[r.part] = before
-        before += r.n
-    coded(plain, table, offsets).write.option("compression", "uncompressed").parquet(f"{path}/blocks")
+    earlier = Window.orderBy("part").rowsBetween(Window.unboundedPreceding, -1)
+    offsets = plain.groupBy("part").agg(F.sum("n").alias("n")).select("part", F.coalesce(F.sum("n").over(earlier), F.lit(0)).alias("offset"))
+    coded(plain.join(F.broadcast(offsets), "part").withColumn("start", F.col("offset") + F.col("before")), table).write.option("compression", "uncompressed").parquet(f"{path}/blocks")
     spark.createDataFrame([(table.freq.astype("<u4").tobytes(),)], "freq binary").write.parquet(f"{path}/table")
     drop_path(spark, f"{path}/plain")
 
@@ -347,12 +335,12 @@ def count_ids(plain: DataFrame) -> np.ndarray:
         yield pa.RecordBatch.from_arrays([pa.array(seen, pa.int32()), pa.array(tally[seen])], schema=shape)
 
     counts = np.zeros(1 << 16, np.int64)
-    for r in plain.select("counts").mapInArrow(run, "id int, n long").groupBy("id").agg(F.sum("n").alias("n")).collect():
+    for r in plain.select("counts").mapInArrow(lean(run), "id int, n long").groupBy("id").agg(F.sum("n").alias("n")).collect():
         counts[r.id] = r.n
     return counts
 
 
-def coded(plain: DataFrame, table: Table, offsets: dict[int, int]) -> DataFrame:
+def coded(plain: DataFrame, table: Table) -> DataFrame:
     """(start, data): every plain block as a coded one."""
     freq = table.freq.astype(np.uint32)
     shape = columns("start long, data binary")
@@ -360,11 +348,11 @@ def coded(plain: DataFrame, table: Table, offsets: dict[int, int]) -> DataFrame:
     def run(batches):
         coder = Table(freq)
         for b in batches:
-            for part, before, docs, sizes, ids in zip(*(c.to_pylist() for c in b.columns)):
-                row = pack(np.frombuffer(docs, "<i8"), np.frombuffer(sizes, "<u8"), np.frombuffer(ids, "<u2").astype(np.int64), coder)
-                yield pa.RecordBatch.from_arrays([pa.array([offsets[part] + before], pa.int64()), pa.array([row], pa.binary())], schema=shape)
+            for start, docs, sizes, ids in zip(*b.columns):
+                row = pack(np.frombuffer(docs.as_buffer(), "<i8"), np.frombuffer(sizes.as_buffer(), "<u8"), np.frombuffer(ids.as_buffer(), "<u2").astype(np.int64), coder)
+                yield pa.RecordBatch.from_arrays([pa.array([start.as_py()], pa.int64()), pa.array([row], pa.binary())], schema=shape)
 
-    return plain.select("part", "before", "docs", "sizes", "ids").mapInArrow(run, "start long, data binary")
+    return plain.select("start", "docs", "sizes", "ids").mapInArrow(lean(run), "start long, data binary")
 
 
 def read(spark: SparkSession, path: str) -> DataFrame:
@@ -381,7 +369,7 @@ def read(spark: SparkSession, path: str) -> DataFrame:
                 crcs = [zlib.crc32(plain[e - n : e].tobytes()) for e, n in zip(ends.tolist(), sizes.tolist())]
                 yield pa.RecordBatch.from_arrays([pa.array([None if d == -(1 << 63) else d for d in docs.tolist()], pa.int64()), pa.array(start + ends - sizes), pa.array(sizes), pa.array(crcs, pa.int64())], schema=shape)
 
-    return spark.read.parquet(f"{path}/blocks").select("start", "data").mapInArrow(run, "doc_id long, start long, n_tokens long, ids_crc32 long")
+    return spark.read.parquet(f"{path}/blocks").select("start", "data").mapInArrow(lean(run), "doc_id long, start long, n_tokens long, ids_crc32 long")
 
 
 def op7_rans_token_ids(spark: SparkSession, sf_dir: str) -> DataFrame:
