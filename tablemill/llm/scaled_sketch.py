@@ -22,9 +22,12 @@ from collections.abc import Callable
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
+from tablemill.llm.common import stored
+
 SHINGLE = 5
 SHIFT = 4
 FLOOR = 64
+RANGES = 1 << 15
 BELOW = -(1 << 63) + (1 << (64 - SHIFT))
 
 
@@ -78,37 +81,44 @@ def fingerprint(s: Column) -> Column:
     return F.array_join(F.transform(s, lambda x: F.lpad(F.hex(x), 16, "0")), "")
 
 
-def with_next(docs: DataFrame, carried: list[str], per_range: int = 2000) -> DataFrame:
+def placed_in(cuts: Column, key: Column, steps: int) -> Column:
+    """How many of the ascending ``cuts`` are not above ``key``: a binary search of ``steps`` halvings."""
+
+    def halve(at, _):
+        middle = F.floor((at["low"] + at["high"]) / 2).cast("int")
+        above = F.get(cuts, middle) > key
+        done = at["low"] >= at["high"]
+        return F.struct(F.when(done | above, at["low"]).otherwise(middle + 1).alias("low"), F.when(done | ~above, at["high"]).otherwise(middle).alias("high"))
+
+    start = F.struct(F.lit(0).alias("low"), F.size(cuts).alias("high"))
+    return F.aggregate(F.sequence(F.lit(1), F.lit(steps)), start, halve)["low"]
+
+
+def with_next(docs: DataFrame, carried: list[str], per_range: int = 2000, most: int = RANGES) -> DataFrame:
     """``docs`` (doc_id, ...) with the ``carried`` columns of the next row in id order as ``next_<name>``; the first follows the last.
 
-    Rows are cut into ranges of ids; the first row of each range also goes, as a
-    sentinel, to the end of the range before, so no row needs more than its range.
-    The driver holds one id for each range.
+    Rows are cut into ranges of (id, hash of the first carried column), so neither
+    ids nor nulls that many rows share make a range long. An exchange of these keys
+    alone finds the least key of each range; the at most ``most`` least keys meet
+    every row as one array, which a binary search reads. The rows of a range's least
+    key also go, as sentinels, to the end of the range before, so no row needs more
+    than its range, which is sorted on disk where it does not fit into memory.
     """
-    n = docs.count()
-    cuts: list[int] = []
-    if n > per_range:
-        parts = -(-n // per_range)
-        cuts = sorted(set(docs.agg(F.percentile_approx("doc_id", [i / parts for i in range(1, parts)], 10000)).first()[0] or []))
-    place = F.when(F.col("doc_id").isNull(), 0).otherwise(F.size(F.filter(F.array(*map(F.lit, cuts)), lambda c: c < F.col("doc_id")))) if cuts else F.lit(0)
-    tie = F.xxhash64(*carried)
-    ranged = docs.withColumn("range", place).withColumn("tie", tie)
-    firsts = sorted(ranged.groupBy("range").agg(F.min(F.struct("doc_id", "tie")).alias("first")).collect(), key=lambda r: r.range)
-    before = {r.range: firsts[i - 1].range for i, r in enumerate(firsts)}
-    size = max(before, default=0) + 1
-    known = {r.range: r.first for r in firsts}
-    literal = {k: F.array(*[F.lit(v).cast("long") for v in vs]) for k, vs in {
-        "id": [known[i].doc_id if i in known else None for i in range(size)],
-        "tie": [known[i].tie if i in known else None for i in range(size)],
-        "before": [before.get(i) for i in range(size)],
-    }.items()}
-    is_first = F.col("doc_id").eqNullSafe(F.get(literal["id"], F.col("range"))) & (F.col("tie") == F.get(literal["tie"], F.col("range")))
-    own = F.struct(F.col("range").cast("long").alias("range"), F.lit(False).alias("sentinel"))
-    guest = F.struct(F.get(literal["before"], F.col("range")).alias("range"), F.lit(True).alias("sentinel"))
-    placed = ranged.withColumn("at", F.explode(F.when(is_first, F.array(own, guest)).otherwise(F.array(own))))
+    tie = F.xxhash64(carried[0])
+    keys = docs.select("doc_id", tie.alias("tie"))
+    parts = max(1, min(most, -(-keys.count() // per_range)))
+    least = keys.repartitionByRange(parts, "doc_id", "tie").groupBy(F.spark_partition_id().alias("p")).agg(F.min(F.struct("doc_id", "tie")).alias("key"))
+    cuts = stored(least.agg(F.sort_array(F.collect_list("key")).alias("cuts")), "cuts")
+    steps = parts.bit_length() + 8  # an exchange may be dealt out over somewhat more ranges than asked for
+    ranged = docs.withColumn("tie", tie).withColumn("cuts", cuts.scalar()).withColumn("key", F.struct("doc_id", "tie"))
+    ranged = ranged.withColumn("range", placed_in(F.col("cuts"), F.col("key"), steps))
+    before = F.when(F.col("range") > 1, F.col("range") - 1).otherwise(F.size("cuts"))
+    own, guest = (F.struct(r.alias("range"), F.lit(is_guest).alias("sentinel")) for r, is_guest in ((F.col("range"), False), (before, True)))
+    is_first = F.get("cuts", F.col("range") - 1) == F.col("key")
+    placed = ranged.withColumn("at", F.explode(F.when(is_first, F.array(own, guest)).otherwise(F.array(own)))).drop("cuts", "key", "range")
     order = Window.partitionBy("at.range").orderBy("at.sentinel", "doc_id", "tie")
     after = placed.withColumns({f"next_{c}": F.lead(c).over(order) for c in carried})
-    return after.where("not at.sentinel").drop("range", "tie", "at")
+    return after.where("not at.sentinel").drop("tie", "at")
 
 
 def op2_scaled_sketch(spark: SparkSession, sf_dir: str) -> DataFrame:
