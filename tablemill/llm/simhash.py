@@ -9,11 +9,14 @@ Distinct fingerprints are cut into shards by a vantage-point tree: a node sends
 each other can be parted only if the inner one has ``d > radius - bits``
 (triangle inequality), so just those inner fingerprints are sent outside as well
 and every linked pair meets in some shard. The tree over shards is fitted on a
-bounded sample (``sample`` fingerprints, by hash order) and every fingerprint is
-routed through it. Inside a shard the same rule is applied again, down to leaves
+sample (``PER_LEAF`` fingerprints a shard, by hash order) and every fingerprint is
+routed through it. With n fingerprints a shard is meant to hold the larger of
+``PER_SHARD`` and four times the root of n, so shards, their size and the sample all
+grow as the root. Inside a shard the same rule is applied again, down to leaves
 that are compared exactly. A ball too dense to split is not compared pairwise:
 fingerprints at distance two or less share one of their one-bit changes, so 65
-keys a fingerprint link it in linear work.
+keys a fingerprint link it in linear work. A shard of ``DENSE`` times its size is
+such a ball and is linked by these keys over all tasks, not in one.
 
 Shards return spanning forests, never all pairs; forests are merged by
 alternating star contraction with stored rounds.
@@ -23,7 +26,12 @@ shingle sets have a Jaccard similarity of 0.8 or more are near copies. Their
 fingerprints lie up to 11 bits and more apart, where a vantage-point tree no
 longer parts anything (a shell that wide holds most fingerprints), so candidates
 come from MinHash bands, in such number that fewer than one in ``1 / MISS`` pairs
-at the least similarity is missed, and every link is confirmed on the exact sets.
+at the least similarity is missed. Bands alone would also pair the members of large
+groups that are somewhat less alike, so the sets of all candidates are cut to
+prefixes: two sets that are alike enough share one of their rarest shingles, among
+the first ``size - least * size + 1`` of each by frequency. What only one candidate
+holds is counted there but pairs with nothing. Every link is confirmed on the
+exact sets.
 
 Defined results: null and empty texts have fingerprint zero and are linked like
 any other; rows with a null document id get a fingerprint but no component and
@@ -38,16 +46,18 @@ from math import ceil, log
 import numpy as np
 import pyarrow as pa
 import xxhash
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from tablemill.llm.common import columns, free_name, stored, whole
+from tablemill.llm.common import columns, forget, free_name, lean, stored, whole
 from tablemill.llm.licenses import MISS, permutations, permuted, shingle_hashes
 
 BITS = 2
 SHINGLE = 3
 SAMPLE = 8192
+PER_LEAF = 24
 PER_SHARD = 4000
+DENSE = 16
 LEAF = 384
 NEAR_SHINGLE = 5
 NEAR = 0.8
@@ -77,7 +87,7 @@ def fingerprints(docs: DataFrame, text: str = "text", doc_id: str = "doc_id") ->
                 fps = np.fromiter(map(text_fingerprint, whole(part.column(1))), np.uint64, part.num_rows)
                 yield pa.RecordBatch.from_arrays([part.column(0), pa.array(fps.view(np.int64))], schema=shape)
 
-    return docs.select(F.col(doc_id).cast("long"), F.col(text)).mapInArrow(run, "doc_id long, fp long")
+    return docs.select(F.col(doc_id).cast("long"), F.col(text)).mapInArrow(lean(run), "doc_id long, fp long")
 
 
 # --- vantage-point tree ----------------------------------------------------
@@ -165,7 +175,7 @@ def dense_links(fps: np.ndarray) -> np.ndarray:
     return np.stack([fps[every[:, 0]], fps[every[:, 1]]], 1)
 
 
-def links(fps: np.ndarray, leaf: int = LEAF, bits: int = BITS) -> np.ndarray:
+def links(fps: np.ndarray, leaf: int = LEAF) -> np.ndarray:
     """Enough exact links among distinct fingerprints to hold all components together."""
     todo, out = [fps], []
     while todo:
@@ -173,13 +183,13 @@ def links(fps: np.ndarray, leaf: int = LEAF, bits: int = BITS) -> np.ndarray:
         if len(some) < 2:
             continue
         if len(some) <= leaf:
-            a, b = np.nonzero(np.triu(np.bitwise_count(some[:, None] ^ some[None, :]) <= bits, 1))
+            a, b = np.nonzero(np.triu(np.bitwise_count(some[:, None] ^ some[None, :]) <= BITS, 1))
             if len(a):
                 out.append(np.stack([some[a], some[b]], 1))
             continue
         v, radius = choose(some)
         d = distance(some, v)
-        inside, outside = some[d <= radius], some[d > radius - bits]
+        inside, outside = some[d <= radius], some[d > radius - BITS]
         if max(len(inside), len(outside)) >= 0.9 * len(some) or len(inside) + len(outside) > 1.6 * len(some):
             out.append(dense_links(some))
         else:
@@ -209,12 +219,13 @@ def forest(pairs: np.ndarray) -> np.ndarray:
     return np.stack([nodes[member], nodes[label[member]]], 1)
 
 
-def shard_links(distinct: DataFrame, sample: int = SAMPLE, per_shard: int = PER_SHARD) -> DataFrame:
+def shard_links(distinct: DataFrame, sample: int = SAMPLE, per_shard: int | None = None, dense: int = DENSE) -> DataFrame:
     """(a, b): spanning links between distinct fingerprints of the column ``fp``."""
     n = distinct.count()
-    seen = distinct.select("fp").orderBy(F.xxhash64("fp"), "fp").limit(sample).collect()
+    per_shard = per_shard or max(PER_SHARD, int(4 * n**0.5))
+    seen = distinct.select("fp").orderBy(F.xxhash64("fp"), "fp").limit(max(sample, PER_LEAF * (n // per_shard))).collect()
     some = np.array([r.fp for r in seen], np.int64).view(np.uint64)
-    nodes = build(some, max(24, int(len(some) * per_shard / max(n, 1))))
+    nodes = build(some, max(PER_LEAF, int(len(some) * per_shard / max(n, 1))))
     shape = columns("shard int, fp long")
 
     def send(batches):
@@ -227,7 +238,21 @@ def shard_links(distinct: DataFrame, sample: int = SAMPLE, per_shard: int = PER_
         tree = forest(links(fps)).view(np.int64).reshape(-1, 2)
         return pa.table({"a": tree[:, 0], "b": tree[:, 1]})
 
-    return distinct.select("fp").mapInArrow(send, "shard int, fp long").groupBy("shard").applyInArrow(solve, "a long, b long")
+    dealt = stored(distinct.select("fp").mapInArrow(lean(send), "shard int, fp long"), "shards")
+    balls = dealt.groupBy("shard").agg(F.count("*").alias("n")).where(F.col("n") > dense * per_shard).select("shard")
+    if not balls.take(1):
+        return dealt.groupBy("shard").applyInArrow(solve, "a long, b long")
+    # There are no more shards than ``build`` has leaves, so their numbers can travel.
+    rest = dealt.join(F.broadcast(balls), "shard", "left_anti").groupBy("shard").applyInArrow(solve, "a long, b long")
+    return rest.unionByName(changed_links(dealt.join(F.broadcast(balls), "shard", "left_semi").select("fp").distinct()))
+
+
+def changed_links(fps: DataFrame) -> DataFrame:
+    """Links of fingerprints through their one-bit changes, to the least that shares a key; as ``dense_links``, over all tasks."""
+    masks = F.array(F.lit(0).cast("long"), *[F.lit(1 << i).cast("long") for i in range(63)], F.lit(-(1 << 63)).cast("long"))
+    keyed = fps.select("fp", F.explode(F.transform(masks, lambda m: F.col("fp").bitwiseXOR(m))).alias("key"))
+    least = keyed.groupBy("key").agg(F.min("fp").alias("a"), F.max("fp").alias("top")).where("a < top").select("key", "a")
+    return keyed.join(least, "key").where("a < fp").select("a", F.col("fp").alias("b")).distinct()
 
 
 # --- components ------------------------------------------------------------
@@ -250,7 +275,8 @@ def star_components(edges: DataFrame) -> DataFrame:
     now = stored(edges.select(F.greatest("a", "b").alias("u"), F.least("a", "b").alias("v")).where("u <> v").distinct(), "stars")
     before = mark(now)
     while before[0]:
-        now = stored(round_of(now), "stars")
+        now, last = stored(round_of(now), "stars"), now
+        forget(last)
         after = mark(now)
         if after == before:
             break
@@ -258,9 +284,9 @@ def star_components(edges: DataFrame) -> DataFrame:
     return now.select(F.col("u").alias("node"), F.col("v").alias("root"))
 
 
-def components(prints: DataFrame, sample: int = SAMPLE, per_shard: int = PER_SHARD) -> DataFrame:
+def components(prints: DataFrame, sample: int = SAMPLE, per_shard: int | None = None, dense: int = DENSE) -> DataFrame:
     """doc_id, fp, component_id of fingerprinted documents (a stored table of doc_id, fp)."""
-    return joined(prints, lambda distinct: shard_links(distinct, sample, per_shard))
+    return joined(prints, lambda distinct: shard_links(distinct, sample, per_shard, dense))
 
 
 def joined(prints: DataFrame, linked_by: Callable[[DataFrame], DataFrame]) -> DataFrame:
@@ -326,36 +352,58 @@ def shingled(docs: DataFrame, text: str, doc_id: str, shingle: int, bands: int =
                 fps = np.array([xxhash.xxh64_intdigest(s.tobytes()) if len(s) else 0 for s in sets], np.uint64)
                 yield pa.RecordBatch.from_arrays([part.column(0), pa.array(fps.view(np.int64)), lists(shown)], schema=shape)
 
-    return docs.select(F.col(doc_id).cast("long"), F.col(text).cast("string")).mapInArrow(run, "doc_id long, fp long, hashes array<long>")
+    return docs.select(F.col(doc_id).cast("long"), F.col(text).cast("string")).mapInArrow(lean(run), "doc_id long, fp long, hashes array<long>")
 
 
 def near_links(prints: DataFrame, distinct: DataFrame, least: float, sets_of: Callable[[DataFrame], DataFrame]) -> DataFrame:
     """(a, b): links between sets that are ``least`` alike, enough to hold all components together.
 
-    Each band bucket is compared with its least member first; only a bucket that
-    still holds several components is compared across them. Every link is
-    confirmed on the exact sets, which are made for candidates only.
+    Sets that share a band are candidates; only they are made in full. A bucket is
+    the candidates that have one shingle in their prefixes. Its member with the
+    fewest shingles of its own is compared with all others first; only a bucket that
+    still holds several components is compared across them.
     """
     banded = prints.select("fp", F.explode("hashes").alias("key"))
-    heads = banded.groupBy("key").agg(F.min("fp").alias("a"), F.max("fp").alias("top")).where("a < top").select("key", "a")
-    shared = stored(banded.join(heads, "key").groupBy("key", "a", "fp").agg(F.lit(1).alias("_")).drop("_"), "buckets")
-    pairs = shared.where("a < fp").select("a", F.col("fp").alias("b")).distinct()
-    wanted = distinct.join(shared.select("fp").distinct(), "fp", "left_semi").select(F.col("low").alias("doc_id")).distinct()
+    heads = banded.groupBy("key").agg(F.min("fp").alias("a"), F.max("fp").alias("top")).where("a < top").select("key")
+    wanted = distinct.join(banded.join(heads, "key", "left_semi").select("fp").distinct(), "fp", "left_semi").select(F.col("low").alias("doc_id"))
     sets = stored(sets_of(wanted), "near-sets")
+    members = stored(prefixes(sets, least), "near-prefixes")
 
     def confirmed(some: DataFrame) -> DataFrame:
         both = some.join(sets.select(F.col("fp").alias("a"), F.col("hashes").alias("x")), "a").join(sets.select(F.col("fp").alias("b"), F.col("hashes").alias("y")), "b")
-        sizes = F.size("x") + F.size("y")
-        both = both.where(F.least(F.size("x"), F.size("y")) >= F.lit(least) * F.greatest(F.size("x"), F.size("y"))).withColumn("common", F.size(F.array_intersect("x", "y")))
-        return stored(both.where(F.col("common") >= F.lit(least) * (sizes - F.col("common"))).select("a", "b"), "near-links")
-
-    first = confirmed(pairs)
+        common = F.size(F.array_intersect("x", "y"))
+        return stored(both.select("a", "b", common.alias("common"), (F.size("x") + F.size("y")).alias("sizes")).where(F.col("common") >= F.lit(least) * (F.col("sizes") - F.col("common"))).select("a", "b"), "near-links")
+
+    def fitting(x: str, y: str) -> Column:
+        """Whether two members can be alike enough, by their sizes, by the shingles that others have too, and
+        because the rarest shingle they share leaves neither of them too few."""
+        of = lambda m, c: F.col(f"{m}.{c}")
+        need = F.ceil(F.lit(least / (1 + least)) * (of(x, "size") + of(y, "size")) - 1e-6)
+        return (F.least(of(x, "size") - of(x, "place"), of(y, "size") - of(y, "place")) >= need) & (F.least(of(x, "size") - of(x, "own"), of(y, "size") - of(y, "own")) >= need)
+
+    pivots = members.groupBy("key").agg(F.min(F.struct("own", "fp", "size", "place")).alias("p"), F.count("*").alias("n")).where("n > 1").select("key", "p.*")
+    pairs = members.alias("m").join(pivots.alias("p"), (F.col("m.key") == F.col("p.key")) & (F.col("m.fp") != F.col("p.fp")) & fitting("m", "p"))
+    first = confirmed(pairs.select(F.least("m.fp", "p.fp").alias("a"), F.greatest("m.fp", "p.fp").alias("b")).distinct())
     roots = star_components(first)
-    named = shared.select("key", "fp").join(roots.select(F.col("node").alias("fp"), "root"), "fp", "left").withColumn("root", F.coalesce("root", "fp"))
+    named = members.join(roots.select(F.col("node").alias("fp"), "root"), "fp", "left").withColumn("root", F.coalesce("root", "fp"))
     several = named.groupBy("key").agg(F.min("root").alias("low"), F.max("root").alias("top")).where("low < top").select("key")
-    left = stored(named.join(several, "key"), "near-left")
-    across = left.select("key", F.col("fp").alias("a"), F.col("root").alias("ra")).join(left.select("key", F.col("fp").alias("b"), F.col("root").alias("rb")), "key")
-    return first.unionByName(confirmed(across.where("a < b and ra <> rb").select("a", "b").distinct()))
+    left = stored(named.join(several, "key", "left_semi"), "near-left")
+    across = left.alias("m").join(left.alias("p"), (F.col("m.key") == F.col("p.key")) & (F.col("m.fp") < F.col("p.fp")) & (F.col("m.root") != F.col("p.root")) & fitting("m", "p"))
+    return first.unionByName(confirmed(across.select(F.col("m.fp").alias("a"), F.col("p.fp").alias("b")).distinct()))
+
+
+def prefixes(sets: DataFrame, least: float) -> DataFrame:
+    """(key, fp, size, own, place): the rarest shingles of each set that another of ``sets`` has, as far as its prefix reaches.
+
+    ``own`` counts the shingles that no other set has, ``place`` all that come before the key.
+    """
+    each = sets.select("fp", F.size("hashes").alias("size"), F.explode("hashes").alias("key"))
+    shared = each.groupBy("key").agg(F.count("*").alias("times")).where("times > 1")
+    ranked = each.join(shared, "key").groupBy("fp", "size").agg(F.sort_array(F.collect_list(F.struct("times", "key"))).alias("shared"))
+    own = F.col("size") - F.size("shared")
+    reach = F.col("size") - F.ceil(F.lit(least) * F.col("size") - 1e-6) + 1 - own
+    placed = ranked.select("fp", "size", own.alias("own"), F.posexplode(F.slice("shared", F.lit(1), F.greatest(F.lit(0), reach).cast("int"))).alias("at", "s"))
+    return placed.select(F.col("s.key").alias("key"), "fp", "size", "own", (F.col("own") + F.col("at")).alias("place"))
 
 
 def near_groups(docs: DataFrame, text: str = "text", doc_id: str = "doc_id", shingle: int = NEAR_SHINGLE, least: float = NEAR) -> DataFrame:
