@@ -6,10 +6,10 @@ kept as RIFF/WAVE with its own codec (8-bit companded samples, or ADPCM blocks
 of 64 bytes), so stored bytes are lossless, and is handed on as 16-bit PCM
 resampled by a fixed-point windowed-sinc filter, equal on every machine.
 
-``packed`` makes a media column of any binary payload, ``decoded`` reads one.
-Defined results: a null payload is empty; a payload is filled with zero bytes to
-a positive multiple of 64; equal payloads give equal files and features; a file
-that is not of a known codec raises.
+``packed`` makes a media column of any binary payload, ``decoded`` turns one into
+stored PCM. Defined results: a null payload is empty; a payload is filled with zero
+bytes to a positive multiple of 64; equal payloads give equal files, PCM and features;
+a file that is not of a known codec raises.
 """
 
 from __future__ import annotations
@@ -24,7 +24,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from tablemill.llm.common import columns, stored, whole
+from tablemill.llm.common import columns, lean, stored, whole
 from tablemill.llm.pieces import slices
 
 RATE, TARGET, BLOCK = 8000, 16000, 64
@@ -191,44 +191,51 @@ def packed(docs: DataFrame, payload: str = "text", key: str = "doc_id") -> DataF
                 full = [padded(d) for d in data]
                 yield pa.RecordBatch.from_arrays([part.column(0), pa.array(map(len, data), pa.int64()), pa.array([to_wave(p, codec_of(p)) for p in full], pa.binary())], schema=shape)
 
-    return docs.select(F.col(key).cast("long"), F.col(payload)).mapInArrow(run, returns)
+    return docs.select(F.col(key).cast("long"), F.col(payload)).mapInArrow(lean(run), returns)
 
 
 def decoded(media: DataFrame, column: str = "media", key: str = "doc_id", rate: int = TARGET) -> DataFrame:
-    """(key, codec, rate, pcm): 16-bit little-endian PCM of each file at one rate."""
+    """(key, codec, rate, pcm): 16-bit little-endian PCM of each file at one rate, to be written to any table."""
     returns = f"{key} long, codec string, rate long, pcm binary"
     shape = columns(returns)
 
     def run(batches):
         for b in batches:
-            for part in slices(b, 1):
+            for part in slices(b, 1, 1 << 20):
                 rows = expand(part.column(1).to_pylist())
                 pcm = [resample(p, r, rate).astype("<i2").tobytes() for _, r, _, p in rows]
-                yield pa.RecordBatch.from_arrays([part.column(0), pa.array([CODECS[r[0]] for r in rows]), pa.array([rate] * len(rows), pa.int64()), pa.array(pcm, pa.binary())], schema=shape)
+                yield pa.RecordBatch.from_arrays([part.column(0), pa.array([CODECS[r[0]] for r in rows], pa.string()), pa.array([rate] * len(rows), pa.int64()), pa.array(pcm, pa.binary())], schema=shape)
 
-    return media.select(F.col(key).cast("long"), F.col(column)).mapInArrow(run, returns)
+    return media.select(F.col(key).cast("long"), F.col(column)).mapInArrow(lean(run), returns)
 
 
 def op4_telephony_media(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Store every text as telephony audio, read the stored files back, and digest what they hold."""
+    """Store every text as telephony audio, read the stored files back, digest what they hold, and hand on their resampled PCM.
+
+    The column ``pcm`` is what ``decoded`` stores: 16-bit samples at 16 kHz, one
+    row a document, written with the result.
+    """
     media = stored(packed(spark.read.parquet(f"{sf_dir}/documents.parquet")), "media")
-    returns = "doc_id long, n_bytes long, payload_bytes long, payload_sha256 string, tail_crc32 long, media_bytes long, media_sha256 string, feature string"
+    returns = "doc_id long, n_bytes long, payload_bytes long, payload_sha256 string, tail_crc32 long, media_bytes long, media_sha256 string, feature string, rate long, pcm binary"
     shape = columns(returns)
 
     def run(batches):
         for b in batches:
-            for part in slices(b, 2):
+            for part in slices(b, 2, 1 << 20):
                 files = part.column(2).to_pylist()
                 rows = expand(files)
+                pcm = [resample(r[3], r[1], TARGET) for r in rows]
                 arrays = [
                     part.column(0), part.column(1),
                     pa.array([len(r[2]) for r in rows], pa.int64()),
-                    pa.array([hashlib.sha256(r[2]).hexdigest() for r in rows]),
+                    pa.array([hashlib.sha256(r[2]).hexdigest() for r in rows], pa.string()),
                     pa.array([zlib.crc32(r[2][-64:]) for r in rows], pa.int64()),
                     pa.array(map(len, files), pa.int64()),
-                    pa.array([hashlib.sha256(f).hexdigest() for f in files]),
-                    pa.array([feature(r[0], resample(r[3], r[1], TARGET)) for r in rows]),
+                    pa.array([hashlib.sha256(f).hexdigest() for f in files], pa.string()),
+                    pa.array([feature(r[0], p) for r, p in zip(rows, pcm)], pa.string()),
+                    pa.array([TARGET] * len(rows), pa.int64()),
+                    pa.array([p.astype("<i2").tobytes() for p in pcm], pa.binary()),
                 ]
                 yield pa.RecordBatch.from_arrays(arrays, schema=shape)
 
-    return media.mapInArrow(run, returns)
+    return media.mapInArrow(lean(run), returns)
