@@ -21,13 +21,28 @@ def exact(docs: DataFrame, key: Column | None = None) -> DataFrame:
     return docs.groupBy(key.alias("fingerprint")).agg(F.min("doc_id").alias("doc_id"), F.count("*").alias("n_copies"))
 
 
-def minhash_signature(words: Column, permutations: int = 128, width: int = 5, seed: str = "minhash") -> Column:
-    """Minimum of each seeded permutation over the 31-bit hashes of a text's shingles."""
+def minhash_signatures(sets: DataFrame, permutations: int = 128, seed: str = "minhash") -> DataFrame:
+    """(doc_id, sig): minimum of each seeded permutation over the 31-bit parts of a document's shingle hashes, one Arrow batch at a time."""
     prime = (1 << 31) - 1
     coefficient = [(_seeded(f"{seed}-a-{i}", prime - 1) + 1, _seeded(f"{seed}-b-{i}", prime)) for i in range(permutations)]
-    table = F.array(*[F.struct(F.lit(a).cast("long").alias("a"), F.lit(b).cast("long").alias("b")) for a, b in coefficient])
-    hashes = F.transform(shingles(words, width), lambda s: F.xxhash64(s).bitwiseAND(prime))
-    return F.transform(F.array(hashes), lambda h: F.transform(table, lambda c: F.array_min(F.transform(h, lambda x: (x * c["a"] + c["b"]) % prime))))[0]
+
+    def run(batches):
+        import numpy as np
+        import pyarrow as pa
+
+        for batch in batches:
+            for at in range(0, batch.num_rows, 500):
+                part = batch.slice(at, 500)
+                lists = part.column(1)
+                ends = lists.offsets.to_numpy().astype(np.int64)
+                h = lists.values.to_numpy()[ends[0] : ends[-1]] & prime
+                sig = np.empty((part.num_rows, permutations), np.int64)
+                for i, (a, b) in enumerate(coefficient):
+                    sig[:, i] = np.minimum.reduceat((h * a + b) % prime, ends[:-1] - ends[0])  # no set is empty
+                cuts = pa.array(np.arange(part.num_rows + 1, dtype=np.int32) * permutations)
+                yield pa.RecordBatch.from_arrays([part.column(0), pa.ListArray.from_arrays(cuts, pa.array(sig.ravel()))], names=["doc_id", "sig"])
+
+    return sets.select(F.col("doc_id").cast("long"), "set").mapInArrow(run, "doc_id long, sig array<long>")
 
 
 def _seeded(key: str, below: int) -> int:
@@ -39,34 +54,68 @@ def _seeded(key: str, below: int) -> int:
 def near_groups(docs: DataFrame, threshold: float = 0.8, bands: int = 32, rows: int = 4, width: int = 5) -> DataFrame:
     """(doc_id, class_id): classes of documents whose shingle sets are ``threshold`` alike, by banded MinHash.
 
-    Equal texts meet first, so a group of copies is one row. Each band bucket is
-    compared with its least member; a bucket that is one component by then needs
-    no more, and only buckets that still hold several are compared across them.
-    All links are verified on the exact sets; a class is named by its least id.
+    Equal texts meet first, so a group of copies is one row. Documents that share a
+    band are candidates; ``alike`` links them on their exact sets. A class is named
+    by its least id.
     """
     kept = docs.select("doc_id", F.md5(F.coalesce("text", F.lit(""))).alias("fp"), "text")
     classes = kept.groupBy("fp").agg(F.min("doc_id").alias("rep"))
     members = kept.select("doc_id", "fp").join(classes, "fp").select("doc_id", "rep")
     reps = docs.join(classes.select(F.col("rep").alias("doc_id")), "doc_id", "left_semi").dropDuplicates(["doc_id"]).select("doc_id", tokens(F.lower("text")).alias("words"))
-    signed = cut(reps.select("doc_id", shingles(F.col("words"), width).alias("set"), minhash_signature(F.col("words"), bands * rows, width).alias("sig")).select("doc_id", F.transform("set", lambda s: F.xxhash64(s)).alias("set"), "sig"))
-    sets = signed.select("doc_id", "set")
-    banded = signed.select("doc_id", F.posexplode(F.array(*[F.xxhash64(F.slice("sig", 1 + i * rows, rows)) for i in range(bands)])).alias("band", "h"))
+    sets = cut(reps.select("doc_id", F.transform(shingles(F.col("words"), width), lambda s: F.xxhash64(s)).alias("set")))
+    banded = cut(minhash_signatures(sets, bands * rows).select("doc_id", F.posexplode(F.array(*[F.xxhash64(F.slice("sig", 1 + i * rows, rows)) for i in range(bands)])).alias("band", "h")))
+    shared = banded.groupBy("band", "h").agg(F.min("doc_id").alias("x"), F.max("doc_id").alias("top")).where("x < top").select("band", "h")
+    near = banded.join(shared, ["band", "h"], "left_semi").select("doc_id").distinct()
+    root = components(alike(cut(sets.join(near, "doc_id", "left_semi")), threshold))
+    return members.join(root.select(F.col("node").alias("rep"), "root"), "rep", "left").select("doc_id", F.coalesce("root", "rep").alias("class_id"))
+
+
+def prefixes(sets: DataFrame, threshold: float) -> DataFrame:
+    """(key, doc_id, size, own, place): the rarest shingles of each set (doc_id, set) that another has, as far as its prefix reaches.
+
+    Two sets that are alike enough share one of their first ``size - threshold *
+    size + 1`` shingles in order of frequency. ``own`` counts those no other set has;
+    they come first and pair with nothing. ``place`` counts what precedes the key.
+    """
+    each = sets.select("doc_id", F.size("set").alias("size"), F.explode("set").alias("key"))
+    common = each.groupBy("key").agg(F.count("*").alias("times")).where("times > 1")
+    ranked = each.join(common, "key").groupBy("doc_id", "size").agg(F.sort_array(F.collect_list(F.struct("times", "key"))).alias("common"))
+    own = F.col("size") - F.size("common")
+    reach = F.col("size") - F.ceil(F.lit(threshold) * F.col("size") - 1e-6) + 1 - own
+    at = F.posexplode(F.slice("common", F.lit(1), F.greatest(F.lit(0), reach).cast("int"))).alias("at", "s")
+    return ranked.select("doc_id", "size", own.alias("own"), at).select(F.col("s.key").alias("key"), "doc_id", "size", "own", (F.col("own") + F.col("at")).alias("place"))
+
+
+def alike(sets: DataFrame, threshold: float) -> DataFrame:
+    """(x, y): links of sets with a Jaccard similarity of ``threshold`` or more, enough to hold all components together.
+
+    The member of a bucket with the fewest shingles of its own is compared with the
+    others first. What still stands apart is compared only where sizes, and the place
+    of the rarest shingle in common, leave room for the overlap needed.
+    """
+    members = cut(prefixes(sets, threshold))
+    of = lambda m, c: F.col(f"{m}.{c}")
+
+    def room(x, y):
+        need = F.ceil(F.lit(threshold / (1 + threshold)) * (of(x, "size") + of(y, "size")) - 1e-6)
+        return (F.least(of(x, "size") - of(x, "place"), of(y, "size") - of(y, "place")) >= need) & (F.least(of(x, "size") - of(x, "own"), of(y, "size") - of(y, "own")) >= need)
 
     def verified(pairs: DataFrame) -> DataFrame:
         both = pairs.join(sets.select(F.col("doc_id").alias("x"), F.col("set").alias("xs")), "x").join(sets.select(F.col("doc_id").alias("y"), F.col("set").alias("ys")), "y")
         common = F.size(F.array_intersect("xs", "ys"))
         return cut(both.where(common >= threshold * (F.size("xs") + F.size("ys") - common)).select("x", "y"))
 
-    least = banded.groupBy("band", "h").agg(F.min("doc_id").alias("x"), F.max("doc_id").alias("top")).where("x < top").select("band", "h", "x")
-    links = verified(banded.join(least, ["band", "h"]).where("doc_id > x").select("x", F.col("doc_id").alias("y")).distinct())
+    def paired(m: DataFrame, p: DataFrame, apart: Column) -> DataFrame:
+        met = m.alias("m").join(p.alias("p"), (of("m", "key") == of("p", "key")) & apart & room("m", "p"))
+        return verified(met.select(F.least("m.doc_id", "p.doc_id").alias("x"), F.greatest("m.doc_id", "p.doc_id").alias("y")).distinct())
+
+    pivots = members.groupBy("key").agg(F.min(F.struct("own", "doc_id", "size", "place")).alias("p"), F.count("*").alias("n")).where("n > 1").select("key", "p.*")
+    links = paired(members, pivots, of("m", "doc_id") != of("p", "doc_id"))
     root = components(links)
-    named = banded.join(root.select(F.col("node").alias("doc_id"), "root"), "doc_id", "left").withColumn("root", F.coalesce("root", "doc_id"))
-    mixed = named.groupBy("band", "h").agg(F.min("root").alias("a"), F.max("root").alias("b")).where("a < b").select("band", "h")
-    left = cut(named.join(mixed, ["band", "h"], "left_semi"))
-    other = left.select("band", "h", F.col("doc_id").alias("y"), F.col("root").alias("other"))
-    across = left.join(other, ["band", "h"]).where("root < other").select(F.least("doc_id", "y").alias("x"), F.greatest("doc_id", "y").alias("y")).distinct()
-    root = components(links.unionByName(verified(across)))
-    return members.join(root.select(F.col("node").alias("rep"), "root"), "rep", "left").select("doc_id", F.coalesce("root", "rep").alias("class_id"))
+    named = members.join(root.select(F.col("node").alias("doc_id"), "root"), "doc_id", "left").withColumn("root", F.coalesce("root", "doc_id"))
+    several = named.groupBy("key").agg(F.min("root").alias("low"), F.max("root").alias("top")).where("low < top").select("key")
+    left = cut(named.join(several, "key", "left_semi"))
+    return links.unionByName(paired(left, left, (of("m", "doc_id") < of("p", "doc_id")) & (of("m", "root") != of("p", "root"))))
 
 
 def components(links: DataFrame) -> DataFrame:
@@ -314,13 +363,42 @@ def losses(current: DataFrame, reference: DataFrame, alpha: float = 1.0) -> Data
 
 
 def excess(docs: DataFrame, labels: DataFrame, alpha: float = 1.0) -> DataFrame:
-    """(doc_id, token, n, loss_cur, excess) per distinct token of each document; the reference is fitted on good, harmless text."""
-    good = docs.join(labels.where("quality = 1 and toxic = 0").select("doc_id"), "doc_id", "left_semi")
-    table = losses(fit_unigram(docs), fit_unigram(good), alpha)
-    own = docs.select("doc_id", F.explode(tokens(F.lower("text"))).alias("token")).groupBy("doc_id", "token").agg(F.count("*").alias("n"))
+    """(doc_id, token, n, loss_cur, excess) per distinct token of each document; the reference is fitted on good, harmless text.
+
+    Texts are tokenised once; both models are sums over the counts of each document.
+    """
+    own = cut(docs.select("doc_id", F.explode(tokens(F.lower("text"))).alias("token")).groupBy("doc_id", "token").agg(F.count("*").alias("n")))
+    good = own.join(labels.where("quality = 1 and toxic = 0").select("doc_id").distinct(), "doc_id", "left_semi")
+    counted = lambda rows: rows.groupBy("token").agg(F.sum("n").alias("n"))
+    table = cut(losses(cut(counted(own)), counted(good), alpha))
     return own.join(table, "token").select("doc_id", "token", "n", "loss_cur", (F.col("loss_cur") - F.col("loss_ref")).alias("excess"))
 
 
+def excess_in_context(docs: DataFrame, labels: DataFrame, alpha: float = 1.0) -> DataFrame:
+    """(doc_id, before, token, n, loss_cur, excess): the same with models of order two, a token given the one before it.
+
+    The first token of a text follows the empty string; a pair's loss is that of its
+    token among all that follow the same word, smoothed by ``alpha`` for each word known.
+    """
+    none = F.expr("cast(array() as array<string>)")
+    words = docs.select("doc_id", tokens(F.lower("text")).alias("ws"))
+    pairs = words.select("doc_id", F.explode(F.arrays_zip(F.concat(F.array(F.lit("")), F.when(F.size("ws") > 1, F.slice("ws", F.lit(1), F.size("ws") - 1)).otherwise(none)).alias("before"), F.col("ws").alias("token"))).alias("p")).where("p.token is not null")
+    own = cut(pairs.groupBy("doc_id", F.col("p.before").alias("before"), F.col("p.token").alias("token")).agg(F.count("*").alias("n")))
+    good = own.join(labels.where("quality = 1 and toxic = 0").select("doc_id").distinct(), "doc_id", "left_semi")
+    v = float(own.agg(F.countDistinct("token")).first()[0])
+
+    def model(rows: DataFrame, loss: str) -> DataFrame:
+        pair = rows.groupBy("before", "token").agg(F.sum("n").alias("c"))
+        context = pair.groupBy("before").agg(F.sum("c").alias("t"))
+        return pair.join(context, "before").select("before", "token", (-F.log((F.col("c") + alpha) / (F.col("t") + alpha * v))).alias(loss)), context.select("before", (-F.log(F.lit(alpha) / (F.col("t") + alpha * v))).alias(f"{loss}_unseen"))
+
+    current, _ = model(own, "loss_cur")
+    reference, unseen = model(good, "loss_ref")
+    table = current.join(reference, ["before", "token"], "left").join(unseen, "before", "left")
+    table = table.select("before", "token", "loss_cur", F.coalesce("loss_ref", "loss_ref_unseen", F.lit(-1.0) * F.log(F.lit(1.0 / max(v, 1.0)))).alias("loss_ref"))
+    return own.join(table, ["before", "token"]).select("doc_id", "before", "token", "n", "loss_cur", (F.col("loss_cur") - F.col("loss_ref")).alias("excess"))
+
+
 def masked(scored: DataFrame, threshold: float = 0.6, mode: str = "score") -> DataFrame:
     """``keep`` by raw excess, by excess scaled to 0..1 inside the document, by rank share, all, or at random."""
     if mode == "score":
@@ -358,12 +436,14 @@ def to_ratio(rows: DataFrame, kind: str, weight: str, targets: dict[str, float],
     return rows.where(det.unit(seed, F.col(key)) < F.coalesce(rate[F.col(kind)], F.lit(0.0)))
 
 
-def prefix_sums(rows: DataFrame, order: str, size: str, ranges: int = 64) -> DataFrame:
+def prefix_sums(rows: DataFrame, order: str, size: str, per_range: int = 100_000) -> DataFrame:
     """``start``: sum of the sizes before each row in the order of a hexadecimal key.
 
     Ranges by the key's first digits are summed on their own; only one number a
-    range meets in one place, so no task sees all rows.
+    range meets in one place, so no task sees all rows. There are as many ranges as
+    keep ``per_range`` rows in each, up to 65536.
     """
+    ranges = min(65536, max(64, -(-rows.count() // per_range)))
     r = (F.conv(F.substring(order, 1, 4), 16, 10).cast("long") * ranges / 65536).cast("int")
     ranged = rows.withColumn("r", r)
     before = ranged.groupBy("r").agg(F.sum(size).alias("s")).withColumn("base", F.coalesce(F.sum("s").over(Window.orderBy("r").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0))).select("r", "base")
@@ -380,8 +460,9 @@ def concat_cut(docs: DataFrame, ctx: int = 8192, seed: str = "pack") -> DataFram
     return cut.select("pack_id", "doc_id", F.greatest(F.lit(0), F.col("pack_id") * ctx - F.col("start")).cast("long").alias("from"), F.least("n", (F.col("pack_id") + 1) * ctx - F.col("start")).cast("long").alias("to"))
 
 
-def by_length(docs: DataFrame, ctx: int = 8192, shards: int = 8) -> DataFrame:
-    """Best-fit-decreasing packs inside shards; only documents longer than ``ctx`` are cut."""
+def by_length(docs: DataFrame, ctx: int = 8192, per_shard: int = 200_000) -> DataFrame:
+    """Best-fit-decreasing packs inside shards; only documents longer than ``ctx`` are cut. Shards grow in number, not in size."""
+    shards = max(8, -(-docs.count() // per_shard))
     sized = docs.select("doc_id", F.size(tokens(F.col("text"))).cast("long").alias("n")).where("n > 0").withColumn("shard", det.pick(shards, "shard", F.col("doc_id")))
 
     def pack(pdf: pd.DataFrame) -> pd.DataFrame:

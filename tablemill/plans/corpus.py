@@ -226,6 +226,23 @@ ll AS (SELECT token, -ln((c + 1) / (tc + v)) AS loss_cur, -ln((r + 1) / (tr + v)
 x AS (SELECT doc_id, o.token, o.n, loss_cur, loss_cur - loss_ref AS excess FROM (SELECT doc_id, token, count(*) AS n FROM k GROUP BY ALL) o JOIN ll ON o.token = ll.token)"""
 
 
+LM2_SQL = f"""
+k AS (SELECT doc_id, unnest({LTOK}) AS token, unnest(range(len({LTOK}))) AS pos FROM documents),
+kk AS (SELECT doc_id, token, coalesce(lag(token) OVER (PARTITION BY doc_id ORDER BY pos), '') AS before FROM k),
+g AS (SELECT kk.* FROM kk JOIN labels l ON kk.doc_id = l.doc_id WHERE l.quality = 1 AND l.toxic = 0),
+z AS (SELECT count(DISTINCT token)::DOUBLE AS v FROM k),
+c AS (SELECT before, token, count(*)::DOUBLE AS c, sum(count(*)) OVER (PARTITION BY before)::DOUBLE AS t FROM kk GROUP BY 1, 2),
+r AS (SELECT before, token, count(*)::DOUBLE AS c FROM g GROUP BY 1, 2), rt AS (SELECT before, sum(c) AS t FROM r GROUP BY 1),
+ll AS (SELECT c.before, c.token, -ln((c.c + 1) / (c.t + v)) AS loss_cur, -ln((coalesce(r.c, 0) + 1) / (coalesce(rt.t, 0) + v)) AS loss_ref FROM c CROSS JOIN z LEFT JOIN r ON r.before = c.before AND r.token = c.token LEFT JOIN rt ON rt.before = c.before)"""
+
+
+@query("cpt_token_excess_order2", f"WITH {LM2_SQL} SELECT kk.before, kk.token, count(*)::BIGINT AS n, round(any_value(loss_cur), 6) AS loss_cur, round(any_value(loss_cur - loss_ref), 6) AS excess FROM kk JOIN ll ON ll.before = kk.before AND ll.token = kk.token GROUP BY 1, 2")
+def cpt_token_excess_order2(t):
+    """Losses of tokens given the token before, current against reference model, by pair."""
+    own = C.excess_in_context(t.documents, t.labels)
+    return own.groupBy("before", "token").agg(F.sum("n").alias("n"), F.round(F.first("loss_cur"), 6).alias("loss_cur"), F.round(F.first("excess"), 6).alias("excess"))
+
+
 @query("cpt_token_excess", f"WITH {LM_SQL} SELECT doc_id, token, n::BIGINT AS n, round(loss_cur, 6) AS loss_cur, round(excess, 6) AS excess FROM x")
 def cpt_token_excess(t):
     return C.excess(t.documents, t.labels).select("doc_id", "token", "n", F.round("loss_cur", 6).alias("loss_cur"), F.round("excess", 6).alias("excess"))
