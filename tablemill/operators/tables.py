@@ -143,9 +143,13 @@ def flatten_headers(cells: DataFrame, sep: str = " / ") -> DataFrame:
     return cells.where("not is_header").join(heads, ["table_id", "c"]).select("table_id", F.col("r").cast("long").alias("row_id"), F.col("c").alias("col_id"), "col_name", "value")
 
 
-def plan_of(sep: str = " / ") -> str:
-    """The steps that turn an irregular grid into cells, as JSON; they apply to later states of the table too."""
-    return json.dumps([{"step": "unmerge"}, {"step": "flatten_headers", "sep": sep}])
+def plan_of(grid: DataFrame, sep: str = " / ") -> str:
+    """The steps that turn the tables of a grid into cells, as JSON, from what they are: spans are
+    unmerged if any is there, and names come from one header row or from several joined.
+    The plan applies to later states of the tables too."""
+    seen = regularity(grid).agg(F.max("merged").alias("merged"), F.max("header_rows").alias("levels")).first()
+    steps = [{"step": "unmerge"}] if seen.merged else []
+    return json.dumps([*steps, {"step": "flatten_headers", "sep": sep if (seen.levels or 0) > 1 else ""}])
 
 
 def replay(grid: DataFrame, plan: str) -> DataFrame:
@@ -170,16 +174,30 @@ def serialise(cells: DataFrame, fmt: str) -> DataFrame:
     def each(fn, sep):
         return F.array_join(F.transform("cs", fn), sep)
 
-    value, pair = (lambda c: c["value"]), (lambda c: F.concat(c["col_name"], F.lit("="), c["value"]))
-    quote = lambda c: F.concat(F.lit('"'), F.replace(c["value"], F.lit('"'), F.lit('""')), F.lit('"'))
-    name = lambda c: c["col_name"]
+    def swapped(text, *pairs):
+        for old, new in pairs:
+            text = F.replace(text, F.lit(old), F.lit(new))
+        return text
+
+    padded = lambda x: F.rpad(x, F.greatest(F.lit(16), F.length(x)), " ")  # noqa: E731  (a longer value is not cut)
+    # What the marks of a form mean elsewhere is escaped in names and values.
+    marked = lambda x: swapped(x, ("&", "&amp;"), ("<", "&lt;"), (">", "&gt;"))
+    barred = lambda x: swapped(x, ("\\", "\\\\"), ("|", "\\|"), ("\n", " "))
+    tag = lambda x: F.regexp_replace(F.regexp_replace(x, r"[^\pL\pN_.-]", "_"), r"^(?![\pL_])", "_")
+    told = lambda x: F.to_json(F.array(x)).substr(F.lit(2), F.length(F.to_json(F.array(x))) - 2)
+    listed = lambda x: swapped(x, ("\\", "\\\\"), (";", "\\;"), ("=", "\\="), ("\n", "\\n"))
+    quoted = lambda x: F.concat(F.lit('"'), F.replace(x, F.lit('"'), F.lit('""')), F.lit('"'))
+    value, pair = (lambda c: barred(c["value"])), (lambda c: F.concat(listed(c["col_name"]), F.lit("="), listed(c["value"])))
+    quote = lambda c: quoted(c["value"])
+    head_of = lambda c: F.when(c["col_name"].rlike('[",\n]'), quoted(c["col_name"])).otherwise(c["col_name"])
+    name = lambda c: barred(c["col_name"])
     forms = {
-        "html": ("<table>", each(lambda c: F.concat(F.lit("<th>"), c["col_name"], F.lit("</th>")), ""), each(lambda c: F.concat(F.lit("<td>"), c["value"], F.lit("</td>")), ""), "<tr>", "</tr>", "", "</table>"),
-        "xml": ("<table>", None, each(lambda c: F.concat(F.lit("<"), c["col_name"], F.lit(">"), c["value"], F.lit("</"), c["col_name"], F.lit(">")), ""), "<row>", "</row>", "", "</table>"),
+        "html": ("<table>", each(lambda c: F.concat(F.lit("<th>"), marked(c["col_name"]), F.lit("</th>")), ""), each(lambda c: F.concat(F.lit("<td>"), marked(c["value"]), F.lit("</td>")), ""), "<tr>", "</tr>", "", "</table>"),
+        "xml": ("<table>", None, each(lambda c: F.concat(F.lit("<"), tag(c["col_name"]), F.lit(">"), marked(c["value"]), F.lit("</"), tag(c["col_name"]), F.lit(">")), ""), "<row>", "</row>", "", "</table>"),
         "markdown": ("", each(name, " | "), each(value, " | "), "| ", " |", "\n", ""),
-        "text": ("", each(lambda c: F.rpad(c["col_name"], 16, " "), " "), each(lambda c: F.rpad(c["value"], 16, " "), " "), "", "", "\n", ""),
-        "json": ("[", None, each(lambda c: F.concat(F.lit('"'), c["col_name"], F.lit('":"'), c["value"], F.lit('"')), ","), "{", "}", ",", "]"),
-        "csv": ("", each(name, ","), each(quote, ","), "", "", "\n", ""),
+        "text": ("", each(lambda c: padded(c["col_name"]), " "), each(lambda c: padded(c["value"]), " "), "", "", "\n", ""),
+        "json": ("[", None, each(lambda c: F.concat(told(c["col_name"]), F.lit(":"), told(c["value"])), ","), "{", "}", ",", "]"),
+        "csv": ("", each(head_of, ","), each(quote, ","), "", "", "\n", ""),
         "pipe": ("", each(name, "|"), each(value, "|"), "", "", "\n", ""),
         "key_value": ("", None, each(pair, "; "), "", "", "\n", ""),
     }
@@ -202,10 +220,10 @@ def combos() -> list[tuple[str, bool, bool]]:
 # --- augmentation ------------------------------------------------------------
 
 
-def anonymise(cells: DataFrame, max_kinds: int = 20) -> tuple[DataFrame, DataFrame]:
-    """Headers become ``col_i``, values of columns with few kinds ``val_j``; the mapping is one to one inside each table."""
+def anonymise(cells: DataFrame, max_kinds: int | None = None) -> tuple[DataFrame, DataFrame]:
+    """Headers become ``col_i``, text values ``val_j`` (of columns with up to ``max_kinds`` kinds, if given); the mapping is one to one inside each table."""
     heads = cells.select("table_id", "col_id", "col_name").distinct().withColumn("new", F.concat(F.lit("col_"), F.row_number().over(Window.partitionBy("table_id").orderBy(F.md5("col_name"), "col_name")).cast("string")))
-    few = cells.where(kind(F.col("value")) == "string").groupBy("table_id", "col_id").agg(F.countDistinct("value").alias("k")).where(F.col("k") <= max_kinds)
+    few = cells.where(kind(F.col("value")) == "string").groupBy("table_id", "col_id").agg(F.countDistinct("value").alias("k")).where(F.lit(max_kinds is None) | (F.col("k") <= F.lit(max_kinds or 0)))
     kinds = cells.join(few.select("table_id", "col_id"), ["table_id", "col_id"], "left_semi").select("table_id", "col_id", "value").distinct().where("value is not null")
     vals = kinds.withColumn("new_value", F.concat(F.lit("val_"), F.row_number().over(Window.partitionBy("table_id", "col_id").orderBy(F.md5("value"), "value")).cast("string")))
     out = cells.join(heads.drop("col_name"), ["table_id", "col_id"]).join(vals, ["table_id", "col_id", "value"], "left").select("table_id", "row_id", "col_id", F.col("new").alias("col_name"), F.coalesce("new_value", "value").alias("value"))

@@ -174,7 +174,8 @@ def tab_flatten_headers(t):
 
 @query("tab_plan_replay", GRID_SQL + "SELECT * FROM fl")
 def tab_plan_replay(t):
-    return T.replay(grid(t), T.plan_of())
+    g = grid(t)
+    return T.replay(g, T.plan_of(g))
 
 
 @query("tab_normalise_names", r"SELECT p_partkey, regexp_replace(regexp_replace(lower(trim('  ' || p_brand || ' / ' || p_type || '!')), '[^a-z0-9]+', '_', 'g'), '^_+|_+$', '', 'g') AS name, replace('1,234.50', ',', '') AS number, 'true' AS flag, NULL::VARCHAR AS gap FROM part")
@@ -202,7 +203,7 @@ _SER = {
     "markdown": ("''", "'| ' || string_agg(col_name, ' | ' ORDER BY col_id) || ' |'", "'| ' || string_agg(value, ' | ' ORDER BY col_id) || ' |'", "chr(10)", "''"),
     "json": ("'['", None, """'{' || string_agg('"' || col_name || '":"' || value || '"', ',' ORDER BY col_id) || '}'""", "','", "']'"),
     "csv": ("''", "string_agg(col_name, ',' ORDER BY col_id)", """string_agg('"' || value || '"', ',' ORDER BY col_id)""", "chr(10)", "''"),
-    "text": ("''", "string_agg(rpad(col_name, 16, ' '), ' ' ORDER BY col_id)", "string_agg(rpad(value, 16, ' '), ' ' ORDER BY col_id)", "chr(10)", "''"),
+    "text": ("''", "string_agg(rpad(col_name, greatest(16, length(col_name))::INT, ' '), ' ' ORDER BY col_id)", "string_agg(rpad(value, greatest(16, length(value))::INT, ' '), ' ' ORDER BY col_id)", "chr(10)", "''"),
     "key_value": ("''", None, "string_agg(col_name || '=' || value, '; ' ORDER BY col_id)", "chr(10)", "''"),
     "pipe": ("''", "string_agg(col_name, '|' ORDER BY col_id)", "string_agg(value, '|' ORDER BY col_id)", "chr(10)", "''"),
 }
@@ -222,7 +223,7 @@ def fac_table_info_combos(t):
 
 
 ANON_SQL = SMALL_SQL + """, h AS (SELECT table_id, col_id, col_name, 'col_' || row_number() OVER (PARTITION BY table_id ORDER BY md5(col_name), col_name) AS new FROM (SELECT DISTINCT table_id, col_id, col_name FROM cells)),
-few AS (SELECT table_id, col_id FROM cells WHERE NOT regexp_matches(value, '^-?[0-9.]+$') GROUP BY 1, 2 HAVING count(DISTINCT value) <= 20),
+few AS (SELECT table_id, col_id FROM cells WHERE NOT regexp_matches(value, '^-?[0-9.]+$') GROUP BY 1, 2),
 v AS (SELECT table_id, col_id, value, 'val_' || row_number() OVER (PARTITION BY table_id, col_id ORDER BY md5(value), value) AS nv FROM (SELECT DISTINCT table_id, col_id, value FROM cells SEMI JOIN few USING (table_id, col_id)))
 SELECT c.table_id, c.row_id, c.col_id, h.new AS col_name, coalesce(v.nv, c.value) AS value FROM cells c JOIN h USING (table_id, col_id) LEFT JOIN v ON v.table_id = c.table_id AND v.col_id = c.col_id AND v.value = c.value"""
 
