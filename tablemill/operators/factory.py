@@ -164,54 +164,58 @@ def error_class(condition: Column) -> Column:
     )
 
 
-def run_sql(spark: SparkSession, samples: list[tuple[str, str]], tables: dict[str, DataFrame], timeout: float = 60.0) -> DataFrame:
+def run_sql(spark: SparkSession, samples: list[tuple[str, str]], tables: dict[str, DataFrame], timeout: float = 60.0, threads: int = 8) -> DataFrame:
     """(sample_id, status, condition, n_rows, rows_hash) of admitted statements, each with a tag that a timer interrupts.
 
-    A bounded list of statements runs from the driver; their data work is
-    distributed. The count and the hash, which is free of order, are taken over
-    the whole result; only these come back.
+    A bounded list of statements runs from the driver, ``threads`` at a time; their
+    data work is distributed. The count and the hash, which is free of order, are
+    taken over the whole result; only these come back.
     """
-    import hashlib
-    import threading
-    import uuid
-
-    from pyspark.errors import PySparkException
+    from concurrent.futures import ThreadPoolExecutor
 
     own = spark.newSession()
     for name, df in tables.items():
         # Views of the new session read the same files.
         own.read.parquet(*df.inputFiles()).createOrReplaceTempView(name)
-    out = []
-    for sample, sql in samples:
-        condition, n, digest = "", 0, ""
-        if not admissible(sql):
-            out.append((sample, "error", "REFUSED", 0, ""))
-            continue
-        tag = f"tm-{uuid.uuid4().hex}"
-        spark.sparkContext.addJobTag(tag)
-        timer = threading.Timer(timeout, spark.sparkContext.cancelJobsWithTag, [tag])
-        timer.start()
-        try:
-            found = own.sql(sql)
-            kinds = [kind for _, kind in found.dtypes]
-            found = found.toDF(*[f"c{i}" for i in range(len(kinds))])
-            shown = [F.coalesce(F.when(F.col(f"c{i}").isNotNull(), F.format_string("%.4f", f"c{i}")) if kind in ("double", "float") else F.col(f"c{i}").cast("string"), F.lit("None")) for i, kind in enumerate(kinds)]
-            sums = [F.sum(F.xxhash64(F.lit(seed), *shown).cast("decimal(38,0)")) for seed in (0, 1)]
-            n, *sums = found.agg(F.count("*"), *sums).first()
-            condition = "" if n else "EMPTY"
-            digest = hashlib.md5(f"{n}|{sums}".encode()).hexdigest()
-        except PySparkException as e:
-            condition = e.getCondition() or "OTHER"
-        except Exception:
-            condition = "CANCELLED"
-        finally:
-            timer.cancel()
-            spark.sparkContext.removeJobTag(tag)
-        out.append((sample, "error" if condition else "ok", condition, n, digest))
+    with ThreadPoolExecutor(threads) as pool:
+        out = list(pool.map(lambda s: (s[0], *_run_one(own, s[1], timeout)), samples))
     made = spark.createDataFrame(out, "sample_id string, status string, condition string, n_rows long, rows_hash string")
     return made.withColumn("error_class", error_class(F.col("condition")))
 
 
+def _run_one(own: SparkSession, sql: str, timeout: float) -> tuple[str, str, int, str]:
+    import hashlib
+    import threading
+    import uuid
+
+    from pyspark.errors import PySparkException
+
+    condition, n, digest = "", 0, ""
+    if not admissible(sql):
+        return "error", "REFUSED", 0, ""
+    context, tag = own.sparkContext, f"tm-{uuid.uuid4().hex}"
+    context.addJobTag(tag)
+    timer = threading.Timer(timeout, context.cancelJobsWithTag, [tag])
+    timer.start()
+    try:
+        found = own.sql(sql)
+        kinds = [kind for _, kind in found.dtypes]
+        found = found.toDF(*[f"c{i}" for i in range(len(kinds))])
+        shown = [F.coalesce(F.when(F.col(f"c{i}").isNotNull(), F.format_string("%.4f", f"c{i}")) if kind in ("double", "float") else F.col(f"c{i}").cast("string"), F.lit("None")) for i, kind in enumerate(kinds)]
+        sums = [F.sum(F.xxhash64(F.lit(seed), *shown).cast("decimal(38,0)")) for seed in (0, 1)]
+        n, *sums = found.agg(F.count("*"), *sums).first()
+        condition = "" if n else "EMPTY"
+        digest = hashlib.md5(f"{n}|{sums}".encode()).hexdigest()
+    except PySparkException as e:
+        condition = e.getCondition() or "OTHER"
+    except Exception:
+        condition = "CANCELLED"
+    finally:
+        timer.cancel()
+        context.removeJobTag(tag)
+    return "error" if condition else "ok", condition, n, digest
+
+
 _RUNNER = """
 import resource, sys
 resource.setrlimit(resource.RLIMIT_AS, (int(sys.argv[1]) << 20, int(sys.argv[1]) << 20))
@@ -226,28 +230,54 @@ def guard(event, args):
         raise PermissionError(event)
 
 sys.addaudithook(guard)
-exec(compile(code, "sample", "exec"), {"__name__": "sample"})
+try:
+    exec(compile(code, "sample", "exec"), {"__name__": "sample"})
+except BaseException as e:
+    sys.stdout.flush()
+    print("\\0" + type(e).__name__, end="", flush=True)
 """
 
+_KINDS = {"KeyError": "field_mismatch", "NameError": "field_mismatch", "TypeError": "type_error", "ValueError": "type_error", "SyntaxError": "syntax", "IndentationError": "syntax"}
 
-def run_python(samples: DataFrame, seconds: int = 5, memory_mb: int = 512) -> DataFrame:
-    """(sample_id, status, error_class, output): each program in a child process with limits on time, memory and files."""
 
-    def run(frames):
+def run_python(samples: DataFrame, seconds: int = 5, memory_mb: int = 512, output_mb: int = 64) -> DataFrame:
+    """(sample_id, status, error_class, output): each program in a child process with limits on time, memory, files and output.
+
+    The output is whole; a program that writes more than ``output_mb`` is ended with
+    the class ``output``, as one that takes too long is with ``timeout``.
+    """
+
+    def one(code: str) -> tuple[str, str]:
         import subprocess
         import sys
+        import threading
+
+        child = subprocess.Popen([sys.executable, "-I", "-c", _RUNNER, str(memory_mb), str(seconds)], stdin=subprocess.PIPE, stdout=subprocess.PIPE, stderr=subprocess.DEVNULL, env={"PATH": ""}, cwd="/")
+        late = threading.Timer(seconds + 2, child.kill)
+        late.start()
+        try:
+            child.stdin.write(code.encode())
+            child.stdin.close()
+            data = child.stdout.read((output_mb << 20) + 1)
+            if len(data) > output_mb << 20:
+                child.kill()
+                return "output", ""
+            ended = child.wait()
+        except BrokenPipeError:
+            ended, data = child.wait(), b""
+        finally:
+            late.cancel()
+            child.stdout.close()
+        if ended in (-9, -24):
+            return "timeout", ""
+        text, mark, error = data.decode("utf-8", "replace").partition("\0")
+        return (_KINDS.get(error, "other") if mark else "ok" if ended == 0 else "other"), text
 
+    def run(frames):
         for pdf in frames:
-            rows = []
             for sample, code in zip(pdf.sample_id, pdf.code):
-                try:
-                    done = subprocess.run([sys.executable, "-I", "-c", _RUNNER, str(memory_mb), str(seconds)], input=code or "", capture_output=True, text=True, timeout=seconds + 2, env={"PATH": ""}, cwd="/")
-                    error = (done.stderr.strip().splitlines() or [""])[-1].split(":")[0]
-                    kind = "ok" if done.returncode == 0 else "timeout" if done.returncode in (-9, -24) else {"KeyError": "field_mismatch", "NameError": "field_mismatch", "TypeError": "type_error", "ValueError": "type_error", "SyntaxError": "syntax", "IndentationError": "syntax"}.get(error, "other")
-                    rows.append((sample, "ok" if kind == "ok" else "error", kind, done.stdout[:1000]))
-                except subprocess.TimeoutExpired:
-                    rows.append((sample, "error", "timeout", ""))
-            yield pd.DataFrame(rows, columns=["sample_id", "status", "error_class", "output"])
+                kind, text = one(code or "")
+                yield pd.DataFrame([(sample, "ok" if kind == "ok" else "error", kind, text)], columns=["sample_id", "status", "error_class", "output"])
 
     return samples.select("sample_id", "code").mapInPandas(run, "sample_id string, status string, error_class string, output string")
 
@@ -295,13 +325,42 @@ def calibrate(rows: DataFrame, n: int = 200, gate: float = 0.95, seed: str = "ca
     return g.select("batch", "n", "right", F.round(p, 6).alias("rate"), F.round(centre - half, 6).alias("low"), F.round(centre + half, 6).alias("high"), (p >= gate).alias("passed"))
 
 
-def staged(d: DataFrame) -> list[tuple[str, DataFrame]]:
-    """The stages of cleaning in order; each takes what the one before left."""
+def staged(d: DataFrame, tables: dict[str, DataFrame], least: float = 0.75, gate: float = 0.95) -> list[tuple[str, DataFrame]]:
+    """The stages of cleaning in order; each takes what the one before left.
+
+    Rules on the code; scores of question and code alone; a run of draft and
+    reference, which must both end well with equal results; scores of the full
+    record; a gate for each question class, whose drawn part must be right often
+    enough; and a validation part, drawn by hash, that never enters training.
+    """
+    spark = d.sparkSession
     rules = d.where(~redefines_table(F.col("draft")) & ~comment_only(F.col("draft")) & (language_of(F.col("draft")) == "sql"))
-    runs = rules.where("fault in ('none', 'column') and not (fault = 'column')")
-    scored = runs.join(keep(score(runs)), "sample_id", "left_semi")
-    valid = scored.where(det.unit("split", F.col("sample_id")) < 0.9)
-    return [("generated", d), ("rules", rules), ("executed", runs), ("scored", scored), ("training", valid)]
+    first = rules.join(keep(score(rules).where("scorer <> 'clarity'"), least / 1.5), "sample_id", "left_semi")
+    asked = first.where(F.col("table_id").isin(*tables)).select("sample_id", "draft", "gold_sql").orderBy("sample_id").collect()
+    statements = sorted({s for r in asked for s in (r.draft, r.gold_sql)})
+    ran = {r.sample_id: (r.status, r.rows_hash) for r in run_sql(spark, [(s, s) for s in statements], tables).collect()}
+    right = [(r.sample_id,) for r in asked if ran[r.draft][0] == "ok" and ran[r.draft] == ran[r.gold_sql]]
+    runs = first.join(spark.createDataFrame(right, "sample_id string"), "sample_id", "left_semi")
+    scored = runs.join(keep(score(runs), least), "sample_id", "left_semi")
+    passed = calibrate(scored.select(F.col("class").alias("batch"), "sample_id", (classify(F.col("query")) == F.col("class")).alias("right")), gate=gate).where("passed").select(F.col("batch").alias("class"))
+    gated = scored.join(passed, "class", "left_semi")
+    return [("generated", d), ("rules", rules), ("scored", first), ("executed", runs), ("scored_again", scored), ("gated", gated), ("training", gated.where(det.unit("split", F.col("sample_id")) < 0.9))]
+
+
+def question_sets(qs: DataFrame, sets: int = 3) -> DataFrame:
+    """(set_id, sample_id, prompt): several question sets for each table; a question comes in each set in a wording drawn for it."""
+    each = qs.select("*", F.explode(F.sequence(F.lit(0), F.lit(sets - 1))).alias("set_id"))
+    chosen = F.get(F.array(*map(F.lit, PROMPTS)), det.pick(len(PROMPTS), "set", F.col("set_id"), F.col("sample_id")))
+    return each.select("set_id", "table_id", "sample_id", F.replace(F.replace(chosen, F.lit("{t}"), F.col("table_id")), F.lit("{q}"), F.col("query")).alias("prompt"))
+
+
+GENERATORS = {"small": "Ask briefly: {k} on {t}.", "large": "Think of an analyst of {t} and write one {k} question with its answer."}
+
+
+def registry(spark: SparkSession) -> DataFrame:
+    """(generator, class, prompt): each generator's own prompt for each class of question."""
+    classes = sorted({c for c, *_ in TEMPLATES})
+    return spark.createDataFrame([(g, c, p.replace("{k}", c)) for g, p in GENERATORS.items() for c in classes], "generator string, class string, prompt string")
 
 
 # --- augmentation ------------------------------------------------------------

@@ -182,10 +182,35 @@ def fac_review(t):
     return X.drafts(X.questions(t.spark)).where("fault <> 'none'").rollup("class", "fault").agg(F.count("*").alias("n"))
 
 
-@query("fac_funnel", D_SQL + SCORE_SQL + rf""", ru AS (SELECT * FROM d WHERE NOT ({COMMENT_SQL}) AND {LANG_SQL} = 'sql'), ex AS (SELECT * FROM ru WHERE fault = 'none'), so AS (SELECT ex.* FROM ex JOIN sc USING (sample_id) WHERE least(coverage, detail, clarity) >= 0.75)
-SELECT 0 AS step, 'generated' AS stage, count(*)::BIGINT AS kept FROM d UNION ALL SELECT 1, 'rules', count(*) FROM ru UNION ALL SELECT 2, 'executed', count(*) FROM ex UNION ALL SELECT 3, 'scored', count(*) FROM so UNION ALL SELECT 4, 'training', count(*) FROM so WHERE {det.sql_unit("'split'", 'sample_id')} < 0.9""")
+PRED_SQL = "CASE " + " ".join(f"WHEN regexp_matches(lower(query), '{p}') THEN '{n}'" for n, p in X.CLASS_RULES) + " END"
+FUNNEL_SQL = D_SQL + SCORE_SQL + rf""", ru AS (SELECT * FROM d WHERE NOT ({COMMENT_SQL}) AND {LANG_SQL} = 'sql'), s1 AS (SELECT ru.* FROM ru JOIN sc USING (sample_id) WHERE least(coverage, detail) >= 0.5),
+ ex AS (SELECT * FROM s1 WHERE fault = 'none' AND class IN ('retrieval', 'computation', 'statistics', 'visualisation')), s2 AS (SELECT ex.* FROM ex JOIN sc USING (sample_id) WHERE least(coverage, detail, clarity) >= 0.75),
+ ok AS (SELECT class FROM s2 GROUP BY 1 HAVING avg(({PRED_SQL} = class)::INT) >= 0.95), ga AS (SELECT * FROM s2 SEMI JOIN ok USING (class))
+SELECT 0 AS step, 'generated' AS stage, count(*)::BIGINT AS kept FROM d UNION ALL SELECT 1, 'rules', count(*) FROM ru UNION ALL SELECT 2, 'scored', count(*) FROM s1 UNION ALL SELECT 3, 'executed', count(*) FROM ex
+UNION ALL SELECT 4, 'scored_again', count(*) FROM s2 UNION ALL SELECT 5, 'gated', count(*) FROM ga UNION ALL SELECT 6, 'training', count(*) FROM ga WHERE {det.sql_unit("'split'", 'sample_id')} < 0.9"""
+
+
+def star_tables(t):
+    return {n: getattr(t, n) for n in X.SEMANTIC}
+
+
+@query("fac_funnel", FUNNEL_SQL)
 def fac_funnel(t):
-    return M.funnel(X.staged(X.drafts(X.questions(t.spark))))
+    """Drafts and references are run; the oracle foresees from the planted faults which must end equal."""
+    return M.funnel(X.staged(X.drafts(X.questions(t.spark)), star_tables(t)))
+
+
+@query("fac_question_sets", Q_SQL + ", s AS (SELECT *, unnest([0, 1, 2]) AS set_id FROM q) SELECT set_id, table_id, sample_id, replace(replace(([" + ", ".join("replace(" + _quote(p.replace("\n", "@@")) + ", '@@', chr(10))" for p in X.PROMPTS) + f"])[{det.sql_pick(len(X.PROMPTS), chr(39) + 'set' + chr(39), 'set_id', 'sample_id')} + 1], '{{t}}', table_id), '{{q}}', query) AS prompt FROM s")
+def fac_question_sets(t):
+    """Three question sets for each table."""
+    return X.question_sets(X.questions(t.spark))
+
+
+@query("fac_registry", Q_SQL + ", g(generator, template) AS (VALUES " + ", ".join(f"({_quote(g)}, {_quote(p)})" for g, p in X.GENERATORS.items()) + ") SELECT generator, sample_id, replace(replace(template, '{k}', class), '{t}', table_id) AS prompt FROM q, g")
+def fac_registry(t):
+    """Each generator's prompt for its class of question, for every sample."""
+    qs = X.questions(t.spark).join(F.broadcast(X.registry(t.spark)), "class")
+    return qs.select("generator", "sample_id", F.replace("prompt", F.lit("{t}"), F.col("table_id")).alias("prompt"))
 
 
 _KINDS = list(X.SFT_SHARES)
