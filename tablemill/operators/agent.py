@@ -96,10 +96,14 @@ def knowledge(queries: DataFrame, docs: DataFrame, n: int = 3, k: int = 3) -> Da
     return hits.withColumn("rank", F.row_number().over(w)).where(F.col("rank") <= k)
 
 
-def within_budget(items: DataFrame, budget: int) -> DataFrame:
-    """The ranked items of each query whose words, added up in order, stay within the budget."""
-    w = Window.partitionBy("query_id").orderBy("rank").rowsBetween(Window.unboundedPreceding, 0)
-    return items.withColumn("used", F.sum(F.size(tokens(F.col("text")))).over(w)).where(F.col("used") <= budget)
+def within_budget(items: DataFrame, budget: int, order: str = "rank") -> DataFrame:
+    """(query_id, item_id, used) of the ranked items of each query whose words, added up in order, stay within the budget.
+
+    Only lengths are ordered and summed; the texts of what stays are joined by the caller.
+    """
+    sized = items.select("query_id", "item_id", F.col(order).alias("_order"), F.size(tokens(F.col("text"))).alias("_n"))
+    w = Window.partitionBy("query_id").orderBy("_order").rowsBetween(Window.unboundedPreceding, 0)
+    return sized.withColumn("used", F.sum("_n").over(w)).where(F.col("used") <= budget).select("query_id", "item_id", "used")
 
 
 INSTRUCTIONS = {
@@ -115,6 +119,111 @@ def refuse(query: Column) -> Column:
     return F.lower(query).rlike(OFF_TOPIC)
 
 
+# --- tools -------------------------------------------------------------------
+
+
+def tools(spark: SparkSession, tables: dict[str, DataFrame]) -> dict[str, Callable[[dict], dict]]:
+    """The tools by name; each takes the arguments of a call and returns what it found."""
+
+    def run(arguments):
+        r = run_sql(spark, [("call", arguments["sql"])], tables).first()
+        return {"status": r.status, "rows": r.n_rows}
+
+    def described(arguments):
+        if arguments.get("table") not in SEMANTIC:
+            return {"status": "error", "rows": 0}
+        return {"status": "ok", "rows": len(SEMANTIC[arguments["table"]])}
+
+    def plotted(arguments):
+        known = arguments.get("kind") in ("bar", "line", "scatter") and {arguments.get("x"), arguments.get("y")} <= set(SEMANTIC.get(arguments.get("table"), {}))
+        return {"status": "ok" if known else "error", "rows": 0}
+
+    return {"query": run, "describe": described, "plot": plotted}
+
+
+def dispatch(spark: SparkSession, calls: list[tuple[str, str]], tables: dict[str, DataFrame]) -> DataFrame:
+    """(call_id, tool, status, rows) of calls given as JSON; one that cannot be read or names no tool is an error, not a failure."""
+    import json
+
+    known, out = tools(spark, tables), []
+    for call_id, text in calls:
+        try:
+            call = json.loads(text)
+            tool = str(call["tool"])
+            found = known[tool](call["arguments"]) if tool in known else {"status": "unknown_tool", "rows": 0}
+        except (ValueError, KeyError, TypeError):
+            tool, found = "", {"status": "unreadable", "rows": 0}
+        out.append((call_id, tool, found["status"], found["rows"]))
+    return spark.createDataFrame(out, "call_id string, tool string, status string, rows long")
+
+
+# --- statements over joined tables, with outside knowledge -------------------
+
+# Each foreign key: child table, its column, parent table, the parent's key.
+KEYS = [
+    ("lineitem", "l_orderkey", "orders", "o_orderkey"), ("lineitem", "l_partkey", "part", "p_partkey"), ("lineitem", "l_suppkey", "supplier", "s_suppkey"),
+    ("orders", "o_custkey", "customer", "c_custkey"), ("customer", "c_nationkey", "nation", "n_nationkey"), ("supplier", "s_nationkey", "nation", "n_nationkey"),
+    ("events", "user_id", "customer", "c_custkey"),
+]
+# Business terms: what they measure, or which rows they mean, and the table they speak of.
+TERMS = {
+    "revenue": ("measure", "l_extendedprice * (1 - l_discount)", "lineitem"),
+    "charge": ("measure", "l_extendedprice * (1 - l_discount) * (1 + l_tax)", "lineitem"),
+    "returned": ("filter", "l_returnflag = 'R'", "lineitem"),
+    "urgent": ("filter", "o_orderpriority = '1-URGENT'", "orders"),
+    "indebted": ("filter", "c_acctbal < 0", "customer"),
+}
+
+
+def join_path(tables: list[str]) -> list[tuple[str, str]]:
+    """(table, condition) steps that join all ``tables`` along their keys, from the first on; tables between them come along."""
+    steps, have = [(tables[0], "")], [tables[0]]
+    for goal in tables[1:]:
+        if goal in have:
+            continue
+        paths = [[(t, "")] for t in have]
+        while paths and paths[0][-1][0] != goal:
+            path = paths.pop(0)
+            for child, key, parent, unique in KEYS:
+                for here, there in ((child, parent), (parent, child)):
+                    if path[-1][0] == here and there not in [p for p, _ in path]:
+                        paths.append([*path, (there, f"{key} = {unique}")])
+        for t, on in paths[0][1:] if paths else []:
+            if t not in have:
+                have.append(t)
+                steps.append((t, on))
+    return steps
+
+
+def compose(query: str, tables: list[str], terms: dict[str, tuple[str, str, str]]) -> str:
+    """A statement for a question over several tables: aggregate, measure, filters and grouping from its words.
+
+    Column names are met by their words without the prefix; business terms only if
+    ``terms`` explains them. Without a measure, rows are counted.
+    """
+    q = words_of(query)
+    text = " ".join(q)
+    columns = {" ".join(words_of(c.split("_", 1)[1] if "_" in c else c)): (t, c) for t in reversed(tables) for c in SEMANTIC[t]}
+    found = lambda part: max((k for k in columns if re.search(rf"\b{re.escape(k)}\b", part)), key=len, default=None)
+    head, _, tail = text.partition(" per ")
+    group = found(tail) if tail else None
+    agg = next((a for p, a in _AGGREGATES if re.search(rf"\b({p})\b", head)), "count")
+    term = next((w for w in q if terms.get(w, ("",))[0] == "measure"), None)
+    plain = found(head)
+    measure, home = (terms[term][1], terms[term][2]) if term else (columns[plain][1], columns[plain][0]) if plain else ("*", tables[0])
+    filters = [terms[w] for w in q if terms.get(w, ("",))[0] == "filter"]
+    used = [home, *[t for _, _, t in filters], *([columns[group][0]] if group else [])]
+    path = join_path(list(dict.fromkeys(used)))
+    body = " ".join(t if not on else f"JOIN {t} ON {on}" for t, on in path)
+    what = "count(*)" if agg == "count" or measure == "*" else f"round({agg}({measure}), 2)"
+    where = " WHERE " + " AND ".join(f for _, f, _ in filters) if filters else ""
+    return f"SELECT {columns[group][1] + ', ' if group else ''}{what} AS answer FROM {body}{where}" + (f" GROUP BY {columns[group][1]}" if group else "")
+
+
+def words_of(text: str) -> list[str]:
+    return re.findall(r"[a-z0-9]+", text.lower())
+
+
 # --- generate, run, repair ---------------------------------------------------
 
 _AGGREGATES = [("average|mean", "avg"), ("total|sum", "sum"), ("how many|number of|count", "count"), ("largest|highest|maximum", "max"), ("smallest|lowest|minimum", "min")]

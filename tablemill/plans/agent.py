@@ -76,10 +76,7 @@ def agt_knowledge(t):
 
 @query("agt_context_budget", r"""WITH r AS (SELECT source AS query_id, doc_id AS item_id, text, row_number() OVER (PARTITION BY source ORDER BY doc_id) AS rank FROM documents), u AS (SELECT *, sum(len(regexp_extract_all(text, '\S+'))) OVER (PARTITION BY query_id ORDER BY rank ROWS UNBOUNDED PRECEDING)::BIGINT AS used FROM r) SELECT query_id, item_id, used FROM u WHERE used <= 2000""")
 def agt_context_budget(t):
-    from pyspark.sql import Window
-
-    r = t.documents.select(F.col("source").alias("query_id"), F.col("doc_id").alias("item_id"), "text", F.row_number().over(Window.partitionBy("source").orderBy("doc_id")).alias("rank"))
-    return A.within_budget(r, 2000).select("query_id", "item_id", "used")
+    return A.within_budget(t.documents.select(F.col("source").alias("query_id"), F.col("doc_id").alias("item_id"), "text"), 2000, "item_id")
 
 
 @query("agt_refuse", f"SELECT conv_id, turn, regexp_matches(lower(text), '{A.OFF_TOPIC}') AS refused FROM conversations WHERE role = 'user'")
@@ -140,3 +137,17 @@ def agt_dag(t):
     daily = lambda: t.events.groupBy("event_type", F.date_format("ts", "yyyy-MM-dd").alias("day")).agg(F.avg("value").alias("v"))
     steps = {"read": daily, "mean": lambda d: d.groupBy("event_type").agg(F.avg("v").alias("m")), "note": lambda d, m: d.join(F.broadcast(m), "event_type").select("event_type", "day", F.round("v", 8).alias("value"), F.when(F.col("v") > F.col("m"), "above").otherwise("below").alias("note"))}
     return A.Dag(steps, [("read", "mean"), ("read", "note"), ("mean", "note")]).run()["note"]
+
+
+TOOL_CALLS = [
+    ("count", '{"tool": "query", "arguments": {"sql": "SELECT r_name FROM region"}}'), ("write", '{"tool": "query", "arguments": {"sql": "DROP TABLE region"}}'),
+    ("columns", '{"tool": "describe", "arguments": {"table": "part"}}'), ("nothing", '{"tool": "describe", "arguments": {"table": "nope"}}'),
+    ("bars", '{"tool": "plot", "arguments": {"table": "part", "kind": "bar", "x": "p_brand", "y": "p_retailprice"}}'), ("cake", '{"tool": "plot", "arguments": {"table": "part", "kind": "cake", "x": "p_brand", "y": "p_size"}}'),
+    ("mail", '{"tool": "mail", "arguments": {}}'), ("broken", '{"tool": '),
+]
+
+
+@query("agt_tools", "SELECT 'count' AS call_id, 'query' AS tool, 'ok' AS status, count(*)::BIGINT AS rows FROM region UNION ALL SELECT * FROM (VALUES ('write', 'query', 'error', 0), ('columns', 'describe', 'ok', 6), ('nothing', 'describe', 'error', 0), ('bars', 'plot', 'ok', 0), ('cake', 'plot', 'error', 0), ('mail', 'mail', 'unknown_tool', 0), ('broken', '', 'unreadable', 0))")
+def agt_tools(t):
+    """Calls of tools as a model would write them, right and wrong."""
+    return A.dispatch(t.spark, TOOL_CALLS, {"region": t.region})
