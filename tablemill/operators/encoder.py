@@ -288,13 +288,14 @@ def nearest(queries: DataFrame, items: DataFrame, k: int, block: int = 50_000) -
 
 
 def hybrid_prompt(cells: DataFrame, prof: DataFrame, n_values: int = 3, slot: str = "<vec>") -> DataFrame:
-    """(table_id, prompt): per column its qualified name, vector slot, type, key flag and a few sample values."""
+    """(table_id, prompt): the table's name, then each column as qualified name, slot, type and key flag, with a few sample values in brackets."""
     values = cells.where(~missing(F.col("value"))).select("table_id", "col_id", "value").distinct()
     ranked = values.withColumn("r", F.row_number().over(Window.partitionBy("table_id", "col_id").orderBy(F.md5("value"), "value"))).where(F.col("r") <= n_values)
     shown = ranked.groupBy("table_id", "col_id").agg(F.array_join(F.transform(F.array_sort(F.collect_list(F.struct("r", "value"))), lambda x: x["value"]), ", ").alias("vals"))
-    col = F.concat("table_id", F.lit("."), "col_name", F.lit(f" {slot} "), "dtype", F.when(F.col("is_key"), F.lit(" key")).otherwise(""), F.lit(": "), F.coalesce("vals", F.lit("")))
+    flag = F.when(F.col("is_key"), F.lit("key")).otherwise("")
+    col = F.concat("table_id", F.lit("."), "col_name", F.lit("("), F.concat_ws("|", F.lit(slot), F.col("dtype"), flag), F.lit(")|["), F.coalesce("vals", F.lit("")), F.lit("]"))
     lines = prof.join(shown, ["table_id", "col_id"], "left").select("table_id", F.struct("col_id", col.alias("t")).alias("c"))
-    return lines.groupBy("table_id").agg(F.array_join(F.transform(F.array_sort(F.collect_list("c")), lambda c: c["t"]), "\n").alias("prompt"))
+    return lines.groupBy("table_id").agg(F.concat(F.lit("table "), F.first("table_id"), F.lit(", columns=["), F.array_join(F.transform(F.array_sort(F.collect_list("c")), lambda c: c["t"]), ", "), F.lit("]")).alias("prompt"))
 
 
 def splice(prompts: DataFrame, vecs: DataFrame, slot: str = "<vec>") -> DataFrame:
@@ -308,6 +309,16 @@ def splice(prompts: DataFrame, vecs: DataFrame, slot: str = "<vec>") -> DataFram
     return prompts.join(by, "table_id").select("table_id", F.concat(ends("<tab>"), body, ends("</tab>")).alias("parts"))
 
 
+# Scenarios of joint training: what is trained, and which path samples with tables take.
+TRAIN_PLANS = {"encoder_only": (True, False, "table"), "decoder_only": (False, True, "text"), "joint": (True, True, "table")}
+
+
+def train_plans(spark) -> DataFrame:
+    """(plan, part, trained, route): which part each scenario trains and which it freezes; metadata only."""
+    rows = [(p, part, on, path) for p, (enc, dec, path) in TRAIN_PLANS.items() for part, on in (("encoder", enc), ("adapter", enc), ("decoder", dec))]
+    return spark.createDataFrame(rows, "plan string, part string, trained boolean, route string")
+
+
 TASKS = ["column_prediction", "cell_prediction", "question_generation", "titling", "row_summary"]
 
 INSTRUCTIONS = {

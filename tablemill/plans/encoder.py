@@ -68,21 +68,64 @@ def enc_adapter(t):
     return out.select("table_id", "col_id", F.size("vecs").alias("k"), F.round(F.col("vecs")[0][0], 4).alias("x00"), F.round(F.col("vecs")[3][63], 4).alias("x363"))
 
 
-LOSS_SQL = """
-WITH p AS (SELECT label AS col_id, (row_number() OVER (PARTITION BY label ORDER BY vec_id) - 1)::INT AS snap, list_transform(embedding, lambda x: x::DOUBLE) AS vec FROM embeddings QUALIFY row_number() OVER (PARTITION BY label ORDER BY vec_id) <= 2),
-s AS (SELECT a.col_id, a.snap, list_sum(list_transform(list_zip(a.vec, b.vec), lambda z: z[1] * z[2])) / 0.07 AS s, a.col_id = b.col_id AS pos FROM p a JOIN p b ON NOT (a.col_id = b.col_id AND a.snap = b.snap)),
+LOSS_SQL = f"""
+WITH h AS (SELECT label AS col_id, ({det.sql_unit("'snap'", "vec_id")} < 0.5)::INT AS snap, embedding FROM embeddings),
+u AS (SELECT col_id, snap, unnest(range(64)) AS d, unnest(list_transform(embedding, lambda x: x::DOUBLE)) AS x FROM h),
+p AS (SELECT col_id, snap, d, avg(x) AS x FROM u GROUP BY 1, 2, 3),
+s AS (SELECT a.col_id, a.snap, b.col_id AS other, b.snap AS osnap, sum(a.x * b.x) / 0.07 AS s, a.col_id = b.col_id AS pos FROM p a JOIN p b ON a.d = b.d AND NOT (a.col_id = b.col_id AND a.snap = b.snap) GROUP BY 1, 2, 3, 4),
 m AS (SELECT col_id, snap, max(s) AS top FROM s GROUP BY 1, 2)
 SELECT col_id, snap, round(any_value(top) + ln(sum(exp(s - top))) - max(s) FILTER (WHERE pos), 4) AS loss FROM s JOIN m USING (col_id, snap) GROUP BY 1, 2"""
 
 
 @query("enc_contrastive_loss", LOSS_SQL)
 def enc_contrastive_loss(t):
-    """Ten labels stand for ten columns, two vectors of each for its snapshots."""
-    w = Window.partitionBy("label").orderBy("vec_id")
-    p = t.embeddings.withColumn("r", F.row_number().over(w)).where("r <= 2").select(F.lit("t").alias("table_id"), F.col("label").alias("col_id"), (F.col("r") - 1).alias("snap"), F.transform("embedding", lambda x: x.cast("double")).alias("vec"), F.lit(0).alias("batch"))
+    """Ten labels stand for ten columns; each one's vectors are dealt to two snapshots by hash and pooled."""
+    cells = t.embeddings.select(F.when(det.unit("snap", F.col("vec_id")) < 0.5, "1").otherwise("0").alias("table_id"), F.col("label").alias("col_id"), F.transform("embedding", lambda x: x.cast("double")).alias("vec"))
+    p = E.pool(cells).select(F.lit("t").alias("table_id"), "col_id", F.col("table_id").cast("int").alias("snap"), "vec", F.lit(0).alias("batch"))
     return E.contrast_loss(p).select("col_id", "snap", F.round("loss", 4).alias("loss"))
 
 
+@query("enc_pool_max", POOL_SQL.replace("sum(x) / any_value(n.n)", "CASE WHEN count(*) < any_value(n.n) THEN greatest(max(x), 0) ELSE max(x) END").replace("HAVING abs(sum(x)) > 1e-9", "HAVING abs(CASE WHEN count(*) < any_value(n.n) THEN greatest(max(x), 0) ELSE max(x) END) > 1e-9"))
+def enc_pool_max(t):
+    p = E.pool(E.embed(small_cells(t)), "max")
+    return p.select("table_id", "col_id", F.posexplode("vec").alias("dim", "x")).where("abs(x) > 1e-9").select("table_id", "col_id", "dim", F.round("x", 6).alias("x"))
+
+
+def encoded_columns(t, rows=16, axes="both"):
+    """(table_id, snap, col_id, vec): snapshots through attention and adapter; the mean of a column's k vectors."""
+    out = E.encode(E.embed(snapshot_cells(t, rows)), axes=axes).withColumn("table_id", F.concat_ws("#", "table_id", F.col("snap").cast("string")))
+    cols = E.adapter_columns(out)
+    mean = F.transform(F.sequence(F.lit(0), F.lit(E.D - 1)), lambda i: F.aggregate(F.col("vecs"), F.lit(0.0), lambda a, v: a + F.get(v, i)) / F.size("vecs"))
+    return cols.select(F.split("table_id", "#")[0].alias("table_id"), F.split("table_id", "#")[1].cast("int").alias("snap"), "col_id", mean.alias("vec"))
+
+
+@query("enc_table_method")
+def enc_table_method(t):
+    """Cells, attention over both axes, adapter, contrastive loss, head: mean loss of customer columns before and after fitting, beside mean pooling."""
+    from tablemill.functions.lineage import cut
+
+    pooled = E.pool(E.embed(snapshot_cells(t, 16)).withColumn("table_id", F.concat_ws("#", "table_id", F.col("snap").cast("string"))))
+    pooled = pooled.select(F.split("table_id", "#")[0].alias("table_id"), F.split("table_id", "#")[1].cast("int").alias("snap"), "col_id", "vec")
+    out = []
+    for way, vecs in (("adapter", encoded_columns(t)), ("mean", pooled)):
+        _, history = E.fit_head(cut(E.batches(vecs, 256)), steps=8)
+        out += [(way, "before", round(history[0], 4)), (way, "after", round(history[-1], 4))]
+    return t.spark.createDataFrame(out, "way string, stage string, loss double")
+
+
+@query("enc_splice", SMALL_SQL + "SELECT table_id, 2 * count(DISTINCT col_id)::BIGINT + 3 AS parts, count(DISTINCT col_id)::BIGINT AS vectors FROM cells GROUP BY 1")
+def enc_splice(t):
+    """Prompts of whole tables with their column vectors in the slots: parts and vectors of each."""
+    cells = small_cells(t)
+    vecs = E.adapter_columns(E.embed(cells))
+    return E.splice(E.hybrid_prompt(cells, T.profile(cells)), vecs).select("table_id", F.size("parts").cast("long").alias("parts"), F.size(F.filter("parts", lambda p: p["kind"] == "vec")).cast("long").alias("vectors"))
+
+
+@query("enc_train_plans", "SELECT * FROM (VALUES ('encoder_only', 'encoder', TRUE, 'table'), ('encoder_only', 'adapter', TRUE, 'table'), ('encoder_only', 'decoder', FALSE, 'table'), ('decoder_only', 'encoder', FALSE, 'text'), ('decoder_only', 'adapter', FALSE, 'text'), ('decoder_only', 'decoder', TRUE, 'text'), ('joint', 'encoder', TRUE, 'table'), ('joint', 'adapter', TRUE, 'table'), ('joint', 'decoder', TRUE, 'table')) v(plan, part, trained, route)")
+def enc_train_plans(t):
+    return E.train_plans(t.spark)
+
+
 @query("enc_head_fit")
 def enc_head_fit(t):
     """The contrastive loss at every second step of fitting a linear head on pooled customer columns."""
@@ -97,7 +140,7 @@ PROFILE_SQL = """prof AS (SELECT table_id, col_id, col_name, CASE WHEN regexp_ma
 
 @query("enc_hybrid_prompt", SMALL_SQL + f""", {PROFILE_SQL}, r AS (SELECT *, row_number() OVER (PARTITION BY table_id, col_id ORDER BY md5(value), value) AS r FROM (SELECT DISTINCT table_id, col_id, value FROM cells)),
 v AS (SELECT table_id, col_id, string_agg(value, ', ' ORDER BY r) AS vals FROM r WHERE r <= 3 GROUP BY 1, 2)
-SELECT table_id, string_agg(table_id || '.' || col_name || ' <vec> ' || dtype || CASE WHEN is_key THEN ' key' ELSE '' END || ': ' || vals, chr(10) ORDER BY col_id) AS prompt FROM prof JOIN v USING (table_id, col_id) GROUP BY 1""")
+SELECT table_id, 'table ' || table_id || ', columns=[' || string_agg(table_id || '.' || col_name || '(<vec>|' || dtype || '|' || CASE WHEN is_key THEN 'key' ELSE '' END || ')|[' || vals || ']', ', ' ORDER BY col_id) || ']' AS prompt FROM prof JOIN v USING (table_id, col_id) GROUP BY 1""")
 def enc_hybrid_prompt(t):
     cells = small_cells(t)
     return E.hybrid_prompt(cells, T.profile(cells))
