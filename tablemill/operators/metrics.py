@@ -5,6 +5,8 @@ from __future__ import annotations
 import re
 from pathlib import Path
 
+import numpy as np
+import pandas as pd
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
@@ -103,14 +105,25 @@ def sentence_bleu(pairs: DataFrame, n: int = 4) -> DataFrame:
 
 
 def lcs(a: Column, b: Column) -> Column:
-    """Length of the longest common subsequence of two word arrays: one row of the table at a time."""
-    zero = F.array_repeat(F.lit(0), F.size(b) + 1)
-
-    def row(prev, x):
-        step = lambda acc, y: let(F.size(acc), lambda i: F.concat(acc, F.array(F.when(F.get(b, i - 1) == x, F.get(prev, i - 1) + 1).otherwise(F.greatest(F.get(prev, i), F.get(acc, i - 1))))))
-        return F.aggregate(b, F.array(F.lit(0)), step)
-
-    return F.element_at(F.aggregate(a, zero, row), -1)
+    """Length of the longest common subsequence of two word arrays, in Arrow batches; memory is one row of the shorter text."""
+
+    @F.pandas_udf("int")
+    def length(left: pd.Series, right: pd.Series) -> pd.Series:
+        def one(x, y):
+            if x is None or y is None or not len(x) or not len(y):
+                return 0
+            long, short = (x, y) if len(x) >= len(y) else (y, x)
+            number = {w: i for i, w in enumerate(dict.fromkeys(short))}
+            codes = np.array([number[w] for w in short])
+            row = np.zeros(len(short) + 1, np.int32)
+            for w in long:
+                if (n := number.get(w)) is not None:
+                    row[1:] = np.maximum.accumulate(np.maximum(row[1:], np.where(codes == n, row[:-1] + 1, 0)))
+            return int(row[-1])
+
+        return pd.Series([one(x, y) for x, y in zip(left, right)])
+
+    return length(a, b)
 
 
 def rouge_l(pairs: DataFrame, beta: float = 1.0) -> DataFrame:

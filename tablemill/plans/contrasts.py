@@ -8,12 +8,14 @@ from tablemill.functions.lineage import cut
 from tablemill.operators import corpus as C
 from tablemill.operators import encoder as E
 from tablemill.operators import factory as X
+from tablemill.operators import metrics as M
 from tablemill.operators import tables as T
 from tablemill.plans import encoder as encoder_plans
-from tablemill.plans import tables as table_plans
+from tablemill.plans import workloads
 from tablemill.plans.corpus import LM_SQL, MASKS
+from tablemill.plans.encoder import SNAP_SQL
+from tablemill.plans.factory import CHAIN_SQL
 from tablemill.plans.registry import query
-from tablemill.plans.tables import SMALL_SQL
 
 
 @query("x01_text_or_vectors", "SELECT size, 5 * count(*)::BIGINT AS least_words, 5 * 4 AS vectors FROM customer, (VALUES (10), (100), (1000)) v(size) WHERE c_custkey < size GROUP BY size")
@@ -39,9 +41,71 @@ def x02(t):
     return seen("first_rows", ["o_orderdate", "o_orderkey"]).unionByName(seen("sample", [det.text("x2", F.col("o_orderkey"))]))
 
 
-@query("x03_schema_or_values", SMALL_SQL + "SELECT count(DISTINCT table_id)::BIGINT AS tables, count(DISTINCT col_name)::BIGINT AS columns FROM cells")
+def by_schema(prof, sampled):
+    """Rule predictor that sees a column's name and three of its values."""
+    name, value = F.lower("col_name"), F.lower(F.coalesce("shown", F.lit("")))
+    label = F.when(name.rlike("key$"), "key").when(name.rlike("date"), "date").when(name.rlike("price|bal"), "money").when(name.rlike("size|quantity"), "quantity").when(name.rlike("_name$") & ~name.rlike("^p_"), "name").when(name.rlike("segment|brand|type|status|priority"), "category")
+    label = label.when(value.rlike(r"^[0-9]{4}-[0-9]{2}"), "date").when(value.rlike(r"^-?[0-9]+\.[0-9]+"), "money").when(value.rlike("^-?[0-9]+"), "quantity").otherwise("text")
+    return prof.join(sampled, ["table_id", "col_name"], "left").withColumn("label", label)
+
+
+def header_scores(t):
+    """(headers, way, f1): column types by schema and three values, and by a profile of all values, under real and anonymised names."""
+    cells = cut(workloads.star_cells(t))
+    renamed, mapping = T.anonymise(cells)
+    renamed = cut(renamed)
+    gold = t.spark.createDataFrame([(n, c, s) for n in workloads.STARS for c, s in X.SEMANTIC[n].items()], "table_id string, col_name string, label string")
+    heads = mapping.where("kind = 'header'").select("table_id", F.col("old").alias("col_name"), "new")
+    out = []
+    for headers, some, truth in (("original", cells, gold), ("anonymised", renamed, gold.join(heads, ["table_id", "col_name"]).select("table_id", F.col("new").alias("col_name"), "label"))):
+        prof = cut(T.profile(some))
+        shown = some.groupBy("table_id", "col_name").agg(F.min_by("value", "row_id").alias("shown"))
+        keyed = lambda df: df.select(F.concat_ws(".", "table_id", "col_name").alias("sample_id"), "label")
+        for way, pred in (("schema", by_schema(prof, shown)), ("values", workloads.guess_type(prof))):
+            out.append(M.micro_f1(keyed(pred), keyed(truth)).select(F.lit(headers).alias("headers"), F.lit(way).alias("way"), "*"))
+    return C.union_all(out)
+
+
+@query("x03_schema_or_values")
 def x03(t):
-    return table_plans.small_cells(t).agg(F.countDistinct("table_id").alias("tables"), F.countDistinct("col_name").alias("columns"))
+    """Under anonymised headers the profile of values beats the schema with a few of them."""
+    return header_scores(t).where("headers = 'anonymised'")
+
+
+@query("x09_headers")
+def x09(t):
+    """Original against anonymised headers, for the predictor that reads names."""
+    return header_scores(t).where("way = 'schema'")
+
+
+@query("x11_single_turn", CHAIN_SQL + ", k AS (SELECT chain_id, min(turn) FILTER (WHERE failed) AS cut FROM ch GROUP BY 1) SELECT 'single' AS way, turn, (count(*) FILTER (WHERE NOT failed AND NOT contains(query, 'their')))::BIGINT AS answered FROM ch GROUP BY 2 UNION ALL SELECT 'chained', turn, (count(*) FILTER (WHERE cut IS NULL OR turn < cut))::BIGINT FROM ch JOIN k USING (chain_id) GROUP BY 2")
+def x11(t):
+    """Questions answered on their own and with the turns before: 'their' points to the filter of the first turn."""
+    turns = cut(X.chains(t.orders, t.lineitem))
+    alone = turns.groupBy(F.lit("single").alias("way"), "turn").agg(F.count_if(~F.col("failed") & ~F.col("query").contains("their")).alias("answered"))
+    held = X.truncate(turns).groupBy("turn").agg(F.count("*").alias("answered"))
+    chained = turns.select("turn").distinct().join(held, "turn", "left").select(F.lit("chained").alias("way"), "turn", F.coalesce("answered", F.lit(0)).alias("answered"))
+    return alone.unionByName(chained)
+
+
+X15_SQL = f"""WITH {SNAP_SQL}, m AS (SELECT table_id, snap, count(*) AS m FROM snaps GROUP BY ALL)
+SELECT way, CASE way WHEN 'rows' THEN sum(3) WHEN 'columns' THEN sum(m) ELSE sum(3 * m) END::BIGINT AS changed, sum(3 * m)::BIGINT AS cells FROM m, (VALUES ('rows'), ('columns'), ('both')) v(way) GROUP BY way""".replace("least(32", "least(8")
+
+
+@query("x15_single_axis", X15_SQL)
+def x15(t):
+    """Cells whose vectors change when the first cell of each snapshot is emptied: along one axis only its row or its column, along both all."""
+    cells = cut(E.embed(encoder_plans.snapshot_cells(t, 8)))
+    first = cells.groupBy("table_id", "snap").agg(F.min("row_id").alias("row_id")).withColumn("col_id", F.lit(0))
+    spot = F.col("hit").isNotNull()
+    other = cut(cells.join(first.withColumn("hit", F.lit(1)), ["table_id", "snap", "row_id", "col_id"], "left").withColumn("vec", F.when(spot, F.array_repeat(F.lit(0.0), E.D)).otherwise(F.col("vec"))).drop("hit"))
+    out = []
+    for axes in ("rows", "columns", "both"):
+        key = ["table_id", "snap", "row_id", "col_id"]
+        a, b = E.encode(cells, 1, axes=axes), E.encode(other, 1, axes=axes).withColumnRenamed("vec", "new")
+        far = F.exists(F.zip_with("vec", "new", lambda x, y: F.abs(x - y)), lambda d: d > 1e-9)
+        out.append(a.join(b, key).agg(F.lit(axes).alias("way"), F.count_if(far).alias("changed"), F.count("*").alias("cells")))
+    return C.union_all(out)
 
 
 @query("x04_token_choice", " UNION ALL ".join(f"SELECT * FROM (WITH {LM_SQL}, y AS (SELECT *, {MASKS[m]} AS keep FROM x WINDOW d AS (PARTITION BY doc_id)) SELECT '{m}' AS mode, sum(n) FILTER (WHERE keep)::BIGINT AS kept, round(sum(n * excess) FILTER (WHERE keep) / sum(n) FILTER (WHERE keep), 6) AS mean_excess FROM y)" for m in MASKS))
@@ -83,15 +147,15 @@ def x12(t):
 
 @query("x16_pool_or_adapter")
 def x16(t):
-    """Distance between the vectors of two columns by mean pooling and by the adapter (unit length each)."""
-    import numpy as np
-
-    cells = E.embed(encoder_plans.snapshot_cells(t, 16)).where("snap = 0")
-    mean = {(r.table_id, r.col_id): np.array(r.vec) for r in E.pool(cells).where("table_id in ('0', '1')").collect()}  # six columns
-    ad = {(r.table_id, r.col_id): np.array(r.vecs).mean(0) for r in E.adapter_columns(cells.where("table_id in ('0', '1')")).collect()}
-
-    def gap(v):
-        u = {k: x / max(np.linalg.norm(x), 1e-9) for k, x in v.items()}
-        return round(float(np.mean([np.linalg.norm(u[a] - u[b]) for a in u for b in u if a < b])), 4)
-
-    return t.spark.createDataFrame([("mean", gap(mean)), ("adapter", gap(ad))], "way string, gap double")
+    """Distance between the vectors of two columns of a table by mean pooling and by the adapter (unit length each), over all tables."""
+    cells = cut(E.embed(encoder_plans.snapshot_cells(t, 16)).where("snap = 0"))
+    mean = F.transform(F.sequence(F.lit(0), F.lit(E.D - 1)), lambda i: F.aggregate(F.col("vecs"), F.lit(0.0), lambda a, v: a + F.get(v, i)))
+
+    def gap(way, vecs):
+        norm = F.sqrt(F.aggregate("vec", F.lit(0.0), lambda a, x: a + x * x))
+        unit = cut(vecs.withColumn("norm", norm).where("norm > 0").select("table_id", "col_id", F.transform("vec", lambda x: x / F.col("norm")).alias("vec")))
+        a, b = unit.alias("a"), unit.alias("b")
+        far = F.sqrt(F.aggregate(F.zip_with("a.vec", "b.vec", lambda x, y: (x - y) * (x - y)), F.lit(0.0), lambda s, x: s + x))
+        return a.join(b, (F.col("a.table_id") == F.col("b.table_id")) & (F.col("a.col_id") < F.col("b.col_id"))).agg(F.lit(way).alias("way"), F.count("*").alias("pairs"), F.round(F.avg(far), 4).alias("gap"))
+
+    return gap("mean", E.pool(cells)).unionByName(gap("adapter", E.adapter_columns(cells).select("table_id", "col_id", mean.alias("vec"))))
