@@ -251,8 +251,8 @@ def test_programs_are_limited(spark):
     assert got["file"][0] == "error" and got["memory"][0] == "error"
 
 
-def test_funnel_only_shrinks(spark):
-    kept = [r.kept for r in M.funnel(X.staged(X.drafts(X.questions(spark)))).orderBy("step").collect()]
+def test_funnel_only_shrinks(spark, t):
+    kept = [r.kept for r in M.funnel(X.staged(X.drafts(X.questions(spark)), {n: getattr(t, n) for n in X.SEMANTIC})).orderBy("step").collect()]
     assert kept == sorted(kept, reverse=True) and kept[-1] > 0
 
 
