@@ -365,10 +365,16 @@ class LineIndex:
     def repeats(self) -> DataFrame:
         """(k, keeper, n_refs) of lines now held by two documents and more.
 
-        Only lines that some batch held twice or found known can be such lines.
+        Only lines that some batch held twice or found known can be such lines. While no
+        document has left, each batch's least and greatest document tell the whole;
+        after that the references do. Both are summed up before they are shuffled.
         """
         some = self._all("twice", "k binary").select("k").distinct()
-        return self.refs().join(some, "k", "left_semi").groupBy("k").agg(F.min("doc_id").alias("keeper"), F.max("doc_id").alias("last"), F.count("*").alias("n_refs")).where("keeper < last").drop("last")
+        if self.now["gone"]:
+            held = self.refs().groupBy("k").agg(F.min("doc_id").alias("keeper"), F.max("doc_id").alias("last"), F.count("*").alias("n_refs"))
+        else:
+            held = self._all("counts", COUNTS).groupBy("k").agg(F.min("low").alias("keeper"), F.max("high").alias("last"), F.sum("n").alias("n_refs"))
+        return held.where("keeper < last").join(some, "k", "left_semi").drop("last")
 
     def dropped(self) -> DataFrame:
         """(doc_id, gone): digests that each document loses, as one string of 32 hexadecimal digits each."""
