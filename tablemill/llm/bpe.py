@@ -40,7 +40,7 @@ TURNS = 64
 LONG = 256
 CHUNK = 20_000  # words of one query
 HISTORY = 8_000_000  # rows times rounds of one query
-CACHE = 100_000  # words remembered from slice to slice
+CACHE = 100_000  # words of one generation; two of them, and those of a slice, are remembered
 MEMORY = "128MB"
 NONE = np.int64(1 << 40)
 
@@ -79,6 +79,7 @@ class Coder:
 
         self.ranks, self.cut = ranks, regex.compile(pattern).findall
         self.known: dict[str, bytes] = {}
+        self.older: dict[str, bytes] = {}
         self.spans = None
         self.bytes = np.zeros(256, np.int32)
         for token, rank in ranks.items():
@@ -211,18 +212,30 @@ class Coder:
             known[w] = b"".join([long[x] if x in long else short[x] for x in p])
 
     def encode(self, spaced: pa.Array, others: list[str]) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-        """Ids of each distinct string: its pre-tokens, each merged separately."""
-        if len(self.known) > CACHE:
-            self.known = {}
+        """Ids of each distinct string: its pre-tokens, each merged separately.
+
+        Words are remembered in two generations: one met again moves to the younger,
+        and when that is full the older is forgotten. So frequent words stay known
+        however many rare ones pass by.
+        """
         parts = [self.cut(" " + s) for s in spaced.to_pylist()] + [self.cut(s) for s in others]
-        new = {w for p in parts for w in p if w not in self.known}
-        self.learn(list(new), known := self.known)
-        each = [b"".join([known[w] for w in p]) for p in parts]
+        known, older = self.known, self.older
+        new = []
+        for w in set().union(*parts):
+            if w not in known:
+                if (ids := older.get(w)) is None:
+                    new.append(w)
+                else:
+                    known[w] = ids
+        self.learn(new, known)
+        each = [known[p[0]] if len(p) == 1 else b"".join([known[w] for w in p]) for p in parts]
         sizes = np.fromiter(map(len, each), np.int64, len(each)) // 2
         # What is remembered is bounded in words and, by leaving long ones out, in bytes.
         for w in new:
             if len(w) > LONG:
                 del known[w]
+        if len(known) > CACHE:
+            self.known, self.older = {}, known
         return np.frombuffer(b"".join(each), "<u2"), begins(sizes), sizes
 
     def decode(self, ids: np.ndarray, sizes: np.ndarray, rows: int = 200_000) -> list[bytes]:

@@ -589,7 +589,25 @@ def test_bpe_of_words_without_a_break():
     for t, n in zip(texts, sizes.tolist()):
         assert ids[at : at + n].tolist() == enc.encode_ordinary(t), t[:20]
         at += n
-    assert not [w for w in coder.known if len(w) > bpe.LONG]
+    assert not [w for w in (*coder.known, *coder.older) if len(w) > bpe.LONG]
+
+
+def test_bpe_words_are_forgotten_and_learnt_again(monkeypatch):
+    tiktoken = pytest.importorskip("tiktoken")
+    monkeypatch.setattr(bpe, "CACHE", 40)
+    ranks = bpe.read_ranks(P.path("byte_bpe_multi_50k.tiktoken"))
+    enc = tiktoken.Encoding("own", pat_str=P.PATTERN, mergeable_ranks=ranks, special_tokens={})
+    coder = bpe.Coder(ranks, P.PATTERN)
+    learnt = []
+    learn = coder.learn
+    coder.learn = lambda new, known: (learnt.append(set(new)), learn(new, known))
+    for turn in range(12):
+        texts = ["oftenseenword " * 3 + " ".join(f"rareword{turn}x{i}qz" for i in range(30)), "", f"again{turn % 5}zq"]
+        ids, sizes = pieces.encode_texts(pa.array(texts), coder.encode)
+        assert [x.tolist() for x in np.split(ids, np.cumsum(sizes)[:-1])] == [enc.encode_ordinary(t) for t in texts]
+        assert len(coder.known) <= 40 and len(coder.older) <= 40 + 200
+    often = [t for t, words in enumerate(learnt) if " oftenseenword" in words or "oftenseenword" in words]
+    assert often == [0]
 
 
 def test_pieces_against_whole_texts():
