@@ -99,10 +99,10 @@ def tab_clean_pipeline(t):
 
 
 HORIZ_SQL = """
-WITH r AS (SELECT *, row_number() OVER (PARTITION BY c_nationkey ORDER BY c_custkey) AS i FROM customer), s AS (SELECT * FROM r WHERE i <= 8),
-h AS (SELECT 'across-' || c_nationkey AS table_id, 0 AS row_id, i AS col_id, c_name AS value FROM s UNION ALL SELECT 'across-' || c_nationkey, 1, i, c_acctbal::VARCHAR FROM s UNION ALL SELECT 'across-' || c_nationkey, 2, i, c_mktsegment FROM s
- UNION ALL SELECT DISTINCT 'across-' || c_nationkey, v.k, 0, v.n FROM s, (VALUES (0, 'name'), (1, 'balance'), (2, 'segment')) v(k, n)
- UNION ALL SELECT 'down-' || c_nationkey, i, 0, c_name FROM s UNION ALL SELECT 'down-' || c_nationkey, i, 1, c_acctbal::VARCHAR FROM s UNION ALL SELECT 'down-' || c_nationkey, i, 2, c_mktsegment FROM s),
+WITH s AS (SELECT *, c_custkey // 8 AS block, (c_custkey % 8 + 1)::BIGINT AS i FROM customer),
+h AS (SELECT 'across-' || block AS table_id, 0 AS row_id, i AS col_id, c_name AS value FROM s UNION ALL SELECT 'across-' || block, 1, i, c_acctbal::VARCHAR FROM s UNION ALL SELECT 'across-' || block, 2, i, c_mktsegment FROM s
+ UNION ALL SELECT DISTINCT 'across-' || block, v.k, 0, v.n FROM s, (VALUES (0, 'name'), (1, 'balance'), (2, 'segment')) v(k, n)
+ UNION ALL SELECT 'down-' || block, i, 0, c_name FROM s UNION ALL SELECT 'down-' || block, i, 1, c_acctbal::VARCHAR FROM s UNION ALL SELECT 'down-' || block, i, 2, c_mktsegment FROM s),
 k AS (SELECT *, CASE WHEN regexp_matches(value, '^-?[0-9]+(\\.[0-9]+)?([eE][-+]?[0-9]+)?$') THEN 'number' WHEN regexp_matches(value, '^[0-9]{4}-[0-9]{2}-[0-9]{2}') THEN 'timestamp' ELSE 'string' END AS k FROM h),
 br AS (SELECT table_id, sum(same)::BIGINT AS uniform_rows, count(*)::BIGINT AS n_rows FROM (SELECT table_id, row_id, (count(DISTINCT k) = 1)::INT AS same FROM k WHERE col_id > 0 GROUP BY 1, 2) GROUP BY 1),
 bc AS (SELECT table_id, sum(same)::BIGINT AS uniform_cols, count(*)::BIGINT AS n_cols FROM (SELECT table_id, col_id, (count(DISTINCT k) = 1)::INT AS same FROM k GROUP BY 1, 2) GROUP BY 1),
@@ -111,14 +111,12 @@ SELECT table_id, uniform_rows, n_rows, uniform_cols, n_cols, names_first AND uni
 
 
 def across_and_down(t):
-    """Eight customers of each nation, once with attributes across and once down."""
-    from pyspark.sql import Window
-
-    s = t.customer.withColumn("i", F.row_number().over(Window.partitionBy("c_nationkey").orderBy("c_custkey"))).where("i <= 8")
+    """All customers in tables of eight, once with attributes across and once down."""
+    s = t.customer.withColumn("i", F.expr("c_custkey % 8 + 1")).withColumn("block", F.expr("cast(c_custkey div 8 AS string)"))
     attrs = [("name", "c_name"), ("balance", "c_acctbal"), ("segment", "c_mktsegment")]
     cell = lambda r, c, v: F.struct(r.cast("long").alias("row_id"), c.cast("int").alias("col_id"), v.cast("string").alias("value"))
-    down = s.select(F.concat(F.lit("down-"), F.col("c_nationkey").cast("string")).alias("table_id"), F.inline(F.array(*[cell(F.col("i"), F.lit(k), F.col(c)) for k, (_, c) in enumerate(attrs)])))
-    across = s.select(F.concat(F.lit("across-"), F.col("c_nationkey").cast("string")).alias("table_id"), F.inline(F.array(*[cell(F.lit(k), F.col("i"), F.col(c)) for k, (_, c) in enumerate(attrs)])))
+    down = s.select(F.concat(F.lit("down-"), F.col("block")).alias("table_id"), F.inline(F.array(*[cell(F.col("i"), F.lit(k), F.col(c)) for k, (_, c) in enumerate(attrs)])))
+    across = s.select(F.concat(F.lit("across-"), F.col("block")).alias("table_id"), F.inline(F.array(*[cell(F.lit(k), F.col("i"), F.col(c)) for k, (_, c) in enumerate(attrs)])))
     names = across.select("table_id").distinct().select("table_id", F.inline(F.array(*[cell(F.lit(k), F.lit(0), F.lit(n)) for k, (n, _) in enumerate(attrs)])))
     return down.unionByName(across).unionByName(names).withColumn("col_name", F.concat(F.lit("c"), F.col("col_id").cast("string")))
 

@@ -393,8 +393,23 @@ def w23(t):
 def w24(t):
     """Small programs with a test each, run in child processes."""
     tasks = [("add", "def f(a, b):\n    return a + b\nassert f(2, 3) == 5"), ("rev", "def f(s):\n    return s[::-1]\nassert f('abc') == 'cba'"), ("bad", "def f(a):\n    return a\nassert f(1) == 2"), ("fib", "def f(n):\n    return n if n < 2 else f(n - 1) + f(n - 2)\nassert f(10) == 55")]
-    runs = X.run_python(t.spark.createDataFrame([(n, c) for n, c in tasks], "sample_id string, code string").repartition(2))
-    return runs.agg(F.lit("small_programs").alias("set"), F.count_if(F.col("status") == "ok").alias("solved"), F.count("*").alias("total"))
+    return solved(X.run_python(t.spark.createDataFrame([(n, c) for n, c in tasks], "sample_id string, code string").repartition(2)), "small_programs")
+
+
+def solved(runs, name):
+    return runs.agg(F.lit(name).alias("set"), F.count_if(F.col("status") == "ok").alias("solved"), F.count("*").alias("total"))
+
+
+@query("w24_tables", "SELECT 'table_programs' AS \"set\", count(*) FILTER (WHERE block % 3 < 2 OR hi = lo)::BIGINT AS solved, count(*)::BIGINT AS total FROM (SELECT p_partkey // 200 AS block, max(p_size) AS hi, min(p_size) AS lo FROM part GROUP BY 1)")
+def w24_tables(t):
+    """A program for every block of 200 part keys over their sizes, tested on what Spark finds: sums and largest sizes are asked for, and a third of the programs answers with the smallest instead."""
+    block = F.expr("p_partkey div 200")
+    g = t.part.groupBy(block.alias("block")).agg(F.array_sort(F.collect_list("p_size")).alias("sizes"), F.sum("p_size").alias("sum"), F.max("p_size").alias("max"))
+    kind = F.col("block") % 3
+    done = F.when(kind == 0, "sum").when(kind == 1, "max").otherwise("min")
+    want = F.when(kind == 0, F.col("sum")).otherwise(F.col("max"))
+    code = F.concat(F.lit("def f(rows):\n    return "), done, F.lit("(rows)\nassert f(["), F.array_join(F.col("sizes").cast("array<string>"), ", "), F.lit("]) == "), want.cast("string"))
+    return solved(X.run_python(g.select(F.col("block").cast("string").alias("sample_id"), code.alias("code"))), "table_programs")
 
 
 @query("w25")
@@ -406,6 +421,32 @@ def w25(t):
     return s.agg(F.lit("language").alias("set"), F.round(F.avg((pred == F.col("lang")).cast("int")), 6).alias("accuracy"))
 
 
+W25_PASSAGE_SQL = """
+WITH w AS (SELECT doc_id, string_split(lower(text), ' ') AS words FROM documents WHERE text IS NOT NULL),
+h AS (SELECT doc_id, list_distinct(words[1:len(words) // 2]) AS head, list_distinct(words[len(words) // 2 + 1:len(words)]) AS tail FROM w),
+o AS (SELECT q.doc_id, k, len(list_intersect(q.head, a.tail)) * 1000 // len(a.tail) AS score FROM h a, (VALUES (0), (1), (2), (3)) v(k) JOIN h q ON q.doc_id = a.doc_id - k),
+r AS (SELECT *, row_number() OVER (PARTITION BY doc_id ORDER BY score DESC, k DESC) AS r FROM o)
+SELECT 'passage' AS "set", sum((k = 0)::INT)::BIGINT AS correct, count(*)::BIGINT AS total, round(avg((k = 0)::INT), 6) AS accuracy FROM r WHERE r = 1"""
+
+
+@query("w25_passage", W25_PASSAGE_SQL)
+def w25_passage(t):
+    """Which of four passages goes on from the first half of a document: its own second half or that of one of the three next ids.
+
+    The passage with the largest share of its words in the first half is chosen; ties count against the method.
+    Only word hashes are shuffled.
+    """
+    words = t.documents.where("text IS NOT NULL").select("doc_id", F.split(F.lower("text"), " ").alias("words")).withColumn("half", F.expr("cast(size(words) div 2 AS int)"))
+    hashed = lambda a: F.transform(F.array_distinct(a), lambda x: F.xxhash64(x))
+    heads = words.select("doc_id", hashed(F.slice("words", 1, F.col("half"))).alias("head"))
+    tails = words.select(F.col("doc_id").alias("own"), hashed(F.slice("words", F.col("half") + 1, F.size("words"))).alias("tail"))
+    options = tails.select("own", "tail", F.explode(F.array(*map(F.lit, range(4)))).alias("k")).select((F.col("own") - F.col("k")).alias("doc_id"), "k", "tail")
+    score = F.expr("size(array_intersect(head, tail)) * 1000 div size(tail)")
+    chosen = heads.join(options, "doc_id").groupBy("doc_id").agg(F.max(F.struct(score.alias("score"), "k")).alias("best"))
+    hit = (F.col("best.k") == 0).cast("int")
+    return chosen.agg(F.lit("passage").alias("set"), F.sum(hit).alias("correct"), F.count("*").alias("total"), F.round(F.avg(hit), 6).alias("accuracy"))
+
+
 @query("w26", SCORES_SQL + f", g AS ({_gain_sql('P7', '(5, 6)')}), m AS (SELECT system, round(avg(value), 4) AS mean_score, count(*)::BIGINT AS n_rows FROM s WHERE table_no IN (5, 6) GROUP BY 1) SELECT m.system, mean_score, m.n_rows, g.gain AS improvement FROM m LEFT JOIN g USING (system)")
 def w26(t):
     s = M.scores_frame(t.spark)
