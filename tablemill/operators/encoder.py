@@ -37,9 +37,13 @@ def hashed(value: Column, d: int = D) -> Column:
 
 
 def embed(cells: DataFrame, d: int = D) -> DataFrame:
-    """Cells with ``vec``; each distinct value is embedded once."""
+    """Cells with ``vec``; each distinct value is embedded once.
+
+    The vectors are some 20 times larger than the values whose size Spark knows, so
+    they are never sent to the driver for a broadcast.
+    """
     values = cells.select("value").where("value is not null").distinct().withColumn("vec", hashed(F.col("value"), d))
-    return cells.join(values, "value", "left").withColumn("vec", F.coalesce("vec", F.array_repeat(F.lit(0.0), d)))
+    return cells.join(values.hint("merge"), "value", "left").withColumn("vec", F.coalesce("vec", F.array_repeat(F.lit(0.0), d)))
 
 
 # --- attention over rows and columns -----------------------------------------

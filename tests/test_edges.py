@@ -193,3 +193,11 @@ def test_table_method_against_numpy(spark):
             vecs[table, snap, c] = ((acc / total[:, None]) @ w["out"]).mean(0)
     got = {(r.table_id, r.snap, r.col_id): np.array(r.vec) for r in P.encoded_columns(t).collect()}
     assert got.keys() == vecs.keys() and all(np.allclose(got[k], vecs[k], atol=1e-6) for k in vecs)
+
+
+def test_vectors_of_values_are_not_broadcast(spark):
+    """However small the values are, their vectors do not pass the driver."""
+    cells = spark.createDataFrame([("a", 1, 0, "c", "x"), ("a", 2, 0, "c", None)], "table_id string, row_id long, col_id int, col_name string, value string")
+    out = E.embed(cells)
+    assert "Broadcast" not in out._jdf.queryExecution().executedPlan().toString()
+    assert {r.row_id: any(r.vec) for r in out.collect()} == {1: True, 2: False}
