@@ -37,12 +37,18 @@ def kind(value: Column) -> Column:
     )
 
 
+def counted(cells: DataFrame) -> DataFrame:
+    """Cells of equal value in a column as one: ``n`` of them, ``row_id`` of the first. ``n`` of cells already counted is added up."""
+    n = F.sum("n") if "n" in cells.columns else F.count("*")
+    return cells.groupBy("table_id", "col_id", "col_name", "value").agg(n.alias("n"), F.min("row_id").alias("row_id"))
+
+
 def profile(cells: DataFrame) -> DataFrame:
-    """One row a column: counts, lengths, first value, type by majority of kinds, key candidate."""
-    v = F.col("value")
-    k = kind(v)
-    counts = {name: F.count_if(k == name).alias(f"k_{name}") for name in ("long", "double", "timestamp", "boolean", "string")}
-    p = cells.groupBy("table_id", "col_id", "col_name").agg(F.count("*").alias("n"), F.count_if(missing(v)).alias("n_missing"), F.countDistinct("value").alias("n_distinct"), F.max(F.length(v)).alias("max_len"), *counts.values())
+    """One row a column: counts, lengths, first value, type by majority of kinds, key candidate. Each distinct value is looked at once."""
+    v, n = F.col("value"), F.col("n")
+    those = lambda which: F.sum(F.when(which, n).otherwise(0))
+    counts = [those(F.col("k") == name).alias(f"k_{name}") for name in ("long", "double", "timestamp", "boolean", "string")]
+    p = counted(cells).withColumn("k", kind(v)).groupBy("table_id", "col_id", "col_name").agg(F.sum("n").alias("n"), those(F.col("k").isNull()).alias("n_missing"), F.count("value").alias("n_distinct"), F.max(F.length(v)).alias("max_len"), *counts)
     dtype = F.when(F.col("n") == F.col("n_missing"), "string").when(F.col("k_string") > 0, "string").when((F.col("k_boolean") > 0) & (F.col("k_long") + F.col("k_double") + F.col("k_timestamp") == 0), "boolean").when((F.col("k_timestamp") > 0) & (F.col("k_long") + F.col("k_double") == 0), "timestamp").when(F.col("k_double") > 0, "double").when(F.col("k_long") > 0, "long").otherwise("string")
     return p.select("table_id", "col_id", "col_name", dtype.alias("dtype"), "n", "n_missing", "n_distinct", "max_len", ((F.col("n_missing") == 0) & (F.col("n_distinct") == F.col("n"))).alias("is_key"))
 
@@ -223,10 +229,12 @@ def combos() -> list[tuple[str, bool, bool]]:
 def anonymise(cells: DataFrame, max_kinds: int | None = None) -> tuple[DataFrame, DataFrame]:
     """Headers become ``col_i``, text values ``val_j`` (of columns with up to ``max_kinds`` kinds, if given); the mapping is one to one inside each table."""
     heads = cells.select("table_id", "col_id", "col_name").distinct().withColumn("new", F.concat(F.lit("col_"), F.row_number().over(Window.partitionBy("table_id").orderBy(F.md5("col_name"), "col_name")).cast("string")))
-    few = cells.where(kind(F.col("value")) == "string").groupBy("table_id", "col_id").agg(F.countDistinct("value").alias("k")).where(F.lit(max_kinds is None) | (F.col("k") <= F.lit(max_kinds or 0)))
-    kinds = cells.join(few.select("table_id", "col_id"), ["table_id", "col_id"], "left_semi").select("table_id", "col_id", "value").distinct().where("value is not null")
+    values = cells.select("table_id", "col_id", "value").where("value is not null").distinct()
+    texts = values.groupBy("table_id", "col_id").agg(F.count_if(kind(F.col("value")) == "string").alias("k")).where((F.col("k") > 0) & (F.lit(max_kinds is None) | (F.col("k") <= F.lit(max_kinds or 0))))
+    kinds = values.join(texts.select("table_id", "col_id"), ["table_id", "col_id"], "left_semi")
     vals = kinds.withColumn("new_value", F.concat(F.lit("val_"), F.row_number().over(Window.partitionBy("table_id", "col_id").orderBy(F.md5("value"), "value")).cast("string")))
-    out = cells.join(heads.drop("col_name"), ["table_id", "col_id"]).join(vals, ["table_id", "col_id", "value"], "left").select("table_id", "row_id", "col_id", F.col("new").alias("col_name"), F.coalesce("new_value", "value").alias("value"))
+    named = {"col_name": F.col("new").alias("col_name"), "value": F.coalesce("new_value", "value").alias("value")}
+    out = cells.join(heads.drop("col_name"), ["table_id", "col_id"]).join(vals, ["table_id", "col_id", "value"], "left").select(*[named.get(c, F.col(c)) for c in cells.columns])
     mapping = heads.select("table_id", F.lit("header").alias("kind"), F.col("col_name").alias("old"), "new").unionByName(vals.select("table_id", F.lit("value").alias("kind"), F.col("value").alias("old"), F.col("new_value").alias("new")))
     return out, mapping
 

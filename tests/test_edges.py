@@ -197,7 +197,20 @@ def test_table_method_against_numpy(spark):
 
 def test_vectors_of_values_are_not_broadcast(spark):
     """However small the values are, their vectors do not pass the driver."""
-    cells = spark.createDataFrame([("a", 1, 0, "c", "x"), ("a", 2, 0, "c", None)], "table_id string, row_id long, col_id int, col_name string, value string")
+    cells = spark.sql("SELECT * FROM VALUES ('a', 1L, 0, 'c', 'x'), ('a', 2L, 0, 'c', NULL) AS t(table_id, row_id, col_id, col_name, value)")
     out = E.embed(cells)
     assert "Broadcast" not in out._jdf.queryExecution().executedPlan().toString()
     assert {r.row_id: any(r.vec) for r in out.collect()} == {1: True, 2: False}
+
+
+def test_counted_cells_have_the_same_profile(spark):
+    """Equal cells counted together give the profile and, apart from their number, the anonymised cells of all cells."""
+    rows = [("a", r, c, f"h{c}", v) for r in range(40) for c, v in enumerate([str(r % 3), None if r % 4 == 0 else "x" + str(r % 5), "n/a" if r % 2 else "2024-01-01", str(r / 4)])]
+    cells = spark.createDataFrame(rows, "table_id string, row_id long, col_id int, col_name string, value string")
+    few = T.counted(cells)
+    assert few.count() == 3 + 5 + 1 + 2 + 40 and few.agg(F.sum("n")).first()[0] == len(rows)
+    assert sorted(T.profile(few).collect()) == sorted(T.profile(cells).collect())
+    got = {r.col_name: (r.n, r.n_missing, r.n_distinct, r.dtype, r.is_key) for r in T.profile(cells).collect()}
+    assert got == {"h0": (40, 0, 3, "long", False), "h1": (40, 10, 5, "string", False), "h2": (40, 20, 2, "timestamp", False), "h3": (40, 0, 40, "double", True)}
+    names = ["table_id", "col_name", "value"]
+    assert sorted(T.anonymise(few)[0].select(*names).collect(), key=str) == sorted(T.anonymise(cells)[0].select(*names).distinct().collect(), key=str)
