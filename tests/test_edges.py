@@ -3,6 +3,7 @@
 import csv
 import io
 import json
+import math
 import xml.etree.ElementTree as ElementTree
 
 import pytest
@@ -214,3 +215,11 @@ def test_counted_cells_have_the_same_profile(spark):
     assert got == {"h0": (40, 0, 3, "long", False), "h1": (40, 10, 5, "string", False), "h2": (40, 20, 2, "timestamp", False), "h3": (40, 0, 40, "double", True)}
     names = ["table_id", "col_name", "value"]
     assert sorted(T.anonymise(few)[0].select(*names).collect(), key=str) == sorted(T.anonymise(cells)[0].select(*names).distinct().collect(), key=str)
+
+
+def test_losses_are_equal_to_the_last_bit(spark):
+    """The order of tokens by excess hangs on the last bit, so logarithms are the C library's."""
+    counts = spark.range(1, 3001).select(F.concat(F.lit("t"), "id").alias("token"), F.col("id").alias("n"))
+    got = {r.token: (r.loss_cur, r.loss_ref) for r in C.losses(counts, counts.where("n % 2 = 0")).collect()}
+    c, r, v = 3000 * 3001 / 2, 1500 * 1501, 3000
+    assert got == {f"t{n}": (-math.log((n + 1) / (c + v)), -math.log(((n if n % 2 == 0 else 0) + 1) / (r + v))) for n in range(1, 3001)}
