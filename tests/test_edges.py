@@ -223,3 +223,27 @@ def test_losses_are_equal_to_the_last_bit(spark):
     got = {r.token: (r.loss_cur, r.loss_ref) for r in C.losses(counts, counts.where("n % 2 = 0")).collect()}
     c, r, v = 3000 * 3001 / 2, 1500 * 1501, 3000
     assert got == {f"t{n}": (-math.log((n + 1) / (c + v)), -math.log(((n if n % 2 == 0 else 0) + 1) / (r + v))) for n in range(1, 3001)}
+
+
+def test_schema_items_hold_values_of_the_tables(spark, small):
+    """What is searched is read from the tables, so a question in words of a value finds its column."""
+    docs = A.value_docs(spark, lambda name: spark.read.parquet(f"{small}/{name}.parquet"))
+    text = {r.item_id: r.text for r in docs.collect()}
+    kinds = sorted(r[0] for r in spark.read.parquet(f"{small}/customer.parquet").select("c_mktsegment").distinct().collect())
+    keys = spark.read.parquet(f"{small}/orders.parquet").agg(F.min("o_orderkey"), F.max("o_orderkey")).first()
+    assert text["customer.c_mktsegment"].endswith(" ".join(kinds)) and text["orders.o_orderkey"].endswith(f"{keys[0]} to {keys[1]}")
+    assert set(text) == {r.item_id for r in A.schema_docs(spark).collect()}
+    found = A.embed_search(spark.createDataFrame([("q", f"customers of {kinds[0]}")], "query_id string, query string"), docs)
+    assert "customer.c_mktsegment" in {r.item_id for r in found.collect()}
+
+
+def test_systems_are_measured_on_rows(spark):
+    rows = spark.createDataFrame([("a", True, True), ("a", False, True), (None, True, False), ("b", True, None)], "k string, said boolean, gold boolean")
+    got = {tuple(r) for r in M.measured(rows, {"s": F.col("said"), "yes": F.lit(True)}, F.col("gold"), {1: F.col("k")}).collect()}
+    assert got == {(1, "a", "s", 50.0), (1, "a", "yes", 100.0), (1, "none", "s", 0.0), (1, "none", "yes", 0.0)}
+
+
+def test_each_pack_has_a_step(spark):
+    docs = spark.createDataFrame([(1, "a b c"), (2, None), (3, "d e f g")], "doc_id long, text string")
+    got = C.cosine_schedule(C.concat_cut(docs, 2)).orderBy("step").collect()
+    assert [(r.step, r.tokens) for r in got] == [(0, 2), (1, 2), (2, 2), (3, 1)] and got[0].lr == 3e-5 and got[1].lr == 3e-5 > got[2].lr > got[3].lr > 0
