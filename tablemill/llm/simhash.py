@@ -22,16 +22,20 @@ Shards return spanning forests, never all pairs; forests are merged by
 alternating star contraction with stored rounds.
 
 The pipeline's stage (``near_dedup``) has another rule: texts whose five-word
-shingle sets have a Jaccard similarity of 0.8 or more are near copies. Their
-fingerprints lie up to 11 bits and more apart, where a vantage-point tree no
-longer parts anything (a shell that wide holds most fingerprints), so candidates
-come from MinHash bands, in such number that fewer than one in ``1 / MISS`` pairs
-at the least similarity is missed. Bands alone would also pair the members of large
-groups that are somewhat less alike, so the sets of all candidates are cut to
-prefixes: two sets that are alike enough share one of their rarest shingles, among
-the first ``size - least * size + 1`` of each by frequency. What only one candidate
-holds is counted there but pairs with nothing. Every link is confirmed on the
-exact sets.
+shingle sets have a Jaccard similarity of 0.8 or more are near copies. Their 64-bit
+fingerprints lie up to 11 bits and more apart, where a vantage-point tree no longer
+parts anything (a shell that wide holds most fingerprints). A longer fingerprint is
+therefore cut into codes of some twenty bits, more for more documents, and each
+code has trees of its own, searched within one bit (``NEAR_BITS``). There are so
+many codes that fewer than one in ``1 / MISS`` pairs at the least similarity is that
+close in none of them. Texts found so are candidates if 128 further bits of their
+fingerprints agree as well as those of near copies do; a set of fewer than ``FEW``
+shingles is too small for a fingerprint and a candidate in any case.
+
+An exact check follows. The sets of all candidates are cut to prefixes: two sets
+that are alike enough share one of their rarest shingles, among the first ``size -
+least * size + 1`` of each by frequency. What only one candidate holds is counted
+there but pairs with nothing. Every link is confirmed on the exact sets.
 
 Defined results: null and empty texts have fingerprint zero and are linked like
 any other; rows with a null document id get a fingerprint but no component and
@@ -41,7 +45,7 @@ always stay; repeated rows are one document.
 from __future__ import annotations
 
 from collections.abc import Callable
-from math import ceil, log
+from math import acos, ceil, comb, log, pi
 
 import numpy as np
 import pyarrow as pa
@@ -49,8 +53,9 @@ import xxhash
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from tablemill.llm.common import columns, forget, free_name, lean, stored, whole
-from tablemill.llm.licenses import MISS, permutations, permuted, shingle_hashes
+from tablemill.llm.common import columns, forget, free_name, lean, stored, trim, whole
+from tablemill.llm.licenses import MISS, permutations, shingle_hashes
+from tablemill.llm.pieces import begins, gather
 
 BITS = 2
 SHINGLE = 3
@@ -61,7 +66,12 @@ DENSE = 16
 LEAF = 384
 NEAR_SHINGLE = 5
 NEAR = 0.8
-BAND_ROWS = 4
+NEAR_BITS = 1
+FEW = 20
+CHECK_BITS = 128
+CODE_LEAF = 256
+PER_CELL = 1 << 17
+CROSSED = 1 << 21
 
 
 def text_fingerprint(text: bytes, shingle: int = SHINGLE, seed: int = 42) -> int:
@@ -97,13 +107,13 @@ def distance(fps: np.ndarray, vantage: np.uint64) -> np.ndarray:
     return np.bitwise_count(fps ^ vantage).astype(np.int16)
 
 
-def choose(fps: np.ndarray) -> tuple[np.uint64, int]:
-    """A vantage point and radius near the median that copies the fewest."""
+def choose(fps: np.ndarray, bits: int = BITS) -> tuple[np.uint64, int]:
+    """A vantage point and radius near the median that copies the fewest, for links within ``bits``."""
     best = None
     for v in fps[np.linspace(0, len(fps) - 1, min(4, len(fps))).astype(int)]:
         tally = np.bincount(distance(fps, v), minlength=65).cumsum()
         inner = tally[:-1]
-        copied = inner - np.concatenate([np.zeros(BITS, inner.dtype), inner[:-BITS]])
+        copied = inner - np.concatenate([np.zeros(bits, inner.dtype), inner[:-bits]])
         cost = np.maximum(inner, len(fps) - inner + copied)
         radius = int(cost.argmin())
         if best is None or cost[radius] < best[0]:
@@ -111,7 +121,7 @@ def choose(fps: np.ndarray) -> tuple[np.uint64, int]:
     return best[1], best[2]
 
 
-def build(sample: np.ndarray, leaf: int) -> list[tuple[int, int, int, int]]:
+def build(sample: np.ndarray, leaf: int, bits: int = BITS) -> list[tuple[int, int, int, int]]:
     """Nodes (vantage, radius, inside, outside); a child below zero is shard -1 - child."""
     nodes: list[list[int]] = []
     shards = 0
@@ -119,9 +129,9 @@ def build(sample: np.ndarray, leaf: int) -> list[tuple[int, int, int, int]]:
     def grow(fps: np.ndarray) -> int:
         nonlocal shards
         if len(fps) > leaf:
-            v, radius = choose(fps)
+            v, radius = choose(fps, bits)
             d = distance(fps, v)
-            inside, outside = fps[d <= radius], fps[d > radius - BITS]
+            inside, outside = fps[d <= radius], fps[d > radius - bits]
             if max(len(inside), len(outside)) < 0.9 * len(fps):
                 at = len(nodes)
                 nodes.append([int(v), radius, 0, 0])
@@ -135,19 +145,25 @@ def build(sample: np.ndarray, leaf: int) -> list[tuple[int, int, int, int]]:
     return [tuple(n) for n in nodes]
 
 
-def route(nodes: list[tuple[int, int, int, int]], fps: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    """(shard, fingerprint) rows: the shard each belongs to and those it borders on."""
-    todo, out = [(0 if nodes else -1, fps)], []
+def routed(nodes: list[tuple[int, int, int, int]], fps: np.ndarray, bits: int = BITS) -> list[tuple[int, np.ndarray]]:
+    """Shards, and the places in ``fps`` of what belongs to each or borders on it within ``bits``."""
+    todo, out = [(0 if nodes else -1, np.arange(len(fps)))], []
     while todo:
         at, some = todo.pop()
         if not len(some):
             continue
         if at < 0:
-            out.append((np.full(len(some), -1 - at, np.int32), some))
+            out.append((-1 - at, some))
             continue
         vantage, radius, inside, outside = nodes[at]
-        d = distance(some, np.uint64(vantage))
-        todo += [(inside, some[d <= radius]), (outside, some[d > radius - BITS])]
+        d = distance(fps[some], np.uint64(vantage))
+        todo += [(inside, some[d <= radius]), (outside, some[d > radius - bits])]
+    return out
+
+
+def route(nodes: list[tuple[int, int, int, int]], fps: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """(shard, fingerprint) rows: the shard each belongs to and those it borders on."""
+    out = [(np.full(len(at), shard, np.int32), fps[at]) for shard, at in routed(nodes, fps)]
     if not out:
         return np.zeros(0, np.int32), np.zeros(0, np.uint64)
     return np.concatenate([x[0] for x in out]), np.concatenate([x[1] for x in out])
@@ -320,52 +336,264 @@ def shingle_set(text: str | None, shingle: int = NEAR_SHINGLE) -> np.ndarray:
     return np.unique(shingle_hashes(keys, min(shingle, len(keys)))) if len(keys) else keys
 
 
-def band_keys(sets: list[np.ndarray], bands: int, rows: int = BAND_ROWS) -> np.ndarray:
-    """One key a band and set, from ``rows`` minima each; empty sets are not allowed."""
-    flat, starts = np.concatenate(sets), np.cumsum([0, *map(len, sets[:-1])])
-    out = np.empty((len(sets), bands), np.uint64)
-    draws = zip(*permutations(bands * rows))
-    for band in range(bands):
-        key = np.full(len(sets), band, np.uint64)
-        for _ in range(rows):
-            low = np.minimum.reduceat(permuted(flat, *next(draws)), starts)
-            key = permuted(key ^ low, np.uint64(0x9E3779B97F4A7C15), np.uint64(0))
-        out[:, band] = key
+def bit_chance(least: float, fewest: int = FEW) -> float:
+    """The most likely a bit of two fingerprints differs, of sets that are ``least`` alike and have ``fewest`` shingles or more.
+
+    For large sets it is the angle between them over a half turn; small ones, where
+    ties are not rare, come to somewhat more (0.158 for 0.8 and 20, by enumeration).
+    """
+    return acos(2 * least / (1 + least)) / pi * (1 + 1 / fewest)
+
+
+def code_plan(n: int, least: float, miss: float = MISS) -> tuple[int, int, int]:
+    """(bits of a code, number of codes, most of the check's bits that may differ) for ``n`` documents.
+
+    A code is long enough that a document meets about four strangers in its ball; the
+    codes and the check together miss less than ``miss`` of the pairs.
+    """
+    p, bits = bit_chance(least), 12
+    while bits < 60 and n * (bits + 1) > 4 << bits:
+        bits += 1
+    near = sum(comb(bits, k) * p**k * (1 - p) ** (bits - k) for k in range(NEAR_BITS + 1))
+    codes = 1 if near >= 1 else ceil(log(miss / 2) / log(1 - near))
+    tail, most = 1.0, -1
+    while tail > miss / 2:
+        most += 1
+        tail -= comb(CHECK_BITS, most) * p**most * (1 - p) ** (CHECK_BITS - most)
+    return bits, codes, most
+
+
+def words_of(bits: int, codes: int) -> int:
+    """64-bit words of a fingerprint: the check's, then those that hold as many whole codes as fit."""
+    return CHECK_BITS // 64 + -(-codes // (64 // bits))
+
+
+def majorities(sets: list[np.ndarray], words: int, room: int = 1 << 16) -> np.ndarray:
+    """SimHash fingerprints of ``words`` 64-bit words, a row a set: a bit is 1 if set in over half the hashes.
+
+    Bits are counted 64 at a time: hashes are added pairwise as binary numbers whose
+    digits are words. Sets of a like size are counted together; empty sets are not allowed.
+    """
+    size = np.fromiter(map(len, sets), np.int64, len(sets))
+    out = np.empty((len(sets), words), np.uint64)
+    mults, adds = permutations(words)
+    order, at = np.argsort(size, kind="stable"), 0
+    while at < len(order):
+        fits = int(np.searchsorted(size[order], size[order[at]] * 5 // 4 + 4, side="right"))
+        widest = int(size[order[fits - 1]])
+        end = min(fits, at + max(1, room // (widest * words)))
+        mine = order[at:end]
+        n = size[mine]
+        hashes = np.zeros((len(mine), int(n.max()), 1), np.uint64)
+        real = np.arange(hashes.shape[1]) < n[:, None]
+        hashes[real, 0] = np.concatenate([sets[i] for i in mine])
+        step = max(1, room // hashes.size)
+        for w in range(0, words, step):
+            x = (hashes ^ adds[w : w + step]) * mults[w : w + step]
+            x ^= x >> np.uint64(32)
+            x *= np.uint64(0xD6E8FEB86659FD93)
+            x ^= x >> np.uint64(32)
+            x[~real] = 0
+            digits = [x]
+            while digits[0].shape[1] > 1:
+                if digits[0].shape[1] % 2:
+                    digits = [np.concatenate([d, np.zeros_like(d[:, :1])], 1) for d in digits]
+                carry, total = None, []
+                for a, b in ((d[:, ::2], d[:, 1::2]) for d in digits):
+                    half = a ^ b
+                    total.append(half if carry is None else half ^ carry)
+                    carry = a & b if carry is None else (a & b) | (carry & half)
+                digits = [*total, carry]
+            above, same = np.zeros_like(digits[0][:, 0]), np.full_like(digits[0][:, 0], ~np.uint64(0))
+            for k in reversed(range(len(digits))):
+                digit, of_half = digits[k][:, 0], (-((n // 2 >> k) & 1)).astype(np.int64).view(np.uint64)[:, None]
+                above |= same & digit & ~of_half
+                same &= ~(digit ^ of_half)
+            out[mine, w : w + step] = above
+        at = end
     return out
 
 
-def shingled(docs: DataFrame, text: str, doc_id: str, shingle: int, bands: int = 0) -> DataFrame:
-    """(doc_id, fp, hashes) of every row: fp stands for the set of shingles; hashes are the keys of its bands, or the set itself if ``bands`` is 0."""
-    shape = pa.schema([("doc_id", pa.int64()), ("fp", pa.int64()), ("hashes", pa.list_(pa.int64()))])
+def code_of(prints: np.ndarray, number: int, bits: int) -> np.ndarray:
+    """The code of that number of each fingerprint (rows of words)."""
+    per = 64 // bits
+    return (prints[:, CHECK_BITS // 64 + number // per] >> np.uint64(number % per * bits)) & np.uint64((1 << bits) - 1)
 
-    def lists(parts: list[np.ndarray]) -> pa.Array:
-        ends = np.cumsum([0, *map(len, parts)]).astype(np.int32)
-        return pa.ListArray.from_arrays(pa.array(ends), pa.array(np.concatenate([np.zeros(0, np.uint64), *parts]).view(np.int64)))
+
+def close_codes(codes: np.ndarray, bits: int, leaf: int = CODE_LEAF) -> np.ndarray:
+    """All pairs of distinct codes within one bit, as rows of two; a pair may come more than once."""
+    todo, out = [codes.astype(np.uint32) if bits <= 32 else codes], []
+    while todo:
+        some = todo.pop()
+        if len(some) < 2:
+            continue
+        if len(some) <= leaf:
+            a, b = divmod(np.flatnonzero(np.bitwise_count(some[:, None] ^ some[None, :]) == NEAR_BITS), len(some))
+            if len(a):
+                out.append(np.stack([some[a], some[b]], 1)[a < b])
+            continue
+        # One vantage point is as good as another among codes without order; only its radius is chosen.
+        d = np.bitwise_count(some ^ some[len(some) // 2])
+        tally = np.bincount(d, minlength=bits + 1).cumsum()
+        radius = int(np.maximum(tally[NEAR_BITS:-1], len(some) - tally[: -1 - NEAR_BITS]).argmin()) + NEAR_BITS
+        inside, outside = some[d <= radius], some[d + NEAR_BITS > radius]
+        if max(len(inside), len(outside)) >= 0.9 * len(some) or len(inside) + len(outside) > 1.6 * len(some):
+            # A ball too dense to split: each code's one-bit changes are looked up.
+            some = np.sort(some)
+            for i in range(bits):
+                other = some ^ some.dtype.type(1 << i)
+                found = (some[np.minimum(np.searchsorted(some, other), len(some) - 1)] == other) & (some < other)
+                out.append(np.stack([some[found], other[found]], 1))
+        else:
+            todo += [inside, outside]
+    return np.concatenate(out).astype(np.uint64) if out else np.zeros((0, 2), np.uint64)
+
+
+def accompanied(codes: np.ndarray, checks: np.ndarray, bits: int, most: int) -> np.ndarray:
+    """Which rows have another whose code is within one bit and whose check within ``most``.
+
+    Only that is asked, so a row that has a partner needs no other: a group of copies
+    is marked by one of them, and codes are crossed for rows that are still alone.
+    """
+    order = np.argsort(codes, kind="stable")
+    codes, checks = codes[order], checks[order]
+    known, first, count = np.unique(codes, return_index=True, return_counts=True)
+    marked, asked = np.zeros(len(codes), bool), np.zeros(len(codes), bool)
+
+    def alike(a: np.ndarray, b: np.ndarray) -> np.ndarray:
+        return np.bitwise_count(checks[a] ^ checks[b]).sum(1, dtype=np.int64) <= most
+
+    waiting = np.flatnonzero(count > 1)
+    while len(waiting):
+        rows = gather(np.arange(len(codes)), first[waiting], count[waiting])
+        free = np.where(marked[rows] | asked[rows], len(codes), rows)
+        pivot = np.minimum.reduceat(free, begins(count[waiting]))
+        left = pivot < len(codes)
+        waiting, pivot = waiting[left], pivot[left]
+        if not len(waiting):
+            break
+        rows, against = gather(np.arange(len(codes)), first[waiting], count[waiting]), np.repeat(pivot, count[waiting])
+        hit = (rows != against) & alike(rows, against)
+        marked[rows[hit]] = marked[against[hit]] = asked[pivot] = True
+    pairs = np.searchsorted(known, close_codes(known, bits))
+    both = np.concatenate([pairs, pairs[:, ::-1]])
+    alone = np.add.reduceat(~marked, first) if len(first) else first
+    both = both[alone[both[:, 0]] > 0]
+    lonely = np.flatnonzero(~marked)
+    starts = np.searchsorted(lonely, first)
+    work = np.cumsum(alone[both[:, 0]])
+    at = 0
+    while at < len(both):
+        end = max(at + 1, int(np.searchsorted(work, (work[at - 1] if at else 0) + (CROSSED >> 4), side="right")))
+        a, b = both[at:end].T
+        mine = gather(lonely, starts[a], alone[a])
+        of = np.repeat(b, alone[a])
+        some = np.cumsum(count[of])
+        i = 0
+        while i < len(mine):
+            j = max(i + 1, int(np.searchsorted(some, (some[i - 1] if i else 0) + CROSSED, side="right")))
+            x, y = np.repeat(mine[i:j], count[of[i:j]]), gather(np.arange(len(codes)), first[of[i:j]], count[of[i:j]])
+            hit = alike(x, y)
+            marked[x[hit]] = marked[y[hit]] = True
+            i = j
+        at = end
+    out = np.empty(len(codes), bool)
+    out[order] = marked
+    return out
+
+
+def shingled(docs: DataFrame, text: str, doc_id: str, shingle: int, words: int) -> DataFrame:
+    """(doc_id, fp, code, few) of every row: fp stands for the set of shingles, code is its SimHash fingerprint of
+    ``words`` words unless the set is empty, and few says that the set may have a partner too small for one."""
+    returns = "doc_id long, fp long, code binary, few boolean"
+    shape = columns(returns)
+
+    def run(batches):
+        for b in batches:
+            for at in range(0, b.num_rows, 200):
+                part = b.slice(at, 200)
+                sets = [shingle_set(t, shingle) for t in part.column(1).to_pylist()]
+                some = [s for s in sets if len(s)]
+                codes = iter(majorities(some, words)) if some else iter(())
+                fps = np.array([xxhash.xxh64_intdigest(s.tobytes()) if len(s) else 0 for s in sets], np.uint64)
+                code = pa.array([next(codes).astype("<u8").tobytes() if len(s) else None for s in sets], pa.binary())
+                yield pa.RecordBatch.from_arrays([part.column(0), pa.array(fps.view(np.int64)), code, pa.array([0 < len(s) < 2 * FEW for s in sets])], schema=shape)
+
+    return docs.select(F.col(doc_id).cast("long"), F.col(text).cast("string")).mapInArrow(lean(run), returns)
+
+
+def shingle_sets(docs: DataFrame, text: str, doc_id: str, shingle: int) -> DataFrame:
+    """(doc_id, fp, hashes) of every row: the set of shingles and what stands for it."""
+    shape = columns("doc_id long, fp long, hashes array<long>")
 
     def run(batches):
         for b in batches:
             for at in range(0, b.num_rows, 200):
                 part = b.slice(at, 200)
                 sets = [shingle_set(t, shingle) for t in part.column(1).to_pylist()]
-                keys = iter(band_keys(some, bands)) if bands and (some := [s for s in sets if len(s)]) else iter(())
-                shown = [next(keys) if len(s) else s for s in sets] if bands else sets
                 fps = np.array([xxhash.xxh64_intdigest(s.tobytes()) if len(s) else 0 for s in sets], np.uint64)
-                yield pa.RecordBatch.from_arrays([part.column(0), pa.array(fps.view(np.int64)), lists(shown)], schema=shape)
+                ends = np.cumsum([0, *map(len, sets)]).astype(np.int32)
+                hashes = pa.ListArray.from_arrays(pa.array(ends), pa.array(np.concatenate([np.zeros(0, np.uint64), *sets]).view(np.int64)))
+                yield pa.RecordBatch.from_arrays([part.column(0), pa.array(fps.view(np.int64)), hashes], schema=shape)
 
     return docs.select(F.col(doc_id).cast("long"), F.col(text).cast("string")).mapInArrow(lean(run), "doc_id long, fp long, hashes array<long>")
 
 
-def near_links(prints: DataFrame, distinct: DataFrame, least: float, sets_of: Callable[[DataFrame], DataFrame]) -> DataFrame:
+def near_candidates(prints: DataFrame, plan: tuple[int, int, int], per_cell: int | None = None) -> DataFrame:
+    """(fp) of the sets that may have a near copy: those with another in reach in a vantage-point tree of some code, and those of few shingles.
+
+    A cell is a shard of one code's tree. A task of the first step packs what it
+    sends to a cell into one row. Cells grow as the root of the sets, and so does the
+    sample that the trees over cells are fitted on.
+    """
+    bits, codes, most = plan
+    coded = stored(prints.where("doc_id is not null and code is not null").groupBy("fp").agg(F.min("code").alias("code"), F.max("few").alias("few")), "near-codes")
+    n = coded.count()
+    per_cell = per_cell or max(PER_CELL, int(64 * n**0.5))
+    trees: list[list[tuple[int, int, int, int]]] = [[] for _ in range(codes)]
+    if n > per_cell:
+        seen = coded.orderBy(F.xxhash64("fp"), "fp").limit(PER_LEAF * 4 * -(-n // per_cell)).select("code").collect()
+        some = np.array([np.frombuffer(r.code, "<u8") for r in seen])
+        trees = [build(np.unique(code_of(some, c, bits)), max(PER_LEAF, int(len(some) * per_cell / n)), NEAR_BITS) for c in range(codes)]
+    shape = columns("number int, shard int, codes binary, checks binary")
+
+    def send(batches):
+        for b in batches:
+            if not b.num_rows:
+                continue
+            every = np.frombuffer(b"".join(b.column(0).to_pylist()), "<u8").reshape(b.num_rows, -1)
+            checks = np.ascontiguousarray(every[:, : CHECK_BITS // 64])
+            for c, nodes in enumerate(trees):
+                mine = code_of(every, c, bits)
+                kind = "<u4" if bits <= 32 else "<u8"
+                rows = [(shard, mine[at].astype(kind).tobytes(), checks[at].tobytes()) for shard, at in routed(nodes, mine, NEAR_BITS)]
+                yield pa.RecordBatch.from_arrays([pa.array([c] * len(rows), pa.int32()), pa.array([r[0] for r in rows], pa.int32()), pa.array([r[1] for r in rows], pa.binary()), pa.array([r[2] for r in rows], pa.binary())], schema=shape)
+
+    def search(table):
+        mine = np.frombuffer(b"".join(table.column("codes").to_pylist()), "<u4" if bits <= 32 else "<u8").astype(np.uint64)
+        checks = np.frombuffer(b"".join(table.column("checks").to_pylist()), "<u8").reshape(len(mine), -1)
+        found = checks[accompanied(mine, checks, bits, most)]
+        out = pa.table({"check": pa.array([x.tobytes() for x in found], pa.binary())})
+        trim()
+        return out
+
+    sent = coded.select("code").mapInArrow(lean(send), "number int, shard int, codes binary, checks binary")
+    # Sets of one check have all their near copies in common, so the check can stand for them.
+    found = stored(sent.groupBy("number", "shard").applyInArrow(search, "check binary").distinct(), "near-found")
+    check = F.substring("code", 1, CHECK_BITS // 8)
+    reached = coded.withColumn("check", check).join(found, "check", "left_semi").select("fp")
+    return reached.unionByName(coded.where("few").select("fp")).distinct()
+
+
+def near_links(candidates: DataFrame, distinct: DataFrame, least: float, sets_of: Callable[[DataFrame], DataFrame]) -> DataFrame:
     """(a, b): links between sets that are ``least`` alike, enough to hold all components together.
 
-    Sets that share a band are candidates; only they are made in full. A bucket is
-    the candidates that have one shingle in their prefixes. Its member with the
-    fewest shingles of its own is compared with all others first; only a bucket that
-    still holds several components is compared across them.
+    Only the sets of ``candidates`` are made in full. A bucket is the candidates that
+    have one shingle in their prefixes. Its member with the fewest shingles of its own
+    is compared with all others first; only a bucket that still holds several
+    components is compared across them.
     """
-    banded = prints.select("fp", F.explode("hashes").alias("key"))
-    heads = banded.groupBy("key").agg(F.min("fp").alias("a"), F.max("fp").alias("top")).where("a < top").select("key")
-    wanted = distinct.join(banded.join(heads, "key", "left_semi").select("fp").distinct(), "fp", "left_semi").select(F.col("low").alias("doc_id"))
+    wanted = distinct.join(candidates, "fp", "left_semi").select(F.col("low").alias("doc_id"))
     sets = stored(sets_of(wanted), "near-sets")
     members = stored(prefixes(sets, least), "near-prefixes")
 
@@ -408,15 +636,15 @@ def prefixes(sets: DataFrame, least: float) -> DataFrame:
 
 def near_groups(docs: DataFrame, text: str = "text", doc_id: str = "doc_id", shingle: int = NEAR_SHINGLE, least: float = NEAR) -> DataFrame:
     """doc_id, fp, component_id: components of documents whose shingle sets have a Jaccard similarity of ``least`` or more."""
-    bands = 1 if least >= 1 else ceil(log(MISS) / log(1 - least**BAND_ROWS))
-    prints = stored(shingled(docs, text, doc_id, shingle, bands), "shingles")
+    plan = code_plan(docs.count(), least)
+    prints = stored(shingled(docs, text, doc_id, shingle, words_of(*plan[:2])), "shingles")
 
     def sets_of(wanted: DataFrame) -> DataFrame:
         """(fp, hashes) of documents (doc_id), one row a set; a further set under a repeated id does no harm."""
         rows = docs.select(F.col(doc_id).cast("long").alias("doc_id"), F.col(text).alias("text")).join(wanted, "doc_id", "left_semi")
-        return shingled(rows, "text", "doc_id", shingle).select("fp", "hashes").dropDuplicates(["fp"])
+        return shingle_sets(rows, "text", "doc_id", shingle).select("fp", "hashes").dropDuplicates(["fp"])
 
-    return joined(prints, lambda distinct: near_links(prints, distinct, least, sets_of))
+    return joined(prints, lambda distinct: near_links(near_candidates(prints, plan), distinct, least, sets_of))
 
 
 def op8_simhash_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -1,9 +1,11 @@
 """The five stages in turn, on given and on awkward rows."""
 
+import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
 import corpus_pipeline
+from tablemill.llm import simhash
 from test_operators import EDGE, write
 
 pytest.importorskip("public_tokenizers")
@@ -62,3 +64,41 @@ def test_near_copies_against_all_pairs(spark):
     kept = {r.doc_id for r in corpus_pipeline.drop_near_copies(spark, docs, "").collect()}
     assert kept == set(root.values())
     assert 9_000_001 in kept and 9_000_002 not in kept
+
+
+def test_candidates_of_near_copies_by_trees():
+    """Codes within one bit are found as by all pairs, also where a ball can't be split and over several cells."""
+    r = np.random.default_rng(5)
+    for bits, n, most in ((12, 3000, 55), (7, 1200, 50), (20, 3000, 60)):
+        codes, checks = r.integers(0, 1 << bits, n).astype(np.uint64), r.integers(0, 1 << 63, (n, 2), dtype=np.uint64)
+        codes[n // 2 : n // 2 + 60], checks[n // 2 : n // 2 + 50] = codes[7], checks[7]
+        near = np.bitwise_count(codes[:, None] ^ codes[None]) <= 1
+        near &= np.bitwise_count(checks[:, None] ^ checks[None]).sum(2) <= most
+        np.fill_diagonal(near, False)
+        want = near.any(1)
+        assert 0 < want.sum() and (simhash.accompanied(codes, checks, bits, most) == want).all()
+        got = np.zeros(n, bool)
+        cells = simhash.routed(simhash.build(np.unique(codes), 100, 1), codes, 1)
+        assert len(cells) > 1
+        for _, at in cells:
+            got[at[simhash.accompanied(codes[at], checks[at], bits, most)]] = True
+        assert (got == want).all()
+
+
+def test_fingerprints_of_sets():
+    """Bits counted by words are bits counted one by one, for any room; sets 0.8 alike differ no more than planned."""
+    r = np.random.default_rng(6)
+    sets = [r.integers(0, 1 << 63, n, dtype=np.uint64) for n in (1, 2, 3, 4, 5, 17, 64, 301, 1500)]
+    got = simhash.majorities(sets, 5)
+    mults, adds = simhash.permutations(5)
+    for s, row in zip(sets, got):
+        x = (s[:, None] ^ adds) * mults
+        x = (x ^ (x >> np.uint64(32))) * np.uint64(0xD6E8FEB86659FD93)
+        x ^= x >> np.uint64(32)
+        for i in range(64):
+            ones = ((x >> np.uint64(i)) & np.uint64(1)).sum(0)
+            assert ((2 * ones > len(s)) == ((row >> np.uint64(i)) & np.uint64(1)).astype(bool)).all()
+    assert (simhash.majorities(sets, 5, room=40) == got).all()
+    x = r.integers(0, 1 << 63, 340, dtype=np.uint64)
+    a, b = simhash.majorities([x[:306], np.concatenate([x[:272], x[306:]])], 400)
+    assert np.bitwise_count(a ^ b).sum() / (400 * 64) < simhash.bit_chance(0.8)
