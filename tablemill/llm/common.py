@@ -111,14 +111,20 @@ def sums(values: np.ndarray, sizes: np.ndarray) -> np.ndarray:
     return total[ends] - total[ends - sizes]
 
 
-def lean(run: Callable[[Iterator[pa.RecordBatch]], Iterator[pa.RecordBatch]]):
+def lean(run: Callable[[Iterator[pa.RecordBatch]], Iterator[pa.RecordBatch]], keep: str = ""):
     """A batch function that gives its memory back when its task ends.
 
     Python workers outlive their tasks; without this each keeps the most that any
-    operator before it took.
+    operator before it took. What other operators remember in the worker is dropped
+    too: only keys of the worker's cache that begin with ``keep`` stay.
     """
 
     def wrapped(batches):
+        import sys
+
+        cache = getattr(sys.modules.get("tablemill_worker_cache"), "__dict__", {})
+        for key in [k for k in cache if not k.startswith("__") and not (keep and k.startswith(keep))]:
+            del cache[key]
         # Freed batches of the plain allocator can be trimmed, those of a pooling one cannot.
         pa.set_memory_pool(pa.system_memory_pool())
         try:

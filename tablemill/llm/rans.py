@@ -206,7 +206,7 @@ def tokenized(docs: DataFrame, ranges: int, vocabulary: str, end_id: int | None,
             yield flush()
 
     dealt = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").repartitionByRange(ranges, "doc_id").sortWithinPartitions("doc_id", "text")
-    return dealt.withColumn("part", F.spark_partition_id()).mapInArrow(lean(run), "part int, before long, n long, docs binary, sizes binary, ids binary, counts binary")
+    return dealt.withColumn("part", F.spark_partition_id()).mapInArrow(lean(run, keep=vocabulary), "part int, before long, n long, docs binary, sizes binary, ids binary, counts binary")
 
 
 class PieceEncoder:

@@ -1,11 +1,15 @@
 """The five stages in turn, on given and on awkward rows."""
 
+import sys
+import types
+
 import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
 import corpus_pipeline
 from tablemill.llm import simhash
+from tablemill.llm.common import lean
 from test_operators import EDGE, write
 
 pytest.importorskip("public_tokenizers")
@@ -102,3 +106,11 @@ def test_fingerprints_of_sets():
     x = r.integers(0, 1 << 63, 340, dtype=np.uint64)
     a, b = simhash.majorities([x[:306], np.concatenate([x[:272], x[306:]])], 400)
     assert np.bitwise_count(a ^ b).sum() / (400 * 64) < simhash.bit_chance(0.8)
+
+
+def test_workers_forget_other_operators():
+    """A task drops what other operators remember in its Python worker, and keeps its own."""
+    cache = sys.modules.setdefault("tablemill_worker_cache", types.ModuleType("tablemill_worker_cache")).__dict__
+    cache |= {"ranks x": 1, "other": 2}
+    assert list(lean(lambda batches: batches, keep="ranks")(iter([1]))) == [1] and "other" not in cache and cache["ranks x"] == 1
+    assert list(lean(lambda batches: batches)(iter([1]))) == [1] and "ranks x" not in cache
